@@ -47,7 +47,7 @@ def targets(totals: DataFrame, weights: Sequence[int] = WEIGHTS, share: float =
     first = Window.orderBy(F.col("_cap") / F.col("_w"), "_i").rowsBetween(Window.unboundedPreceding, -1)
     rest = Window.orderBy(F.col("_cap") / F.col("_w"), "_i").rowsBetween(0, Window.unboundedFollowing)
     t = t.withColumn("_level", (F.col("_budget") - F.coalesce(F.sum("_cap").over(first), F.lit(0))) / F.sum("_w").over(rest))
-    t = t.withColumn("_level", F.min(F.when(F.col("_level") * F.col("_w") <= F.col("_cap"), F.col("_level"))).over(Window.partitionBy().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
+    t = t.withColumn("_level", F.max(F.when(F.col("_level") * F.col("_w") <= F.col("_cap"), F.col("_level"))).over(Window.partitionBy().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
     full = F.col("_cap").cast("double")
     return t.select("source", "source_size", F.when(F.col("_level").isNull(), full).otherwise(F.least(full, F.col("_level") * F.col("_w"))).alias("target"))
 
@@ -115,7 +115,7 @@ w AS (SELECT *, [3, 1, 2][1 + (row_number() OVER (ORDER BY source IS NULL, encod
     row_number() OVER (ORDER BY source IS NULL, encode(source)) AS i, sum(source_size) OVER () AS total FROM s),
 l AS (SELECT *, (total * CAST(1.5 AS DOUBLE) - coalesce(sum(2 * source_size) OVER (ORDER BY 2.0 * source_size / wt, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
     / sum(wt) OVER (ORDER BY 2.0 * source_size / wt, i ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS lev FROM w),
-g AS (SELECT source, source_size, least(2.0 * source_size, coalesce(min(CASE WHEN lev * wt <= 2 * source_size THEN lev END) OVER () * wt, 2.0 * source_size)) AS target FROM l),
+g AS (SELECT source, source_size, least(2.0 * source_size, coalesce(max(CASE WHEN lev * wt <= 2 * source_size THEN lev END) OVER () * wt, 2.0 * source_size)) AS target FROM l),
 j AS (SELECT d.doc_id, d.size, d.h, g.source, g.source_size, g.target,
     CASE WHEN g.source_size > 0 THEN least(floor(g.target / g.source_size), 2) ELSE 0 END AS fulls FROM d JOIN g ON d.source IS NOT DISTINCT FROM g.source),
 c AS (SELECT *, target - fulls * source_size AS budget, sum(size) OVER (PARTITION BY source ORDER BY h) AS cum,
