@@ -2,8 +2,9 @@
 
 Texts with one shingle set are one node. Nodes that share a band of their signatures are candidates; a candidate's signatures are
 compared batch by batch and it is dropped as soon as the posterior probability of a similarity at or above the threshold falls below
-the chosen miss probability; survivors are verified on full shingle sets. Pairs are never expanded inside a bucket whose members are
-already linked: every bucket first compares all members with one leader, and only members of different components are paired later.
+the chosen miss probability; survivors are verified on full shingle sets. Every bucket first compares its members with one leader.
+Later only members outside a bucket's largest component are compared with the rest, in blocks of signatures, so that linked groups are
+never expanded into pairs and no pair becomes a row before it has survived.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, n_partitions, table
 from .components import connected_components
 from .shingles import Powers, coefficients, minhash, shingle_set
 
@@ -25,8 +26,8 @@ NUM, DEN = 75, 100
 BANDS, ROWS, BATCH = 32, 4, 16
 #: Probability at most that verification drops a pair at the threshold.
 MISS = 1e-7
-#: Rounds in which a bucket's members meet a new leader before members of different components are paired directly.
-LEADER_ROUNDS = 3
+#: Side of the cells in which members of one bucket are compared.
+CELL = 1024
 
 
 @dataclass(frozen=True)
@@ -124,6 +125,80 @@ def exact_links(pairs: DataFrame, docs: DataFrame, p: Params = Params(), id_col:
     return joined.select("a", "b", "_ta", "_tb").mapInArrow(verify, "a long, b long, n_both long, n_either long").distinct()
 
 
+def cross_links(members: DataFrame, p: Params, best_only: bool) -> DataFrame:
+    """(a, b, agree) that sequential verification keeps among pairs of one bucket whose components differ. members: (k, rep, n, sig, c).
+
+    In a bucket only the members outside its largest component ask (minors); all members answer. Cells of at most about CELL minors by
+    CELL members are compared in blocks of signatures, so a pair becomes a row only if it survives. best_only: for each minor and
+    component just the closest answer, a first pass that closes most components.
+    """
+    parts = n_partitions(members.sparkSession)
+    per = members.groupBy("k", "c").agg(F.count("*").alias("m"))
+    buckets = per.groupBy("k").agg(F.sum("m").alias("size"), F.max(F.struct("m", "c")).alias("x"), F.count("*").alias("comps")).where("comps > 1")
+    buckets = materialize(buckets.select("k", "size", F.col("x.c").alias("major"), (F.col("size") - F.col("x.m")).alias("minors")))
+    gt, gq = (F.ceil(F.col(c) / CELL).cast("long") for c in ("size", "minors"))
+    open_ = members.join(buckets, "k").withColumns({"gt": gt, "gq": gq, "ask": F.col("c") != F.col("major"), "h": F.xxhash64("rep")})
+    spread = lambda g: F.explode(F.sequence(F.lit(0).cast("long"), g - 1))
+    answers = open_.select("k", F.pmod("h", "gt").alias("bt"), spread(F.col("gq")).alias("bq"), F.lit(False).alias("asks"), "rep", "n", "c", "ask", "sig")
+    asks = open_.where("ask").select("k", spread(F.col("gt")).alias("bt"), F.pmod("h", "gq").alias("bq"), F.lit(True).alias("asks"), "rep", "n", "c", "ask", "sig")
+    cells = answers.unionByName(asks).withColumn("cell", F.xxhash64("k", "bt", "bq")).select("cell", "asks", "rep", "n", "c", "ask", "sig")
+    cells = cells.repartition(parts, "cell").sortWithinPartitions("cell", "asks", "rep")
+    bounds, width = least_matches(p), p.bands * p.rows
+
+    def solve(asks, rep, n, comp, ask, sig):
+        out = []
+        at = np.flatnonzero(~asks)
+        for i in np.flatnonzero(asks):
+            # two minors meet once, from the larger id; a member of the largest component never asks
+            alive = at[(comp[at] != comp[i]) & (~ask[at] | (rep[at] < rep[i])) & (p.den * np.minimum(n[at], n[i]) >= p.num * np.maximum(n[at], n[i]))]
+            agree = np.zeros(len(alive), np.int32)
+            for k, bound in enumerate(bounds):
+                if not len(alive):
+                    break
+                part = slice(k * p.batch, (k + 1) * p.batch)
+                agree += (sig[alive, part] == sig[i, part]).sum(1).astype(np.int32)
+                ok = agree >= bound
+                alive, agree = alive[ok], agree[ok]
+            if best_only and len(alive) > 1:
+                order = np.lexsort((rep[alive], -agree, comp[alive]))
+                alive, agree = alive[order], agree[order]
+                first = np.concatenate([[True], comp[alive][1:] != comp[alive][:-1]])
+                alive, agree = alive[first], agree[first]
+            out += [(min(rep[i], rep[j]), max(rep[i], rep[j]), g) for j, g in zip(alive, agree)]
+        return out
+
+    def run(batches):
+        held = []  # rows of the cell that is not complete yet, as column tuples
+
+        def flush(rows):
+            asks, rep, n, comp, ask, sig = (np.concatenate(c) for c in zip(*rows))
+            return solve(asks, rep, n, comp, ask, sig) if asks.any() else []
+
+        last, found = None, []
+        for b in batches:
+            if not b.num_rows:
+                continue
+            cell = b.column(0).to_numpy()
+            cols = [b.column(1).to_numpy(zero_copy_only=False), b.column(2).to_numpy(), b.column(3).to_numpy(), b.column(4).to_numpy(), b.column(5).to_numpy(zero_copy_only=False), np.frombuffer(b"".join(b.column(6).to_pylist()), np.uint32).reshape(-1, width)]
+            cut = np.concatenate([[0], np.flatnonzero(cell[1:] != cell[:-1]) + 1, [len(cell)]])
+            for lo, hi in zip(cut[:-1], cut[1:]):
+                if last is not None and cell[lo] != last and held:
+                    found += flush(held)
+                    held = []
+                held.append([c[lo:hi] for c in cols])
+                last = cell[lo]
+            if found:
+                x, y, g = zip(*found)
+                yield pa.record_batch([pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(g, pa.int32())], ["a", "b", "agree"])
+                found = []
+        if held and (found := flush(held)):
+            x, y, g = zip(*found)
+            yield pa.record_batch([pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(g, pa.int32())], ["a", "b", "agree"])
+
+    kept = cells.mapInArrow(run, "a long, b long, agree int")
+    return materialize(kept.groupBy("a", "b").agg(F.max("agree").alias("agree")))
+
+
 def near_duplicates(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document row: doc_id, n_shingles, component_id (smallest id reachable over links), kept (doc_id = component_id).
 
@@ -137,59 +212,42 @@ def near_duplicates(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id
     node = reps.select("rep", "n", "sig")
     keys = node.select("rep", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * p.rows * i + 1}, {4 * p.rows})")).alias("k")) for i in range(p.bands)])).alias("_b")).select("rep", F.col("_b.k").alias("k"))
     crowded = materialize(keys.groupBy("k").agg(F.count("*").alias("size"), F.min("rep").alias("leader")).where("size > 1"))
-    member = materialize(keys.join(crowded.select("k"), "k").distinct())
-
-    def compare(pairs: DataFrame) -> DataFrame:
-        """Candidate pairs to survivors of the Bayesian comparison."""
-        a = node.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("siga"))
-        b = node.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sigb"))
-        return materialize(bayes_filter(pairs.join(a, "a").join(b, "b"), p))
-
-    def ordered(pairs: DataFrame) -> DataFrame:
-        return pairs.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-
-    links, tried, comps = None, None, None
-
-    def label(members: DataFrame) -> DataFrame:
-        if comps is None:
-            return members.withColumn("c", F.col("rep"))
-        return members.join(comps.select(F.col("node").alias("rep"), F.col("component")), "rep", "left").withColumn("c", F.coalesce("component", "rep")).drop("component")
-
-    for turn in range(LEADER_ROUNDS + 1):
-        if turn == 0:
-            fresh = ordered(member.join(crowded.select("k", F.col("leader").alias("a")), "k").select("a", F.col("rep").alias("b")))
-        else:
-            labelled = label(member)
-            mixed_ = labelled.groupBy("k").agg(F.min("c").alias("c0"), F.max("c").alias("c1"), F.min(F.struct(F.xxhash64("rep", F.lit(turn)).alias("h"), F.col("rep"), F.col("c"))).alias("lead")).where("c0 <> c1")
-            mixed_ = materialize(mixed_.select("k", F.col("lead.rep").alias("a"), F.col("lead.c").alias("ca")))
-            if mixed_.isEmpty():
-                break
-            open_ = materialize(labelled.join(mixed_, "k").where("c <> ca or rep = a"))
-            if turn < LEADER_ROUNDS:
-                fresh = ordered(open_.where("c <> ca").select("a", F.col("rep").alias("b")))
-            else:
-                # what is left are members of one bucket that no leader has joined: all pairs across components
-                rest = materialize(labelled.join(mixed_.select("k"), "k").select("k", "rep", "c"))
-                other = rest.select("k", F.col("rep").alias("b"), F.col("c").alias("cb"))
-                fresh = ordered(rest.join(other, "k").where("rep < b and c <> cb").select(F.col("rep").alias("a"), "b"))
-            fresh = fresh.join(tried, ["a", "b"], "left_anti")
-        fresh = materialize(fresh)
-        tried = fresh if tried is None else materialize(tried.unionByName(fresh))
-        alive = compare(fresh)
-        # one partner for every node first: most components close on these, and pairs inside one need no verification
+    member = materialize(keys.join(crowded, "k").select("k", "rep", "leader").distinct())
+    links, comps = None, None
+
+    def settle(alive: DataFrame) -> None:
+        """Verify survivors on full sets and join their components: one partner for every node first, then pairs still apart."""
+        nonlocal links, comps
         best = alive.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("_x")).select((-F.col("_x.m")).alias("a"), "b")
-        first = materialize(exact_links(best, docs, p, id_col, text_col))
-        links = first.select("a", "b") if links is None else materialize(links.unionByName(first.select("a", "b")))
+        first = materialize(exact_links(best, docs, p, id_col, text_col).select("a", "b"))
+        links = first if links is None else materialize(links.unionByName(first))
         comps = materialize(connected_components(links, "a", "b"))
-        ends = comps.select(F.col("node"), F.col("component"))
-        left = alive.join(first.select("a", "b"), ["a", "b"], "left_anti")
-        left = left.join(ends.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(ends.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
+        left = alive.select("a", "b").join(first, ["a", "b"], "left_anti")
+        left = left.join(comps.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(comps.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
         left = materialize(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"))
         if not left.isEmpty():
-            second = materialize(exact_links(left, docs, p, id_col, text_col))
+            second = materialize(exact_links(left, docs, p, id_col, text_col).select("a", "b"))
             if not second.isEmpty():
-                links = materialize(links.unionByName(second.select("a", "b")))
+                links = materialize(links.unionByName(second))
                 comps = materialize(connected_components(links, "a", "b"))
+
+    # every member of a bucket against its leader
+    star = member.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
+    a = node.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("siga"))
+    b = node.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sigb"))
+    settle(materialize(bayes_filter(star.join(a, "a").join(b, "b"), p)))
+    # then members of one bucket in different components: the closest of each first, all of them last
+    for best_only in (True, False):
+        labelled = member.select("k", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("k", "rep", F.coalesce("component", "rep").alias("c"))
+        apart = labelled.groupBy("k").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("k")
+        apart = materialize(apart)
+        if apart.isEmpty():
+            break
+        members = materialize(labelled.join(apart, "k")).join(node, "rep").select("k", "rep", "n", "sig", "c")
+        alive = cross_links(members, p, best_only)
+        if alive.isEmpty():
+            break
+        settle(alive)
     rep_comp = materialize(reps.select("h1", "h2", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("h1", "h2", F.coalesce("component", "rep").alias("_c")))
     out = sigs.select("doc_id", "n_shingles", "h1", "h2").join(rep_comp, ["h1", "h2"], "left")
     comp = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("_c")).otherwise(F.col("doc_id"))
