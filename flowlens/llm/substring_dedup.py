@@ -3,7 +3,8 @@
 Strings of `length` bytes are assigned to anchors: the string's pick among its hashed `gram`-byte grams. Equal strings pick the same gram
 at the same place, so only strings of one anchor value have to be compared, and an anchor with its run of strings is a segment of some
 135 bytes. Segments seen once are dropped, equal segments are settled by their first occurrence, and the distinct segments of an anchor
-go together into a suffix array (built by grouping), where neighbours with a common prefix of `length` bytes are equal strings.
+go together into a suffix array (built by grouping) over symbols that stand for runs of columns in which the same segments agree; where
+neighbours have `length` columns in common, strings are equal.
 Anchors with very many distinct segments are first split by longer cores of their strings, so no group is ever collected whole.
 """
 
@@ -22,7 +23,7 @@ from .suffix_array import common_prefixes, suffix_array
 
 LENGTH, GRAM = 100, 32
 #: Distinct segments of an anchor that one suffix array may hold, and bytes that one suffix array takes before the next is begun.
-GROUP_CAP, ARRAY_BYTES = 4096, 1 << 16
+GROUP_CAP, ARRAY_BYTES = 4096, 1 << 19
 #: Share of documents whose anchors are counted to find the values to spread over partitions (layout only, results never depend on it).
 SAMPLE_OF = 64
 BLOCK = 1 << 22
@@ -115,43 +116,106 @@ def settle(rows: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "later boolean, ah long, sh long, doc_id long, loc long")
 
 
-def repeated_strings(segs: list[bytes], doc: np.ndarray, start: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """(segment, offset) of all strings of `length` bytes in the segments that equal one earlier by (doc, start + offset)."""
-    text, owner, offset = [], [], []
-    for k, s in enumerate(segs):
-        text += [b + len(segs) for b in s]
-        text.append(k)  # every segment ends in a symbol of its own
-        owner.append(np.full(len(s) + 1, k))
-        offset.append(np.arange(len(s) + 1))
-    order = suffix_array(text)
-    shared = np.array(common_prefixes(text, order))
-    order = np.array(order)
-    owner, offset = np.concatenate(owner), np.concatenate(offset)
-    kind = np.cumsum(shared < length)
-    inside = shared >= length
-    member = inside | np.append(inside[1:], False)
-    seg, off, kind = owner[order[member]], offset[order[member]], kind[member]
-    by = np.lexsort((start[seg] + off, doc[seg], kind))
-    seg, off, kind = seg[by], off[by], kind[by]
-    later = np.zeros(len(kind), bool)
-    later[1:] = kind[1:] == kind[:-1]
-    return seg[later], off[later]
-
+def quotient(rows: list[np.ndarray], first: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Strings of symbols for groups of segments that are aligned at their anchors. rows: bytes of every segment, group by group, all
+    groups of the same size; first: (groups, members) column of every segment's first byte.
 
-def array_kernel(length: int, array_bytes: int):
-    """mapInArrow kernel over rows (key, doc_id, start, seg) sorted by key: (doc_id, start, end) byte ranges of repeated strings."""
+    Neighbouring columns in which the same members agree are one symbol, so two segments agree on a part of a symbol only if they
+    agree on all of it, and nothing that a comparison could tell is lost. Returns (labels, present, starts): the member that a cell's
+    value is first met in, whether the cell holds a byte, and whether a symbol begins at a column of a group.
+    """
+    groups, members = first.shape
+    cells = np.full((groups, members, width), 256, np.uint16) + np.arange(members, dtype=np.uint16)[None, :, None]
+    flat = cells.reshape(-1, width)
+    for r, (at, data) in enumerate(zip(first.ravel(), rows)):
+        flat[r, at : at + len(data)] = data
+    present = cells < 256
+    order = np.argsort(cells, axis=1, kind="stable")
+    value = np.take_along_axis(cells, order, 1)
+    head = np.ones_like(present)
+    head[:, 1:] = value[:, 1:] != value[:, :-1]
+    lead = np.maximum.accumulate(np.where(head, np.arange(members)[None, :, None], 0), axis=1)
+    labels = np.empty_like(order)
+    np.put_along_axis(labels, order, np.take_along_axis(order, lead, 1), 1)
+    starts = np.ones((groups, width), bool)
+    starts[:, 1:] = ((labels[:, :, 1:] != labels[:, :, :-1]) | (present[:, :, 1:] != present[:, :, :-1])).any(axis=1)
+    return labels, present, starts
+
+
+def longest_to_earlier(shared: list[int], rank: list[int]) -> list[int]:
+    """For entries in suffix order, the longest common prefix with any entry of smaller rank. shared[k]: columns that k has in common
+    with k - 1. The nearest smaller rank on either side is the best one there, so two sweeps with a stack suffice."""
+    n = len(rank)
+    best = [0] * n
+    for forward in (True, False):
+        stack: list[tuple[int, int]] = []  # (rank, columns in common with the entry below)
+        for step in range(n):
+            k = step if forward else n - 1 - step
+            m = shared[k] if forward else (shared[k + 1] if k + 1 < n else 0)
+            if not m:
+                stack = []
+            while stack and stack[-1][0] > rank[k]:
+                m = min(m, stack.pop()[1])
+            if stack:
+                best[k] = max(best[k], m)
+            stack.append((rank[k], m))
+    return best
+
+
+def repeated_ranges(key: np.ndarray, start: np.ndarray, off: np.ndarray, segs: list[bytes], length: int, reach: int) -> list[tuple[int, int, int]]:
+    """(row, start, end) byte ranges of all strings of `length` bytes that an earlier row of the same key holds at the same place about
+    its anchor. Rows are sorted by key and then by the order that says which is earlier; off: the anchor's place in the segment."""
+    width = reach + length
+    cut = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    size = np.diff(np.append(cut, len(key)))
+    text, owner, column, run_end, base = [], [], [], [], 0
+    for members in np.unique(size):
+        if members < 2:
+            continue
+        heads = cut[size == members]
+        for lot in range(0, len(heads), max(1, 4096 // members)):
+            rows = (heads[lot : lot + max(1, 4096 // members), None] + np.arange(members)[None, :]).ravel()
+            first = (reach - off[rows]).reshape(-1, members)
+            labels, present, starts = quotient([np.frombuffer(segs[r], np.uint8) for r in rows], first, width)
+            g, m, c = np.nonzero(starts[:, None, :] & present)
+            symbol = ((base + g) * width + c) * (1 << 20) + labels[g, m, c]
+            base += len(first)
+            row = rows.reshape(-1, members)[g, m]
+            # every segment ends in a symbol of its own, one column past its last byte
+            last = np.flatnonzero(np.append(row[1:] != row[:-1], True))
+            ends = reach - off[row[last]] + np.array([len(segs[r]) for r in row[last]])
+            text.append(np.insert(symbol, last + 1, -1 - row[last]))
+            owner.append(np.insert(row, last + 1, row[last]))
+            column.append(np.insert(c, last + 1, ends))
+    if not text:
+        return []
+    text, owner, column = (np.concatenate(v) for v in (text, owner, column))
+    run_end = np.append(column[1:], 0)  # where the symbol at a position ends
+    symbols = text.tolist()
+    order = suffix_array(symbols)
+    depth = np.array(common_prefixes(symbols, order))
+    order = np.array(order)
+    columns = np.where(depth > 0, column[np.minimum(order + depth, len(column) - 1)] - column[order], 0)
+    columns[columns < length] = 0
+    used = np.flatnonzero((columns > 0) | np.append(columns[1:] > 0, False))
+    best = np.array(longest_to_earlier(columns[used].tolist(), owner[order[used]].tolist()), dtype=np.int64)
+    found = used[best >= length]
+    at, best = order[found], best[best >= length]
+    # strings may start anywhere in the first symbol as long as the common columns last
+    more = np.minimum(best - length, run_end[at] - column[at] - 1)
+    row = owner[at]
+    begin = start[row] + column[at] - (reach - off[row])
+    return list(zip(row.tolist(), begin.tolist(), (begin + more + length).tolist()))
+
+
+def array_kernel(length: int, gram: int, array_bytes: int):
+    """mapInArrow kernel over rows (key, doc_id, start, off, seg) sorted by key, doc_id and start: ranges of repeated strings."""
 
     def solve(rows):
-        keys, docs, starts, segs = zip(*rows)
-        doc, start = np.array(docs, np.int64), np.array(starts, np.int64)
-        seg, off = repeated_strings(list(segs), doc, start, length)
-        order = np.lexsort((off, seg))
-        seg, off = seg[order], off[order]
-        new = np.ones(len(seg), bool)
-        new[1:] = (seg[1:] != seg[:-1]) | (off[1:] != off[:-1] + 1)
-        cut = np.flatnonzero(new)
-        end = np.append(cut[1:], len(seg))[: len(cut)] - 1
-        return pa.record_batch([pa.array(doc[seg[cut]]), pa.array(start[seg[cut]] + off[cut]), pa.array(start[seg[cut]] + off[end] + length)], ["doc_id", "start", "end"])
+        key, doc, start, off, segs = zip(*rows)
+        found = repeated_ranges(np.array(key, np.int64), np.array(start, np.int64), np.array(off, np.int64), list(segs), length, length - gram)
+        row, begin, end = zip(*found) if found else ((), (), ())
+        return pa.record_batch([pa.array([doc[r] for r in row], pa.int64()), pa.array(begin, pa.int64()), pa.array(end, pa.int64())], ["doc_id", "start", "end"])
 
     def run(batches):
         held, size, key = [], 0, None
@@ -161,7 +225,7 @@ def array_kernel(length: int, array_bytes: int):
                     yield solve(held)
                     held, size = [], 0
                 held.append(row)
-                size, key = size + len(row[3]), row[0]
+                size, key = size + len(row[4]), row[0]
         if held:
             yield solve(held)
 
@@ -217,7 +281,7 @@ def removed_ranges(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, grou
     pieces = materialize(pieces.distinct())
     lo, hi = 0, length - gram  # anchors lie at most hi bytes into a string
     todo = [(pieces, lo, hi)]
-    kernel = array_kernel(length, array_bytes)
+    kernel = array_kernel(length, gram, array_bytes)
     while todo:
         part, lo, hi = todo.pop()
         sizes = part.groupBy("key").agg(F.count("*").alias("_m"))
@@ -226,7 +290,7 @@ def removed_ranges(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, grou
             ready, crowd = part, None
         else:
             ready, crowd = part.join(large, "key", "left_anti"), materialize(part.join(large, "key"))
-        ready = ready.select("key", "doc_id", "start", "seg").repartition(parts, "key").sortWithinPartitions("key", "doc_id", "start")
+        ready = ready.select("key", "doc_id", "start", "off", "seg").repartition(parts, "key").sortWithinPartitions("key", "doc_id", "start")
         out = out.unionByName(materialize(ready.mapInArrow(kernel, RANGES)))
         if crowd is not None:
             # strings whose anchor is o bytes in, by halves of o: all strings of a half hold a longer core around the anchor
