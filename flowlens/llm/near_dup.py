@@ -99,22 +99,14 @@ def bayes_filter(pairs: DataFrame, p: Params = Params()) -> DataFrame:
 def exact_links(pairs: DataFrame, docs: DataFrame, p: Params = Params(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The pairs (a, b) whose full shingle sets reach the threshold, with their intersection and union sizes."""
     pairs = materialize(pairs.select("a", "b").distinct())
-    needed = materialize(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct())
-
-    def sets(batches):
-        powers = Powers()
-        for b in batches:
-            yield pa.record_batch([b.column(0), pa.array([shingle_set(t.as_py(), powers).tobytes() for t in b.column(1)], pa.binary())], ["_id", "_set"])
-
-    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).join(needed, "_id")
-    held = materialize(texts.mapInArrow(sets, "_id long, _set binary"))
+    held = shingle_sets(docs, materialize(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct()), id_col, text_col)
 
     def verify(batches):
         for b in batches:
             rows = []
             for x, y, s, t in zip(*(c.to_pylist() for c in b.columns)):
                 u, v = np.frombuffer(s, np.uint64), np.frombuffer(t, np.uint64)
-                both = int(len(np.intersect1d(u, v, assume_unique=True)))
+                both = intersection(u, v)
                 either = len(u) + len(v) - both
                 if p.den * both >= p.num * either:
                     rows.append((x, y, both, either))
@@ -125,12 +117,80 @@ def exact_links(pairs: DataFrame, docs: DataFrame, p: Params = Params(), id_col:
     return joined.select("a", "b", "_ta", "_tb").mapInArrow(verify, "a long, b long, n_both long, n_either long").distinct()
 
 
-def cross_links(members: DataFrame, p: Params, best_only: bool) -> DataFrame:
-    """(a, b, agree) that sequential verification keeps among pairs of one bucket whose components differ. members: (k, rep, n, sig, c).
+def shingle_sets(docs: DataFrame, ids: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(_id, _set) sorted 64-bit shingles of the documents with the given ids, from their whole texts."""
 
-    In a bucket only the members outside its largest component ask (minors); all members answer. Cells of at most about CELL minors by
-    CELL members are compared in blocks of signatures, so a pair becomes a row only if it survives. best_only: for each minor and
-    component just the closest answer, a first pass that closes most components.
+    def sets(batches):
+        powers = Powers()
+        for b in batches:
+            yield pa.record_batch([b.column(0), pa.array([shingle_set(t.as_py(), powers).tobytes() for t in b.column(1)], pa.binary())], ["_id", "_set"])
+
+    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).join(ids, "_id")
+    return materialize(texts.mapInArrow(sets, "_id long, _set binary"))
+
+
+def intersection(u: np.ndarray, v: np.ndarray) -> int:
+    """Common values of two sorted sets."""
+    if len(u) > len(v):
+        u, v = v, u
+    at = np.searchsorted(v, u)
+    at[at == len(v)] = 0
+    return int((v[at] == u).sum()) if len(v) else 0
+
+
+def compare_cell(asks, band, rep, n, comp, ask, sig, p: Params, bounds: list[int]):
+    """For every asking member of a cell, (its row, rows that survive the sequential comparison, closest first). Only pairs of different
+    components meet; two minors meet once; a pair that shares several buckets meets in that of its first band."""
+    at = np.flatnonzero(~asks)
+    for i in np.flatnonzero(asks):
+        alive = at[(comp[at] != comp[i]) & (~ask[at] | (rep[at] < rep[i])) & (p.den * np.minimum(n[at], n[i]) >= p.num * np.maximum(n[at], n[i]))]
+        agree = np.zeros(len(alive), np.int32)
+        for k, bound in enumerate(bounds):
+            if not len(alive):
+                break
+            part = slice(k * p.batch, (k + 1) * p.batch)
+            agree += (sig[alive, part] == sig[i, part]).sum(1).astype(np.int32)
+            ok = agree >= bound
+            alive, agree = alive[ok], agree[ok]
+        if len(alive):
+            shared = (sig[alive] == sig[i]).reshape(len(alive), p.bands, p.rows).all(axis=2)
+            first = shared.argmax(axis=1) == band[i]
+            alive, agree = alive[first], agree[first]
+        if len(alive):
+            yield i, alive[np.lexsort((rep[alive], -agree))]
+
+
+def by_cell(batches, width: int, solve):
+    """Apply solve to the complete cells of batches sorted by cell; rows: cell, asks, band, rep, n, c, ask, sig (, set)."""
+    held, last = [], None
+    for b in batches:
+        if not b.num_rows:
+            continue
+        cell = b.column(0).to_numpy()
+        cols = [b.column(i).to_numpy(zero_copy_only=False) for i in range(1, 7)]
+        cols.append(np.frombuffer(b"".join(b.column(7).to_pylist()), np.uint32).reshape(-1, width))
+        if b.num_columns > 8:
+            sets = np.empty(b.num_rows, object)
+            sets[:] = b.column(8).to_pylist()
+            cols.append(sets)
+        cut = np.concatenate([[0], np.flatnonzero(cell[1:] != cell[:-1]) + 1, [len(cell)]])
+        for lo, hi in zip(cut[:-1], cut[1:]):
+            if held and cell[lo] != last:
+                yield from solve(last, [np.concatenate(c) for c in zip(*held)])
+                held = []
+            held.append([c[lo:hi] for c in cols])
+            last = cell[lo]
+    if held:
+        yield from solve(last, [np.concatenate(c) for c in zip(*held)])
+
+
+def cross_links(members: DataFrame, node: DataFrame, docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b) links between members of one bucket whose components differ: enough to join all components that any such pair joins.
+    members: (k, i, rep, c) with the bucket, its band, the document and its component.
+
+    In a bucket only the members outside its largest component ask (minors); all members answer. Cells of about CELL minors by CELL
+    members are compared in blocks of signatures, and the members that survive somewhere are compared again with their full sets at
+    hand, so a pair never becomes a row; a minor that has found a component asks no more of its members.
     """
     parts = n_partitions(members.sparkSession)
     per = members.groupBy("k", "c").agg(F.count("*").alias("m"))
@@ -139,64 +199,52 @@ def cross_links(members: DataFrame, p: Params, best_only: bool) -> DataFrame:
     gt, gq = (F.ceil(F.col(c) / CELL).cast("long") for c in ("size", "minors"))
     open_ = members.join(buckets, "k").withColumns({"gt": gt, "gq": gq, "ask": F.col("c") != F.col("major"), "h": F.xxhash64("rep")})
     spread = lambda g: F.explode(F.sequence(F.lit(0).cast("long"), g - 1))
-    answers = open_.select("k", F.pmod("h", "gt").alias("bt"), spread(F.col("gq")).alias("bq"), F.lit(False).alias("asks"), "rep", "n", "c", "ask", "sig")
-    asks = open_.where("ask").select("k", spread(F.col("gt")).alias("bt"), F.pmod("h", "gq").alias("bq"), F.lit(True).alias("asks"), "rep", "n", "c", "ask", "sig")
-    cells = answers.unionByName(asks).withColumn("cell", F.xxhash64("k", "bt", "bq")).select("cell", "asks", "rep", "n", "c", "ask", "sig")
-    cells = cells.repartition(parts, "cell").sortWithinPartitions("cell", "asks", "rep")
+    answers = open_.select("k", "i", F.pmod("h", "gt").alias("bt"), spread(F.col("gq")).alias("bq"), F.lit(False).alias("asks"), "rep", "c", "ask")
+    asks = open_.where("ask").select("k", "i", spread(F.col("gt")).alias("bt"), F.pmod("h", "gq").alias("bq"), F.lit(True).alias("asks"), "rep", "c", "ask")
+    cells = materialize(answers.unionByName(asks).select(F.xxhash64("k", "bt", "bq").alias("cell"), "asks", "i", "rep", "c", "ask"))
     bounds, width = least_matches(p), p.bands * p.rows
+    layout = ["cell", "asks", "i", "rep", "n", "c", "ask", "sig"]
+
+    def involved(batches):
+        def solve(cell, cols):
+            asks, band, rep, n, comp, ask, sig = cols
+            found = set()
+            for i, alive in compare_cell(asks, band, rep, n, comp, ask, sig, p, bounds):
+                found.add(int(rep[i]))
+                found.update(rep[alive].tolist())
+            if found:
+                yield pa.record_batch([pa.array([cell] * len(found), pa.int64()), pa.array(sorted(found), pa.int64())], ["cell", "rep"])
 
-    def solve(asks, rep, n, comp, ask, sig):
-        out = []
-        at = np.flatnonzero(~asks)
-        for i in np.flatnonzero(asks):
-            # two minors meet once, from the larger id; a member of the largest component never asks
-            alive = at[(comp[at] != comp[i]) & (~ask[at] | (rep[at] < rep[i])) & (p.den * np.minimum(n[at], n[i]) >= p.num * np.maximum(n[at], n[i]))]
-            agree = np.zeros(len(alive), np.int32)
-            for k, bound in enumerate(bounds):
-                if not len(alive):
-                    break
-                part = slice(k * p.batch, (k + 1) * p.batch)
-                agree += (sig[alive, part] == sig[i, part]).sum(1).astype(np.int32)
-                ok = agree >= bound
-                alive, agree = alive[ok], agree[ok]
-            if best_only and len(alive) > 1:
-                order = np.lexsort((rep[alive], -agree, comp[alive]))
-                alive, agree = alive[order], agree[order]
-                first = np.concatenate([[True], comp[alive][1:] != comp[alive][:-1]])
-                alive, agree = alive[first], agree[first]
-            out += [(min(rep[i], rep[j]), max(rep[i], rep[j]), g) for j, g in zip(alive, agree)]
-        return out
-
-    def run(batches):
-        held = []  # rows of the cell that is not complete yet, as column tuples
+        return by_cell(batches, width, solve)
 
-        def flush(rows):
-            asks, rep, n, comp, ask, sig = (np.concatenate(c) for c in zip(*rows))
-            return solve(asks, rep, n, comp, ask, sig) if asks.any() else []
+    def ready(df, columns):
+        return df.select(*columns).repartition(parts, "cell").sortWithinPartitions("cell", "asks", "rep")
 
-        last, found = None, []
-        for b in batches:
-            if not b.num_rows:
-                continue
-            cell = b.column(0).to_numpy()
-            cols = [b.column(1).to_numpy(zero_copy_only=False), b.column(2).to_numpy(), b.column(3).to_numpy(), b.column(4).to_numpy(), b.column(5).to_numpy(zero_copy_only=False), np.frombuffer(b"".join(b.column(6).to_pylist()), np.uint32).reshape(-1, width)]
-            cut = np.concatenate([[0], np.flatnonzero(cell[1:] != cell[:-1]) + 1, [len(cell)]])
-            for lo, hi in zip(cut[:-1], cut[1:]):
-                if last is not None and cell[lo] != last and held:
-                    found += flush(held)
-                    held = []
-                held.append([c[lo:hi] for c in cols])
-                last = cell[lo]
-            if found:
-                x, y, g = zip(*found)
-                yield pa.record_batch([pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(g, pa.int32())], ["a", "b", "agree"])
-                found = []
-        if held and (found := flush(held)):
-            x, y, g = zip(*found)
-            yield pa.record_batch([pa.array(x, pa.int64()), pa.array(y, pa.int64()), pa.array(g, pa.int32())], ["a", "b", "agree"])
+    full = cells.join(node, "rep")
+    near = materialize(ready(full, layout).mapInArrow(involved, "cell long, rep long"))
+    held = shingle_sets(docs, materialize(near.select(F.col("rep").alias("_id")).distinct()), id_col, text_col)
 
-    kept = cells.mapInArrow(run, "a long, b long, agree int")
-    return materialize(kept.groupBy("a", "b").agg(F.max("agree").alias("agree")))
+    def verify(batches):
+        def solve(cell, cols):
+            asks, band, rep, n, comp, ask, sig, sets = cols
+            out = []
+            for i, alive in compare_cell(asks, band, rep, n, comp, ask, sig, p, bounds):
+                u, met = np.frombuffer(sets[i], np.uint64), set()
+                for j in alive.tolist():
+                    if comp[j] not in met:
+                        v = np.frombuffer(sets[j], np.uint64)
+                        both = intersection(u, v)
+                        if p.den * both >= p.num * (len(u) + len(v) - both):
+                            met.add(comp[j])
+                            out.append((min(rep[i], rep[j]), max(rep[i], rep[j])))
+            if out:
+                a, b = zip(*out)
+                yield pa.record_batch([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+        return by_cell(batches, width, solve)
+
+    again = full.join(near, ["cell", "rep"], "left_semi").join(held.select(F.col("_id").alias("rep"), "_set"), "rep")
+    return materialize(ready(again, [*layout, "_set"]).mapInArrow(verify, "a long, b long").distinct())
 
 
 def near_duplicates(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -210,44 +258,28 @@ def near_duplicates(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id
     sigs = materialize(signatures(docs, p, id_col, text_col))
     reps = materialize(sigs.where("n_shingles > 0 and doc_id is not null").groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"), F.max("sig").alias("sig")))
     node = reps.select("rep", "n", "sig")
-    keys = node.select("rep", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * p.rows * i + 1}, {4 * p.rows})")).alias("k")) for i in range(p.bands)])).alias("_b")).select("rep", F.col("_b.k").alias("k"))
+    keys = node.select("rep", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * p.rows * i + 1}, {4 * p.rows})")).alias("k")) for i in range(p.bands)])).alias("_b")).select("rep", F.col("_b.i").alias("i"), F.col("_b.k").alias("k"))
     crowded = materialize(keys.groupBy("k").agg(F.count("*").alias("size"), F.min("rep").alias("leader")).where("size > 1"))
-    member = materialize(keys.join(crowded, "k").select("k", "rep", "leader").distinct())
-    links, comps = None, None
-
-    def settle(alive: DataFrame) -> None:
-        """Verify survivors on full sets and join their components: one partner for every node first, then pairs still apart."""
-        nonlocal links, comps
-        best = alive.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("_x")).select((-F.col("_x.m")).alias("a"), "b")
-        first = materialize(exact_links(best, docs, p, id_col, text_col).select("a", "b"))
-        links = first if links is None else materialize(links.unionByName(first))
-        comps = materialize(connected_components(links, "a", "b"))
-        left = alive.select("a", "b").join(first, ["a", "b"], "left_anti")
-        left = left.join(comps.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(comps.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
-        left = materialize(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"))
-        if not left.isEmpty():
-            second = materialize(exact_links(left, docs, p, id_col, text_col).select("a", "b"))
-            if not second.isEmpty():
-                links = materialize(links.unionByName(second))
-                comps = materialize(connected_components(links, "a", "b"))
-
-    # every member of a bucket against its leader
+    member = materialize(keys.join(crowded, "k").select("k", "i", "rep", "leader").distinct())
+
+
+    # every member of a bucket against its leader: one partner for every node first, then pairs still apart
     star = member.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
     a = node.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("siga"))
     b = node.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sigb"))
-    settle(materialize(bayes_filter(star.join(a, "a").join(b, "b"), p)))
-    # then members of one bucket in different components: the closest of each first, all of them last
-    for best_only in (True, False):
-        labelled = member.select("k", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("k", "rep", F.coalesce("component", "rep").alias("c"))
-        apart = labelled.groupBy("k").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("k")
-        apart = materialize(apart)
-        if apart.isEmpty():
-            break
-        members = materialize(labelled.join(apart, "k")).join(node, "rep").select("k", "rep", "n", "sig", "c")
-        alive = cross_links(members, p, best_only)
-        if alive.isEmpty():
-            break
-        settle(alive)
+    alive = materialize(bayes_filter(star.join(a, "a").join(b, "b"), p))
+    best = alive.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("_x")).select((-F.col("_x.m")).alias("a"), "b")
+    links = materialize(exact_links(best, docs, p, id_col, text_col).select("a", "b"))
+    comps = materialize(connected_components(links, "a", "b"))
+    left = alive.select("a", "b").join(links, ["a", "b"], "left_anti")
+    left = left.join(comps.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(comps.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
+    more = exact_links(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")), docs, p, id_col, text_col).select("a", "b")
+    links = materialize(links.unionByName(more))
+    comps = materialize(connected_components(links, "a", "b"))
+    # then members of one bucket in different components
+    labelled = member.select("k", "i", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("k", "i", "rep", F.coalesce("component", "rep").alias("c"))
+    cross = cross_links(materialize(labelled), node, docs, p, id_col, text_col)
+    comps = materialize(connected_components(links.unionByName(cross), "a", "b"))
     rep_comp = materialize(reps.select("h1", "h2", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("h1", "h2", F.coalesce("component", "rep").alias("_c")))
     out = sigs.select("doc_id", "n_shingles", "h1", "h2").join(rep_comp, ["h1", "h2"], "left")
     comp = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("_c")).otherwise(F.col("doc_id"))
