@@ -54,6 +54,7 @@ def clip(points: DataFrame, region: RegionSpec = RegionSpec(), x: str = "x_mas",
     return points.where(in_box(F.col(x), F.col(y), 0, 0, region.width, region.height))
 
 
-def wkt_line(x1: Column, y1: Column, x2: Column, y2: Column, region: RegionSpec = RegionSpec()) -> Column:
-    d = lambda c: F.format_number(c, "0.000000")
-    return F.concat(F.lit("LINESTRING("), d(lon(x1, region)), F.lit(" "), d(lat(y1, region)), F.lit(", "), d(lon(x2, region)), F.lit(" "), d(lat(y2, region)), F.lit(")"))
+def wkt_line(x1: Column, y1: Column, x2: Column, y2: Column) -> Column:
+    """Line text in whole milli-arc-seconds, which no rounding can change."""
+    t = lambda c: c.cast("string")
+    return F.concat(F.lit("LINESTRING("), t(x1), F.lit(" "), t(y1), F.lit(", "), t(x2), F.lit(" "), t(y2), F.lit(")"))

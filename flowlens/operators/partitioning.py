@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..config import RegionSpec
 
@@ -153,7 +154,7 @@ def lookup(df: DataFrame, tree: PartitionTree, method: str = "cut_tree", x: str
                 found = [rtree_search(levels, i, j, i, j) for i, j in zip(xs, ys)]
                 yield pa.record_batch([*b.columns, pa.array([f[0] if f else None for f in found], pa.int32())], [*b.schema.names, "leaf"])
 
-        return df.mapInArrow(run, df.schema.add("leaf", "int"))
+        return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("leaf", T.IntegerType())]))
     raise ValueError(f"unknown lookup {method}")
 
 
