@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from ..functions.geo import great_circle_km
 from ..functions.grid import cell
 
-BY_USER = Window.partitionBy("user_id").orderBy("ts", "point_id")
+def by_user():
+    return Window.partitionBy("user_id").orderBy("ts", "point_id")
 
 
 def seconds(a: str, b: str):
@@ -18,7 +19,7 @@ def seconds(a: str, b: str):
 def build_movements(points: DataFrame, max_gap_s: int | None = None, min_displacement_km: float | None = None, drop_same_cell: int | None = None) -> DataFrame:
     """Each point linked to the same user's next one. Options drop pairs that are too far apart in time, too close in space, or inside
     one cell of a level. A user with one point has no movement."""
-    nxt = {f"_{c}": F.lead(c).over(BY_USER) for c in ("ts", "x_mas", "y_mas")}
+    nxt = {f"_{c}": F.lead(c).over(by_user()) for c in ("ts", "x_mas", "y_mas")}
     mv = points.where("x_mas is not null and y_mas is not null").withColumns(nxt).where("_ts is not null")
     mv = mv.select(F.col("point_id").alias("movement_id"), "user_id", F.col("ts").alias("t0"), F.col("_ts").alias("t1"), F.col("x_mas").alias("sx"), F.col("y_mas").alias("sy"), F.col("_x_mas").alias("tx"), F.col("_y_mas").alias("ty"), *[c for c in ("event_type", "value") if c in points.columns])
     mv = mv.withColumns({"dist_km": great_circle_km(F.col("sx"), F.col("sy"), F.col("tx"), F.col("ty")), "travel_s": seconds("t0", "t1").cast("long")})
@@ -38,9 +39,9 @@ def as_arrays(points: DataFrame) -> DataFrame:
 
 def sessions(points: DataFrame, gap_s: int) -> DataFrame:
     """Points with the number of their trip: a new one starts after a gap of more than gap_s seconds."""
-    before = F.lag("ts").over(BY_USER)
+    before = F.lag("ts").over(by_user())
     new = F.coalesce((F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(before.cast("timestamp")) > gap_s * 1_000_000).cast("long"), F.lit(0))
-    return points.withColumn("_new", new).withColumn("trip", F.sum("_new").over(BY_USER.rowsBetween(Window.unboundedPreceding, 0))).drop("_new")
+    return points.withColumn("_new", new).withColumn("trip", F.sum("_new").over(by_user().rowsBetween(Window.unboundedPreceding, 0))).drop("_new")
 
 
 def position_at(points: DataFrame, probes: DataFrame) -> DataFrame:

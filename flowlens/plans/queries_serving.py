@@ -490,7 +490,7 @@ def count_classes(spark, d):
 
 @query_(with_("pts", "SELECT point_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, point_id ROWS UNBOUNDED PRECEDING) AS posts FROM pts"))
 def running_posts(spark, d):
-    return carriers.points(spark, d).select("point_id", F.count("*").over(trajectory.BY_USER.rowsBetween(Window.unboundedPreceding, 0)).alias("posts"))
+    return carriers.points(spark, d).select("point_id", F.count("*").over(trajectory.by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("posts"))
 
 
 @query_(with_("mv", "SELECT movement_id, round(avg(dist_km) OVER (PARTITION BY user_id ORDER BY t0, movement_id ROWS BETWEEN 3 PRECEDING AND CURRENT ROW), 5) AS mean_km FROM mv"))
