@@ -27,6 +27,8 @@ GROUP_CAP, ARRAY_BYTES = 4096, 1 << 19
 #: Share of documents whose anchors are counted to find the values to spread over partitions (layout only, results never depend on it).
 SAMPLE_OF = 64
 BLOCK = 1 << 22
+#: Columns added to documents for a while; no table has such names.
+SPANS, SPANS_ID = "__flowlens_spans", "__flowlens_id"
 
 
 def range_hash(total: np.ndarray, up: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -329,11 +331,11 @@ def keep_mask(n: int, spans: list[dict] | None) -> tuple[np.ndarray, int]:
 
 
 def with_ranges(docs: DataFrame, length: int, gram: int, group_cap: int = GROUP_CAP) -> DataFrame:
-    """Rows with the column _spans: their documents' removed ranges, joined in by doc_id."""
+    """Rows with the column SPANS: their documents' removed ranges, joined in by doc_id."""
     bare = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     ranges = removed_ranges(bare, length, gram, group_cap)
-    spans = materialize(ranges.groupBy(F.col("doc_id").alias("_id")).agg(F.collect_set(F.struct("start", "end")).alias("_spans")))
-    return docs.join(spans, docs["doc_id"] == spans["_id"], "left").drop("_id")
+    spans = materialize(ranges.groupBy(F.col("doc_id").alias(SPANS_ID)).agg(F.collect_set(F.struct("start", "end")).alias(SPANS)))
+    return docs.join(spans, docs["doc_id"] == spans[SPANS_ID], "left").drop(SPANS_ID)
 
 
 def dedup_digest(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, group_cap: int = GROUP_CAP) -> DataFrame:
@@ -354,7 +356,7 @@ def dedup_digest(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, group_
                 yield pa.record_batch([pa.array(c, k) for c, k in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string()))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     rows = with_ranges(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), length, gram, group_cap)
-    return rows.select("doc_id", "text", "_spans").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return rows.select("doc_id", "text", SPANS).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def dedup_texts(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -363,7 +365,7 @@ def dedup_texts(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> Data
 
     def run(batches):
         for b in batches:
-            k, s = b.schema.get_field_index("text"), b.schema.get_field_index("_spans")
+            k, s = b.schema.get_field_index("text"), b.schema.get_field_index(SPANS)
             out = []
             for t, spans in zip(b.column(k).to_pylist(), b.column(s).to_pylist()):
                 if spans:
