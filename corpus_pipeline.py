@@ -40,10 +40,10 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document as often as the mix takes it; a document without words has nothing to take and stays once."""
     taken = mix(docs)
-    times = taken.select("doc_id", F.when(F.col("size") > 0, F.col("epochs")).otherwise(F.lit(1)).cast("int").alias("_times"))
+    times = taken.select("doc_id", F.when(F.col("size") > 0, F.col("epochs")).otherwise(F.lit(1)).cast("int").alias("__flowlens_times"))
     times = materialize(_unique_ids(times))
     joined = docs.join(times, docs["doc_id"].eqNullSafe(times["doc_id"]), "left").drop(times["doc_id"])
-    return joined.withColumn("_copy", F.explode(F.array_repeat(F.lit(1), F.coalesce("_times", F.lit(1))))).select(*docs.columns)
+    return joined.withColumn("__flowlens_copy", F.explode(F.array_repeat(F.lit(1), F.coalesce("__flowlens_times", F.lit(1))))).select(*docs.columns)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
