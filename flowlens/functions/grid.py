@@ -13,7 +13,7 @@ COORD_BITS = 14
 
 def cell(coord: Column, level: Column | int, grid: GridSpec = GridSpec()) -> Column:
     """Column or row number of a coordinate at a level."""
-    base = F.floor(coord / grid.base_mas).cast("long")
+    base = F.call_function("div", coord.cast("long"), F.lit(grid.base_mas).cast("long"))
     return F.call_function("shiftright", base, (F.lit(level) if isinstance(level, int) else level) - 1)
 
 
