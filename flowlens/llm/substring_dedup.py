@@ -118,30 +118,38 @@ def settle(rows: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "later boolean, ah long, sh long, doc_id long, loc long")
 
 
-def quotient(rows: list[np.ndarray], first: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def quotient(rows: list[np.ndarray], first: np.ndarray, reach: int, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Strings of symbols for groups of segments that are aligned at their anchors. rows: bytes of every segment, group by group, all
     groups of the same size; first: (groups, members) column of every segment's first byte.
 
     Neighbouring columns in which the same members agree are one symbol, so two segments agree on a part of a symbol only if they
-    agree on all of it, and nothing that a comparison could tell is lost. Returns (labels, present, starts): the member that a cell's
-    value is first met in, whether the cell holds a byte, and whether a symbol begins at a column of a group.
+    agree on all of it, and nothing that a comparison could tell is lost. All strings hold the anchor, so a segment counts only up to
+    the columns on either side of it in which no other agrees with it, and not at all if `length` columns do not remain. Returns
+    (labels, live, starts, ends): the member that a cell's value is first met in, the cells that count, whether a symbol begins at a
+    column of a group, and the column after a segment's last live cell.
     """
+    width = reach + length
     groups, members = first.shape
     cells = np.full((groups, members, width), 256, np.uint16) + np.arange(members, dtype=np.uint16)[None, :, None]
     flat = cells.reshape(-1, width)
     for r, (at, data) in enumerate(zip(first.ravel(), rows)):
         flat[r, at : at + len(data)] = data
-    present = cells < 256
     order = np.argsort(cells, axis=1, kind="stable")
     value = np.take_along_axis(cells, order, 1)
-    head = np.ones_like(present)
+    head = np.ones(cells.shape, bool)
     head[:, 1:] = value[:, 1:] != value[:, :-1]
     lead = np.maximum.accumulate(np.where(head, np.arange(members)[None, :, None], 0), axis=1)
-    labels = np.empty_like(order)
+    labels, alone = np.empty_like(order), np.empty_like(head)
     np.put_along_axis(labels, order, np.take_along_axis(order, lead, 1), 1)
+    np.put_along_axis(alone, order, head & np.concatenate([head[:, 1:], np.ones((groups, 1, width), bool)], axis=1), 1)
+    right, left = alone[:, :, reach + gram :], alone[:, :, :reach][:, :, ::-1]
+    ends = reach + gram + np.where(right.any(2), right.argmax(2), right.shape[2])
+    begins = reach - np.where(left.any(2), left.argmax(2), left.shape[2])
+    at = np.arange(width)
+    live = (at >= begins[:, :, None]) & (at < ends[:, :, None]) & (ends - begins >= length)[:, :, None]
     starts = np.ones((groups, width), bool)
-    starts[:, 1:] = ((labels[:, :, 1:] != labels[:, :, :-1]) | (present[:, :, 1:] != present[:, :, :-1])).any(axis=1)
-    return labels, present, starts
+    starts[:, 1:] = ((labels[:, :, 1:] != labels[:, :, :-1]) & live[:, :, 1:] | (live[:, :, 1:] != live[:, :, :-1])).any(axis=1)
+    return labels, live, starts, ends
 
 
 def longest_to_earlier(shared: list[int], rank: list[int]) -> list[int]:
@@ -164,9 +172,10 @@ def longest_to_earlier(shared: list[int], rank: list[int]) -> list[int]:
     return best
 
 
-def repeated_ranges(key: np.ndarray, start: np.ndarray, off: np.ndarray, segs: list[bytes], length: int, reach: int) -> list[tuple[int, int, int]]:
+def repeated_ranges(key: np.ndarray, start: np.ndarray, off: np.ndarray, segs: list[bytes], length: int, gram: int) -> list[tuple[int, int, int]]:
     """(row, start, end) byte ranges of all strings of `length` bytes that an earlier row of the same key holds at the same place about
     its anchor. Rows are sorted by key and then by the order that says which is earlier; off: the anchor's place in the segment."""
+    reach = length - gram
     width = reach + length
     cut = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     size = np.diff(np.append(cut, len(key)))
@@ -178,14 +187,16 @@ def repeated_ranges(key: np.ndarray, start: np.ndarray, off: np.ndarray, segs: l
         for lot in range(0, len(heads), max(1, 4096 // members)):
             rows = (heads[lot : lot + max(1, 4096 // members), None] + np.arange(members)[None, :]).ravel()
             first = (reach - off[rows]).reshape(-1, members)
-            labels, present, starts = quotient([np.frombuffer(segs[r], np.uint8) for r in rows], first, width)
-            g, m, c = np.nonzero(starts[:, None, :] & present)
+            labels, live, starts, ends = quotient([np.frombuffer(segs[r], np.uint8) for r in rows], first, reach, length, gram)
+            g, m, c = np.nonzero(starts[:, None, :] & live)
+            if not len(g):
+                continue
             symbol = ((base + g) * width + c) * (1 << 20) + labels[g, m, c]
             base += len(first)
             row = rows.reshape(-1, members)[g, m]
-            # every segment ends in a symbol of its own, one column past its last byte
+            # every segment ends in a symbol of its own, one column past its last live cell
             last = np.flatnonzero(np.append(row[1:] != row[:-1], True))
-            ends = reach - off[row[last]] + np.array([len(segs[r]) for r in row[last]])
+            ends = ends[g[last], m[last]]
             text.append(np.insert(symbol, last + 1, -1 - row[last]))
             owner.append(np.insert(row, last + 1, row[last]))
             column.append(np.insert(c, last + 1, ends))
@@ -215,7 +226,7 @@ def array_kernel(length: int, gram: int, array_bytes: int):
 
     def solve(rows):
         key, doc, start, off, segs = zip(*rows)
-        found = repeated_ranges(np.array(key, np.int64), np.array(start, np.int64), np.array(off, np.int64), list(segs), length, length - gram)
+        found = repeated_ranges(np.array(key, np.int64), np.array(start, np.int64), np.array(off, np.int64), list(segs), length, gram)
         row, begin, end = zip(*found) if found else ((), (), ())
         return pa.record_batch([pa.array([doc[r] for r in row], pa.int64()), pa.array(begin, pa.int64()), pa.array(end, pa.int64())], ["doc_id", "start", "end"])
 
