@@ -41,3 +41,16 @@ def join_lookup(df: DataFrame, lookup: DataFrame, on, how: str = "left") -> Data
 
 def n_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def slices(batches, rows: int = 512):
+    """Arrow batches in smaller pieces, which bounds what a kernel holds as Python objects at a time."""
+    for b in batches:
+        for k in range(0, b.num_rows, rows):
+            yield b.slice(k, rows)
+
+
+def drop_tables(spark: SparkSession) -> None:
+    """Delete the tables that materialize() wrote, once results that read them are stored."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/tables")
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

@@ -10,7 +10,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from .common import slices, table
 
 # Fixed values of the container format: element ids.
 EBML, EBML_VERSION, EBML_READ_VERSION, MAX_ID, MAX_SIZE, DOCTYPE, DOCTYPE_VERSION, DOCTYPE_READ = 0x1A45DFA3, 0x4286, 0x42F7, 0x42F2, 0x42F3, 0x4282, 0x4287, 0x4285
@@ -210,7 +210,7 @@ def media_column(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """doc_id, n_bytes, media: every whole text as a Matroska file. Null and empty texts hold one packet of padding; row by row."""
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             made = [padded(t) for t in b.column(1).to_pylist()]
             yield pa.record_batch([b.column(0), pa.array([n for _, n in made], pa.int64()), pa.array([mux(p) for p, _ in made], pa.binary())], ["doc_id", "n_bytes", "media"])
 
@@ -223,7 +223,7 @@ def packet_table(media: DataFrame, id_col: str = "doc_id", media_col: str = "med
     kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.string()]
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             for i, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 if data is None:
                     continue
@@ -254,7 +254,7 @@ def media_digest(media: DataFrame) -> DataFrame:
             return (i, n, None, None, None, len(data), hashlib.sha256(data).hexdigest(), None, str(e))
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             rows = [one(*r) for r in zip(*(c.to_pylist() for c in b.columns))]
             if rows:
                 yield pa.record_batch([pa.array(col, kind) for col, kind in zip(zip(*rows), kinds)], names)

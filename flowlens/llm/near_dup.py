@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, n_partitions, table
+from .common import materialize, n_partitions, slices, table
 from .components import connected_components
 from .shingles import Powers, coefficients, minhash, shingle_set
 
@@ -61,7 +61,7 @@ def signatures(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id", te
 
     def run(batches):
         powers, (a, b) = Powers(), coefficients(p.bands * p.rows)
-        for batch in batches:
+        for batch in slices(batches):
             n, h1, h2, sig = [], [], [], []
             for t in batch.column(1):
                 s = shingle_set(t.as_py(), powers)
@@ -102,7 +102,7 @@ def exact_links(pairs: DataFrame, docs: DataFrame, p: Params = Params(), id_col:
     held = shingle_sets(docs, materialize(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct()), id_col, text_col)
 
     def verify(batches):
-        for b in batches:
+        for b in slices(batches):
             rows = []
             for x, y, s, t in zip(*(c.to_pylist() for c in b.columns)):
                 u, v = np.frombuffer(s, np.uint64), np.frombuffer(t, np.uint64)
@@ -122,7 +122,7 @@ def shingle_sets(docs: DataFrame, ids: DataFrame, id_col: str = "doc_id", text_c
 
     def sets(batches):
         powers = Powers()
-        for b in batches:
+        for b in slices(batches):
             yield pa.record_batch([b.column(0), pa.array([shingle_set(t.as_py(), powers).tobytes() for t in b.column(1)], pa.binary())], ["_id", "_set"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).join(ids, "_id")

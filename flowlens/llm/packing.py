@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import join_lookup, materialize, n_partitions, table
+from .common import join_lookup, materialize, n_partitions, slices, table
 from .tokens import default_vocabulary, encoder, split_points
 
 CAP = 2048
@@ -34,7 +34,7 @@ def token_pieces(docs: DataFrame, cap: int = CAP, vocabulary: str | None = None,
 
     def run(batches):
         encode = encoder(vocabulary)
-        for b in batches:
+        for b in slices(batches):
             rows = []
             for i, text in zip(b.column(0).to_pylist(), b.column(1)):
                 ids = np.append(encode(text.as_py() or ""), np.uint32(separator)).astype("<u4")

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import join_lookup, materialize, n_partitions, table
+from .common import join_lookup, materialize, n_partitions, slices, table
 from .shingles import BASE, Powers, mixed
 from .suffix_array import common_prefixes, suffix_array
 
@@ -74,7 +74,7 @@ def segments(docs: DataFrame, length: int, gram: int) -> DataFrame:
 
     def run(batches):
         powers = Powers()
-        for b in batches:
+        for b in slices(batches):
             out = [[], [], [], []]
             for i, t in zip(b.column(0).to_pylist(), b.column(1)):
                 ah, sh, first, at, count = anchors(raw_bytes(t.as_py()), powers, length, gram)
@@ -232,7 +232,7 @@ def array_kernel(length: int, gram: int, array_bytes: int):
 
     def run(batches):
         held, size, key = [], 0, None
-        for b in batches:
+        for b in slices(batches):
             for row in zip(*(c.to_pylist() for c in b.columns)):
                 if size >= array_bytes and row[0] != key:
                     yield solve(held)
@@ -280,7 +280,7 @@ def removed_ranges(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, grou
     asked = materialize(wanted.groupBy("doc_id").agg(F.collect_list(F.struct("ah", "loc")).alias("asked")))
 
     def cut(batches):
-        for b in batches:
+        for b in slices(batches):
             rows = []
             for i, t, asked in zip(*(c.to_pylist() for c in b.columns)):
                 raw = (t or "").encode("utf-8", "surrogatepass")
@@ -357,7 +357,7 @@ def dedup_digest(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, group_
     """
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             rows = []
             for i, t, spans in zip(*(c.to_pylist() for c in b.columns)):
                 raw = raw_bytes(t)
@@ -375,7 +375,7 @@ def dedup_texts(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> Data
     rows = with_ranges(docs, length, gram)
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             k, s = b.schema.get_field_index("text"), b.schema.get_field_index(SPANS)
             out = []
             for t, spans in zip(b.column(k).to_pylist(), b.column(s).to_pylist()):
