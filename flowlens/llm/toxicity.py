@@ -26,7 +26,7 @@ SAMPLE_TOXIC, SAMPLE_CLEAN, SAMPLE_CHARS = 1500, 3000, 20_000
 DIM = 1 << 17
 #: Likelihood-ratio bound and share of toxic documents from which a feature tags tokens.
 MIN_G, MIN_PURITY = 30.0, 0.97
-EPOCHS, STEP, L2 = 60, 0.3, 1e-3
+EPOCHS, STEP, L2 = 60, 0.1, 1.0
 #: Long texts are scored in windows of CORE tokens with HALO tokens of context on either side, over which a chain forgets its start.
 CORE, HALO = 256, 48
 THRESHOLD = 0.7
@@ -121,8 +121,22 @@ def quick_marginals(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: fl
     return (f / (1 + f)).T
 
 
+def distinct(words: list[list[str]]) -> list[int]:
+    """Documents without those that share one of two least hashes of word triples with an earlier one: copies must not count as evidence."""
+    seen, out = set(), []
+    for i, ws in enumerate(words):
+        triples = [" ".join(ws[k : k + 3]).encode("utf-8", "surrogatepass") for k in range(max(1, len(ws) - 2))]
+        keys = {(0, min(map(zlib.crc32, triples))), (1, min(map(zlib.adler32, triples)))}
+        if not keys & seen:
+            out.append(i)
+        seen |= keys
+    return out
+
+
 def weak_tags(words: list[list[str]], toxic: list[int]) -> set[str]:
     """Features whose documents are toxic ones, by Dunning's likelihood ratio against independence."""
+    own = distinct(words)
+    words, toxic = [words[i] for i in own], [toxic[i] for i in own]
     with_, bad, n, n1 = Counter(), Counter(), len(words), sum(toxic)
     for ws, y in zip(words, toxic):
         seen = {f for w in set(ws) if len(w) > 2 for f in features(w)[:4]}
