@@ -625,3 +625,13 @@ def incremental_equals_batch(spark, d):
     for i in range(10):
         put(mv.where(F.col("movement_id") % 10 == i), i)
     return streams.refreshed(spark, path).select("bin", "level", "cx", "cy", "n")
+
+
+@query_()
+def latency_summary(spark, d):
+    """Average, median and 90th percentile of the response time of 200 served viewports at 40 a second, by pattern."""
+    from . import workload
+
+    got = workload.load_test(spark, d, 200, 5.0, by_spark=False)
+    rows = [(k.split("_")[0], float(v["average"]), float(v["median"]), float(v["p90"]), v["queries"]) for k, v in got.items() if isinstance(v, dict)]
+    return spark.createDataFrame(rows, "pattern string, average double, median double, p90 double, queries int")

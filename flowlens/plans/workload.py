@@ -106,7 +106,7 @@ class Served:
 SERVE_ROWS = 20_000_000
 
 
-def load_test(spark: SparkSession, sf_dir: str, queries: int = 2000, duration: float = 50.0, patterns=("population", "hotspot"), threads: int = 8) -> dict:
+def load_test(spark: SparkSession, sf_dir: str, queries: int = 2000, duration: float = 50.0, patterns=("population", "hotspot"), threads: int = 8, by_spark: bool = True) -> dict:
     """Open-loop queries at a fixed rate: average, median and 90th percentile of the response time in ms, waiting included.
 
     served: the summarized graph in a serving process (it is bounded by the grid and the caps; SERVE_ROWS is checked). spark: a tenth
@@ -136,11 +136,7 @@ def load_test(spark: SparkSession, sf_dir: str, queries: int = 2000, duration: f
         asked = [r.asDict() for r in views(points, (0, 1, 2), -(-queries // 3)).collect()]
         if served:
             out[f"{pattern}_served"] = run(served.viewport, asked, duration)
-        few = asked[: max(1, len(asked) // 10)]
-
-        def by_spark(box, level):
-            seen = query.viewport_nodes(nodes, box, level)
-            return query.viewport_edges(edges, seen, level).toArrow() if hasattr(edges, "toArrow") else query.viewport_edges(edges, seen, level).collect()
-
-        out[f"{pattern}_spark"] = run(by_spark, few, duration)
+        if by_spark:
+            few = asked[: max(1, len(asked) // 10)]
+            out[f"{pattern}_spark"] = run(lambda box, level: query.viewport_edges(edges, query.viewport_nodes(nodes, box, level), level).toArrow(), few, duration)
     return out
