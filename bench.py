@@ -10,7 +10,7 @@ from pyspark.sql import SparkSession
 
 from flowlens.config import PyramidConfig
 from flowlens.operators import aggregate, bloom, summarize
-from flowlens.plans import queries_serving, workload
+from flowlens.plans import metrics, queries_serving, workload
 from flowlens.registry import QUERIES
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
@@ -58,9 +58,11 @@ def main() -> None:
     out = {"metric": "three_step_overall", "value": round(overall, 3), "unit": "sec", "queries": times | {f"step_{k}": v for k, v in steps.items()},
            "sf": SF_DIR.rsplit("/sf", 1)[-1], "movements": n, "movements_per_s": round(n / overall), "movements_per_s_core": round(n / overall / int(CPUS))}
     out["latency_ms"] = workload.load_test(spark, SF_DIR, queries=int(os.environ.get("BENCH_QUERIES", "100")), duration=5.0)
+    out["scale"] = workload.scale_up(spark, SF_DIR, (1, 10))
     if os.environ.get("BENCH_FULL"):
         out["sweep"] = workload.step_sweep(spark, SF_DIR)
-        out["scale"] = workload.scale_up(spark, SF_DIR, (1, 3, 10))
+        out["ablations"] = workload.ablations(spark, SF_DIR)
+        out["task_seconds"] = metrics.task_seconds(spark, lambda: aggregate.pyramid_nodes(queries_serving.movements(spark, SF_DIR), cfg))
     print(json.dumps(out))
 
 

@@ -16,8 +16,8 @@ GOLDEN = (math.sqrt(5) - 1) / 2
 def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 0.05) -> DataFrame:
     """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id).
 
-    buckets: points meet in cells of the given width on the first coordinate and their neighbours, and a point whose kth distance is
-    beyond the width is searched among all. all_pairs: the baseline.
+    buckets: points meet in cells of the given width on the first coordinate and their neighbours; a point whose kth distance is
+    beyond the width is asked again in cells twice as wide, until the width spans the data. all_pairs: the baseline.
     """
     p = points.select("id", "p")
     d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda a, b: a + b)
@@ -30,11 +30,20 @@ def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", wid
     q = p.select(F.col("id").alias("other"), F.col("p").alias("q"))
     if method == "all_pairs":
         return nearest(p.crossJoin(q))
-    cell = lambda c: F.floor(F.col(c)[0] / width)
-    local = nearest(p.withColumn("b", cell("p")).join(q.withColumn("b", F.explode(F.array(*[cell("q") + i for i in (-1, 0, 1)]))), "b"))
-    sure = local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id")
-    rest = p.join(sure, "id", "left_anti")
-    return local.join(sure, "id", "left_semi").unionByName(nearest(rest.crossJoin(q)))
+    span = p.agg(F.max(F.col("p")[0]) - F.min(F.col("p")[0])).first()[0] or 0.0
+    out, rest = None, p
+    while True:
+        cell = lambda c: F.floor(F.col(c)[0] / width)  # noqa: B023, E731
+        local = nearest(rest.withColumn("b", cell("p")).join(q.withColumn("b", F.explode(F.array(*[cell("q") + i for i in (-1, 0, 1)]))), "b")).persist()
+        if width >= span:
+            return local if out is None else out.unionByName(local)
+        sure = local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id")
+        done = local.join(sure, "id", "left_semi")
+        out = done if out is None else out.unionByName(done)
+        rest = rest.join(sure, "id", "left_anti").persist()
+        if rest.isEmpty():
+            return out
+        width *= 2
 
 
 def bundle_ink(edges: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:

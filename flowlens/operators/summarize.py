@@ -128,6 +128,11 @@ def significant_nodes(nodes: DataFrame, cfg: PyramidConfig = PyramidConfig(), st
 
 
 def globally_significant(nodes: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """The baseline with one ranking for the whole level: share of its nodes with no larger count."""
-    w = Window.partitionBy("level").orderBy("n")
-    return nodes.withColumn("_r", F.cume_dist().over(w)).where(F.col("_r") > threshold).select(*KEY, "n")
+    """The baseline with one ranking for the whole level: share of its nodes with no larger count.
+
+    Ranks come from a histogram of counts, which has few rows however many nodes a level has, so no level is sorted in one task.
+    """
+    w = Window.partitionBy("level").orderBy("n").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    hist = nodes.groupBy("level", "n").agg(F.count("*").alias("c"))
+    high = hist.withColumn("_r", F.sum("c").over(w) / F.sum("c").over(Window.partitionBy("level"))).where(F.col("_r") > threshold).select("level", "n")
+    return nodes.join(high, ["level", "n"], "left_semi").select(*KEY, "n")

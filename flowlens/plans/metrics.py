@@ -32,3 +32,32 @@ def timed(make, runs: int = 3) -> float:
 def edge_bound(cells: int) -> int:
     """Undirected edges without loops among so many cells."""
     return cells * (cells - 1) // 2
+
+
+def task_seconds(spark, make) -> dict[str, float]:
+    """Tasks and their mean run time in the stages that computing a frame runs, by whether they write a shuffle (map side) or not."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    ids = lambda: {s.stageId() for s in _stages(store)}
+    before = ids()
+    make().write.format("noop").mode("overwrite").save()
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    out = {"map_tasks": 0, "map_s": 0.0, "reduce_tasks": 0, "reduce_s": 0.0}
+    for s in _stages(store):
+        if s.stageId() not in before and s.numCompleteTasks():
+            side = "map" if s.shuffleWriteRecords() else "reduce"
+            out[f"{side}_tasks"] += s.numCompleteTasks()
+            out[f"{side}_s"] += s.executorRunTime() / 1000
+    for side in ("map", "reduce"):
+        out[f"{side}_s"] = round(out[f"{side}_s"] / max(1, out[f"{side}_tasks"]), 4)
+    return out
+
+
+def _stages(store) -> list:
+    listed = store.stageList(None, False, False, _no_quantiles(), None)
+    return [listed.apply(i) for i in range(listed.size())]
+
+
+def _no_quantiles():
+    from pyspark import SparkContext
+
+    return SparkContext._gateway.new_array(SparkContext._jvm.double, 0)

@@ -172,12 +172,12 @@ def cap_effect(spark, d):
 def views(points: DataFrame, sets: tuple[int, ...] = (0, 1, 2), most: int = 2000) -> DataFrame:
     """Viewports centred on points drawn by an arithmetic hash, so crowded places recur: set_id, query_id, x0, y0, x1, y1, level.
 
-    A threshold on the hash first thins the points to about twice what is wanted, so no global sort sees them all.
+    Each set keeps its points of least hash by a bounded top-k, so only that many rows are numbered.
     """
-    h = (F.col("point_id") * 69_621 + F.col("set_id") * 7_919) % F.lit(2_147_483_647).cast("long")
-    p = points.withColumn("set_id", F.explode(F.array(*[F.lit(s) for s in sets]))).withColumn("h", h)
+    h = lambda s: (F.col("point_id") * 69_621 + 7_919 * s) % F.lit(2_147_483_647).cast("long")
+    few = [points.select("point_id", "x_mas", "y_mas", F.lit(s).alias("set_id"), h(s).alias("h")).orderBy("h", "point_id").limit(most) for s in sets]
     w = Window.partitionBy("set_id").orderBy("h", "point_id")
-    p = p.withColumn("query_id", F.row_number().over(w) - 1).where(F.col("query_id") < most).withColumn("level", (F.col("h") % 10 + 1).cast("int"))
+    p = reduce(DataFrame.unionByName, few).withColumn("query_id", F.row_number().over(w) - 1).withColumn("level", (F.col("h") % 10 + 1).cast("int"))
     size = F.call_function("shiftleft", F.lit(30_000).cast("long"), F.col("level") - 1)
     region = CFG.grid.region
     zero = F.lit(0).cast("long")

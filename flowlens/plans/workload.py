@@ -140,3 +140,47 @@ def load_test(spark: SparkSession, sf_dir: str, queries: int = 2000, duration: f
             few = asked[: max(1, len(asked) // 10)]
             out[f"{pattern}_spark"] = run(lambda box, level: query.viewport_edges(edges, query.viewport_nodes(nodes, box, level), level).toArrow(), few, duration)
     return out
+
+
+def ablations(spark: SparkSession, sf_dir: str, runs: int = 1) -> dict[str, dict[str, float]]:
+    """Seconds of every alternative of a step on the same stored input: look-ups, combiners, edge filters and their false-positive
+    shares, neighbourhood strategies, scan split sizes."""
+    from ..operators import partitioning
+    from .queries_core import work_tree
+
+    cfg = PyramidConfig()
+    mv = movements(spark, sf_dir).persist()
+    mv.count()
+    points = carriers.points(spark, sf_dir).select("point_id", F.col("x_mas").alias("x"), F.col("y_mas").alias("y")).persist()
+    points.count()
+    tree = work_tree(spark, sf_dir, 64)
+    out = {"lookup": {m: timed(lambda m=m: partitioning.lookup(points, tree, m), runs) for m in ("cut_tree", "rtree", "linear")}}
+    out["combiner"] = {s: timed(lambda s=s: aggregate.pyramid_nodes(mv, cfg, s), runs) for s in ("rollup", "explode", "in_task", "none", "builtin")}
+    nodes, edges = aggregate.pyramid_nodes(mv, cfg).persist(), aggregate.pyramid_edges(mv, cfg).persist()
+    kept = summarize.significant_nodes(nodes, cfg).persist()
+    nodes.count(), edges.count(), kept.count()
+    out["edge_filter"] = {f"bloom_{p}": timed(lambda p=p: bloom.bloom_filter_edges(edges, kept, p), runs) for p in (0.1, 0.01, 0.001)}
+    out["edge_filter"] |= {h or "join": timed(lambda h=h: bloom.join_filter_edges(edges, kept, h), runs) for h in (None, "broadcast", "merge", "shuffle_hash")}
+    out["passed"] = {f"bloom_{p}": bloom.bloom_filter_edges(edges, kept, p).count() for p in (0.1, 0.01, 0.001)} | {"join": bloom.join_filter_edges(edges, kept).count()}
+    out["neighbourhood"] = {s: timed(lambda s=s: summarize.significant_nodes(nodes, cfg, s), runs) for s in ("tiles", "offsets")}
+    out["neighbourhood"]["leaves"] = timed(lambda: summarize.significant_nodes(nodes, cfg, "leaves", tree), runs)
+    held = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    try:
+        out["split_bytes"] = {}
+        for n in (64 << 10, 1 << 20, 128 << 20):
+            spark.conf.set("spark.sql.files.maxPartitionBytes", str(n))
+            out["split_bytes"][str(n)] = timed(lambda: aggregate.pyramid_nodes(movements(spark, sf_dir), cfg), runs)
+    finally:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", held)
+    return {k: {m: round(v, 3) for m, v in d.items()} for k, d in out.items()}
+
+
+def pruning(cube_nodes: DataFrame, box, level: int, period=None) -> tuple[int, int]:
+    """Files that a viewport over a stored cube reads, and all its files."""
+    files = lambda df: df.select(F.input_file_name().alias("f")).distinct().count()
+    (cx0, cx1), (cy0, cy1) = query.cell_range(box[0], box[2], level), query.cell_range(box[1], box[3], level)
+    lo, hi = query.morton_interval(cx0, cy0, cx1, cy1)
+    seen = cube_nodes.where((F.col("level") == level) & F.col("morton").between(lo, hi))
+    if period:
+        seen = seen.where((F.col("bin") >= period[0]) & (F.col("bin") < period[1]))
+    return files(seen), files(cube_nodes)
