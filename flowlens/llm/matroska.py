@@ -158,9 +158,9 @@ def unlace(data: bytes, at: int, end: int) -> tuple[int, int, int, list[tuple[in
 def demux(data: bytes) -> dict:
     """Tracks, cues and packets of a file. A packet: (track, timestamp ms, cluster, lacing, byte start, byte length)."""
     tracks, cues, packets = {}, [], []
-    base, cluster, now, scale, segment, track = 0, -1, 0, 1_000_000, 0, {}
+    cluster, now, scale, segment, track = -1, 0, 1_000_000, 0, {}
     number = lambda a, b: int.from_bytes(data[a:b], "big")
-    for _, ident, start, a, b in elements(data, 0, len(data)):
+    for _, ident, _, a, b in elements(data, 0, len(data)):
         if ident == SEGMENT:
             segment = a
         elif ident == TIMESTAMP_SCALE:
@@ -174,8 +174,7 @@ def demux(data: bytes) -> dict:
         elif ident == DEFAULT_DURATION:
             track["packet_ms"] = number(a, b) / 1e6
         elif ident == CLUSTER:
-            cluster, base = cluster + 1, start - segment
-            now = 0
+            cluster, now = cluster + 1, 0
         elif ident == CLUSTER_TIME:
             now = number(a, b)
         elif ident in (SIMPLE_BLOCK, BLOCK):
@@ -188,7 +187,6 @@ def demux(data: bytes) -> dict:
             cues[-1][1] = number(a, b)
         elif ident == CUE_CLUSTER:
             cues[-1][2] = segment + number(a, b)
-    _ = base
     return {"tracks": tracks, "cues": [tuple(c) for c in cues], "packets": packets}
 
 

@@ -185,7 +185,7 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
         for r, i in enumerate(ids):
             x[r, : len(seq[i])], mask[r, : len(seq[i])], g[r, : len(seq[i])] = seq[i], True, gold[i]
         batches.append((x, mask, g))
-    total, step = max(1, sum(int(m.sum()) for _, m, _ in batches)), 0
+    step = 0
     for _ in range(max(1, EPOCHS // max(1, len(batches)))):
         for x, mask, g in batches:
             step += 1
@@ -208,7 +208,6 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
                 a1 += 0.1 * (gr - a1)
                 a2 += 0.01 * (gr * gr - a2)
                 p -= STEP * (a1 / (1 - 0.9**step)) / (np.sqrt(a2 / (1 - 0.99**step)) + 1e-8)
-    _ = total
     field = Field(params[0].astype(np.float32), params[1], float(params[2][0]), none.link)
     stats = np.array([summary(m) for m in marginals([score_words(field, ws, {}) for ws in words], field.pair, field.start)]) if words else np.zeros((0, 2))
     field.link = logistic(stats, np.array(toxic, float))

@@ -1,7 +1,6 @@
 """The ten operators against brute force, exact round trips and held-out accuracy, with the awkward cases of each."""
 
 import hashlib
-import json
 import random
 import re
 import struct
@@ -67,7 +66,7 @@ def test_segment_tree_gives_best_fit():
     for _ in range(200):
         sizes, cap = [rng.randrange(1, 51) for _ in range(rng.randrange(60))], 50
         got = binary_output.best_fit_decreasing(sizes, cap)
-        free, want = [], 0
+        free = []
         for s in sorted(sizes, reverse=True):
             fits = [i for i, f in enumerate(free) if f >= s]
             if fits:
@@ -75,7 +74,6 @@ def test_segment_tree_gives_best_fit():
             else:
                 free.append(cap - s)
         assert len(got) == len(free) and all(sum(sizes[i] for i in b) <= cap for b in got) and sorted(i for b in got for i in b) == list(range(len(sizes)))
-        _ = want
 
 
 def test_both_libraries_give_the_same_ids():
@@ -483,4 +481,3 @@ def test_shingle_sets_match_words():
     assert shingles.shingle_set("A b  C\td\ne", p).tolist() == shingles.shingle_set("a B c D e", p).tolist()
     assert len(shingles.shingle_set("É a b c d", p)) == 1 and shingles.shingle_set("É a b c d", p).tolist() != shingles.shingle_set("é a b c d", p).tolist()
     assert len(shingles.shingle_set(None, p)) == len(shingles.shingle_set(" \n", p)) == 0
-    _ = json
