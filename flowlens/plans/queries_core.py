@@ -8,10 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import PyramidConfig
-from ..functions import geo, grid
+from ..functions import grid
 from ..operators import aggregate, bloom, measures, partitioning, summarize, trajectory
 from ..sources import carriers
-from ..sources.tables import table
 from .oracle_sql import with_
 from .pipeline import build
 
@@ -343,5 +342,3 @@ def graph_unsummarized(spark, d):
     size = lambda df, kind: df.groupBy("level").agg(F.count("*").alias("c"), F.sum("n").alias("n")).select(F.lit(kind).alias("kind"), "level", "c", "n")
     return size(nodes(spark, d), "node").unionByName(size(edges(spark, d), "edge"))
 
-
-_ = (geo, table)

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..config import PyramidConfig
 from ..functions import geo, grid
-from ..operators import aggregate, bundling, cube, partitioning, query, summarize, trajectory
+from ..operators import aggregate, bundling, cube, partitioning, query, trajectory
 from ..sources import carriers
 from ..sources.tables import table
 from . import metrics
@@ -230,9 +230,7 @@ IN_BOX = f"level = {LEVEL} AND cx BETWEEN {BOX[0] // _c} AND {-(-BOX[2] // _c) -
 
 
 def _edges_in(source: str, rule: str = "AND") -> str:
-    at = lambda a, b: f"({a}, {b}) IN (SELECT (cx, cy) FROM seen)"
     both = " AND ".join(f"EXISTS (SELECT 1 FROM seen s WHERE s.cx = e.{a} AND s.cy = e.{b})" for a, b in (("sx", "sy"), ("tx", "ty")))
-    _ = at
     return f"SELECT level, sx, sy, tx, ty, n FROM {source} e WHERE level = {LEVEL} AND " + (both if rule == "AND" else "(" + both.replace(" AND EXISTS", " OR EXISTS") + ")")
 
 
@@ -551,8 +549,6 @@ def _halves(spark, d) -> tuple[DataFrame, DataFrame]:
 query_(with_("wide", f"FROM {_HALF.format('<')} INTERSECT FROM {_HALF.format('>=')}"), "persistent_places")(lambda s, d: (lambda a, b: a.intersect(b))(*_halves(s, d)))
 query_(with_("wide", f"FROM {_HALF.format('>=')} EXCEPT FROM {_HALF.format('<')}"), "new_places")(lambda s, d: (lambda a, b: b.subtract(a))(*_halves(s, d)))
 
-RAD = "radians(-168 + {0}x / 3.6e6)", "radians(7 + {0}y / 3.6e6)"
-
 
 @query_(with_("mv", "SELECT movement_id, round(CASE WHEN b < 0 THEN b + 360 ELSE b END, 5) AS bearing FROM (SELECT movement_id, degrees(atan2(sin(dl) * cos(b2), cos(b1) * sin(b2) - sin(b1) * cos(b2) * cos(dl))) AS b FROM (SELECT movement_id, radians(7 + sy / 3.6e6) AS b1, radians(7 + ty / 3.6e6) AS b2, radians(-168 + tx / 3.6e6) - radians(-168 + sx / 3.6e6) AS dl FROM mv))"))
 def movement_bearing(spark, d):
@@ -609,8 +605,6 @@ def sql_viewport(spark, d):
     return spark.sql(f"SELECT level, cx, cy, n FROM sv_kept_nodes WHERE {IN_BOX}")
 
 
-_ = (summarize, SparkSession)
-
 
 @query_(with_("wide", "SELECT date_trunc('day', t0)::TIMESTAMP AS bin, level, cx, cy, count(*) AS n FROM wide GROUP BY ALL"))
 def incremental_equals_batch(spark, d):
