@@ -41,12 +41,17 @@ def task_seconds(spark, make) -> dict[str, float]:
     before = ids()
     make().write.format("noop").mode("overwrite").save()
     spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
-    out = {"map_tasks": 0, "map_s": 0.0, "reduce_tasks": 0, "reduce_s": 0.0}
-    for s in _stages(store):
-        if s.stageId() not in before and s.numCompleteTasks():
-            side = "map" if s.shuffleWriteRecords() else "reduce"
-            out[f"{side}_tasks"] += s.numCompleteTasks()
-            out[f"{side}_s"] += s.executorRunTime() / 1000
+    out: dict = {}
+    for _ in range(20):  # the store follows the listeners with a delay
+        out = {"map_tasks": 0, "map_s": 0.0, "reduce_tasks": 0, "reduce_s": 0.0}
+        for s in _stages(store):
+            if s.stageId() not in before and s.numCompleteTasks():
+                side = "map" if s.shuffleWriteRecords() else "reduce"
+                out[f"{side}_tasks"] += s.numCompleteTasks()
+                out[f"{side}_s"] += s.executorRunTime() / 1000
+        if out["reduce_tasks"]:
+            break
+        time.sleep(0.2)
     for side in ("map", "reduce"):
         out[f"{side}_s"] = round(out[f"{side}_s"] / max(1, out[f"{side}_tasks"]), 4)
     return out
