@@ -9,7 +9,6 @@ never expanded into pairs and no pair becomes a row before it has survived.
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 import numpy as np
