@@ -64,6 +64,19 @@ def link(points: DataFrame) -> DataFrame:
     return cols.groupBy("user_id").applyInPandasWithState(_link, LINKED, STATE, "append", "EventTimeTimeout")
 
 
+def enrich(points: DataFrame, users: DataFrame) -> DataFrame:
+    """Stream-static join: points with what is known of their users."""
+    return points.join(users, "user_id", "left")
+
+
+def meetings(points: DataFrame, others: DataFrame, minutes: int = 10, level: int = 6, cfg: PyramidConfig = PyramidConfig()) -> DataFrame:
+    """Stream-stream interval join: pairs of points of different users in one cell within so many minutes. Both sides need a watermark;
+    the cell is the join key and the interval lets Spark forget old points."""
+    at = lambda p, a: p.select(*[F.col(c).alias(f"{a}_{c}") for c in ("point_id", "user_id", "ts")], cell(F.col("x_mas"), level, cfg.grid).alias(f"{a}_cx"), cell(F.col("y_mas"), level, cfg.grid).alias(f"{a}_cy"))
+    near = F.expr(f"a_cx = b_cx and a_cy = b_cy and a_user_id < b_user_id and b_ts >= a_ts - interval {minutes} minutes and b_ts <= a_ts + interval {minutes} minutes")
+    return at(points, "a").join(at(others, "b"), near)
+
+
 def refresh(path: str, cfg: PyramidConfig = PyramidConfig()):
     """foreachBatch sink: node counts of each batch of movements go to a folder named by the batch, so a repeated batch replaces itself."""
     from ..operators.aggregate import pyramid_nodes

@@ -1,5 +1,6 @@
 """Streams against batch results."""
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from flowlens.operators.trajectory import build_movements
@@ -13,7 +14,7 @@ def replay(spark, tmp_path, files=4):
     p = carriers.points(spark, SF).select("point_id", "user_id", "ts", "x_mas", "y_mas")
     last = spark.createDataFrame([(-1, -1, 0, 0)], "point_id long, user_id long, x_mas long, y_mas long").select("point_id", "user_id", F.lit("2024-03-01").cast("timestamp_ntz").alias("ts"), "x_mas", "y_mas")
     path = str(tmp_path / "in")
-    day = F.ntile(files).over(__import__("pyspark.sql", fromlist=["Window"]).Window.orderBy("ts"))
+    day = F.ntile(files).over(Window.orderBy("ts"))
     for i in range(1, files + 1):
         p.withColumn("d", day).where(F.col("d") == i).drop("d").coalesce(1).write.mode("append").parquet(path)
     for k in range(3):  # a late sentinel, so that the watermark passes everything
@@ -39,3 +40,28 @@ def test_windows_and_duplicates(spark, tmp_path):
     q.processAllAvailable()
     q.stop()
     assert spark.table("windows").where("start < '2024-02-15'").agg(F.sum("n")).first()[0] == p.count()
+
+
+def collect(frame, name, tmp_path):
+    q = frame.writeStream.format("memory").queryName(name).outputMode("append").option("checkpointLocation", str(tmp_path / name)).start()
+    q.processAllAvailable()
+    q.stop()
+    return frame.sparkSession.table(name)
+
+
+def test_joins_with_tables_and_streams(spark, tmp_path):
+    path, p = replay(spark, tmp_path)
+    timed = lambda: streams.with_event_time(streams.points_stream(spark, path, 100), "1 hour")
+    users = p.select("user_id").distinct().withColumn("name", F.concat(F.lit("u"), F.col("user_id").cast("string")))
+    assert collect(streams.enrich(timed(), users), "enriched", tmp_path).where("name is not null").count() == p.count()
+    got = collect(streams.meetings(timed(), timed()), "met", tmp_path).where("a_point_id >= 0").count()
+    batch = p.withColumn("ts", F.col("ts").cast("timestamp"))
+    assert got == streams.meetings(batch, batch).count() > 0
+
+
+def test_late_points_are_dropped(spark, tmp_path):
+    path, p = replay(spark, tmp_path, 2)
+    late = p.limit(3).withColumn("point_id", F.col("point_id") + 10**6).withColumn("ts", F.lit("2023-01-01").cast("timestamp_ntz"))
+    late.coalesce(1).write.mode("append").parquet(path)
+    w = streams.window_nodes(streams.with_event_time(streams.points_stream(spark, path), "1 hour"), "1 day")
+    assert collect(w, "late", tmp_path).where("start < '2023-06-01'").count() == 0
