@@ -24,11 +24,16 @@ def slots(word: str) -> list[int]:
     return [zlib.crc32(f.encode("utf-8", "surrogatepass")) % DIM for f in ("w" + word, "p" + word[:4], "e" + word[-3:])]
 
 
-def words_of(text: str | None) -> list[str]:
-    """Distinct words in sorted order, plus one word for how often words repeat and one for the length, each in coarse steps."""
+def words_of(text: str | None) -> tuple[list[str], list[str]]:
+    """(distinct words in sorted order, summary words). Summary words say in eighths how far words repeat, how often the same word
+    follows itself and how many words hold no letter, and the length in powers of two; they are hashed like any other word."""
     ws = (text or "").lower().split()
+    n = max(1, len(ws))
     seen = sorted(set(ws))
-    return seen + ["\x00rep%d" % (8 * len(seen) // max(1, len(ws))), "\x00len%d" % len(ws).bit_length()]
+    again = sum(map(str.__eq__, ws, ws[1:]))
+    bare = sum(not w.isalpha() and not any(c.isalpha() for c in w) for w in seen)
+    eighths = (("rep", len(seen) / n), ("again", again / n), ("bare", bare / max(1, len(seen))))
+    return seen, [f"\x00{k}{-int(-8 * v // 1)}" for k, v in eighths] + ["\x00len%d" % len(ws).bit_length()]
 
 
 @dataclass
@@ -49,11 +54,13 @@ def fit(texts: list[str], grades: list[int], n_grades: int) -> Cumulative:
     if not len(y):
         return Cumulative(np.zeros(DIM, np.float32), np.linspace(-1, 1, n_grades - 1))
     docs = [words_of(t) for t in texts]
-    vocab = {w: i for i, w in enumerate(sorted({w for d in docs for w in d}))}
+    vocab = {w: i for i, w in enumerate(sorted({w for d in docs for part in d for w in part}))}
     of = np.array([slots(w) for w in vocab])
-    row = np.repeat(np.arange(len(docs)), [len(d) for d in docs])
-    col = np.fromiter((vocab[w] for d in docs for w in d), np.int64, len(row))
-    value = (1 / np.sqrt([len(d) for d in docs]))[row]
+    sizes = [len(a) + len(b) for a, b in docs]
+    row = np.repeat(np.arange(len(docs)), sizes)
+    col = np.fromiter((vocab[w] for d in docs for part in d for w in part), np.int64, len(row))
+    # words count by one over the root of their number, summary words in full
+    value = np.concatenate([np.concatenate([np.full(len(a), 1 / math.sqrt(max(1, len(a)))), np.ones(len(b))]) for a, b in docs])
     weight = (len(y) / (n_grades * np.maximum(1, np.bincount(y, minlength=n_grades))))[y]
     w, raw = np.zeros(DIM), np.concatenate([[-1.0], np.zeros(n_grades - 2)])
     m1, m2 = [np.zeros_like(w), np.zeros_like(raw)], [np.zeros_like(w), np.zeros_like(raw)]
@@ -106,16 +113,17 @@ def quality_scores(docs: DataFrame, model: Cumulative, id_col: str = "doc_id", t
         for b in batches:
             z = np.zeros(b.num_rows)
             for i, t in enumerate(b.column(1)):
-                ws = words_of(t.as_py())
-                total = 0.0
-                for w in ws:
-                    s = cache.get(w)
-                    if s is None:
-                        if len(cache) >= CACHE:
-                            cache.clear()
-                        s = cache[w] = float(model.weights[slots(w)].sum())
-                    total += s
-                z[i] = total / math.sqrt(len(ws))
+                words, summary = words_of(t.as_py())
+                for ws, scale in ((words, math.sqrt(max(1, len(words)))), (summary, 1.0)):
+                    total = 0.0
+                    for w in ws:
+                        s = cache.get(w)
+                        if s is None:
+                            if len(cache) >= CACHE:
+                                cache.clear()
+                            s = cache[w] = float(model.weights[slots(w)].sum())
+                        total += s
+                    z[i] += total / scale
             tails = model.tails(z)
             yield pa.record_batch([b.column(0), pa.array(tails.sum(1)), pa.array(tails.tolist(), pa.list_(pa.float64()))], ["doc_id", "expected_grade", "tails"])
 
