@@ -25,11 +25,21 @@ def shared_dir(spark: SparkSession) -> str:
     return set_by_cluster.rstrip("/")
 
 
+#: Rows that pass between the JVM and a Python worker at a time while materialize() runs, which bounds both sides' buffers.
+ARROW_ROWS = "2000"
+
+
 def materialize(df: DataFrame) -> DataFrame:
     """Write to a table in the shared folder and read it back, which cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tables/{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    setting = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(setting)
+    spark.conf.set(setting, ARROW_ROWS)
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(setting, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

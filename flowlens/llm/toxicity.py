@@ -30,7 +30,7 @@ EPOCHS, STEP, L2 = 60, 0.1, 1.0
 #: Long texts are scored in windows of CORE tokens with HALO tokens of context on either side, over which a chain forgets its start.
 CORE, HALO = 256, 48
 THRESHOLD = 0.7
-CACHE = 400_000
+CACHE = 250_000
 
 
 def features(word: str) -> list[str]:
