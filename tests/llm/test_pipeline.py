@@ -59,3 +59,33 @@ def test_mix_and_packing(stages):
 
 def test_run(spark, stages):
     assert corpus_pipeline.run(spark, SF).count() == stages[-1][1].count()
+
+
+AWKWARD = [
+    (None, "no id at all", "en", "a", 5), (1, None, None, None, None), (2, "", "en", None, 0), (3, " \n\t", "en", "a", 3), (4, "tie tie tie", "en", "b", 11), (4, "tie tie tie", "en", "b", 11),
+    (5, "tie tie tie", "de", "b", 11), (6, "long " * 60_000, "en", "a", 1), (7, "passage of words that comes back again and again in more than one text, " * 3 + "end one", "en", "b", 9),
+    (8, "passage of words that comes back again and again in more than one text, " * 3 + "and then something else entirely follows here", "fr", "c", 9),
+]
+CLASHING = "doc_id long, text string, lang string, source string, n_chars long, rep string, component string, size string, key string, hot string, _s string, _h string, start string, seg string"
+
+
+@pytest.mark.parametrize("stage", [f for _, f in corpus_pipeline.STAGES], ids=[n for n, _ in corpus_pipeline.STAGES])
+def test_awkward_and_empty_tables(spark, stage):
+    df = spark.createDataFrame([(*r, *"abcdefghi") for r in AWKWARD], CLASHING)
+    out = stage(spark, df, SF)
+    rows = out.collect()
+    if stage is not corpus_pipeline.pack_sequences:
+        assert out.columns == df.columns and {r["doc_id"] for r in rows} <= {r[0] for r in AWKWARD}
+        assert all(r["_s"] == "f" and r["seg"] == "i" for r in rows)
+    empty = stage(spark, df.limit(0), SF)
+    assert empty.count() == 0
+
+
+def test_what_stages_keep_of_awkward_rows(spark):
+    df = spark.createDataFrame([(*r, *"abcdefghi") for r in AWKWARD], CLASHING)
+    ids = lambda f: sorted((r["doc_id"] for r in f(spark, df, SF).select("doc_id").collect()), key=lambda i: -1 if i is None else i)
+    assert ids(corpus_pipeline.drop_toxic) == [None, 1, 2, 3, 4, 4, 5, 6, 7, 8]
+    assert ids(corpus_pipeline.drop_near_duplicates) == [None, 1, 2, 3, 4, 6, 7, 8]
+    assert ids(corpus_pipeline.cut_repeats) == [None, 1, 2, 3, 4, 4, 5, 6, 7, 8]
+    assert set(ids(corpus_pipeline.mix_sources)) >= {1, 2, 3}
+    assert len({r["doc_id"] for r in corpus_pipeline.pack_sequences(spark, df, SF).collect()}) == 9
