@@ -59,6 +59,7 @@ def main() -> None:
            "sf": SF_DIR.rsplit("/sf", 1)[-1], "movements": n, "movements_per_s": round(n / overall), "movements_per_s_core": round(n / overall / int(CPUS))}
     out["latency_ms"] = workload.load_test(spark, SF_DIR, queries=int(os.environ.get("BENCH_QUERIES", "100")), duration=5.0)
     out["scale"] = workload.scale_up(spark, SF_DIR, (1, 10))
+    out["scaled_movements_per_s_core"] = round(out["scale"][-1]["movements"] / out["scale"][-1]["overall"] / int(CPUS))
     if os.environ.get("BENCH_FULL"):
         out["sweep"] = workload.step_sweep(spark, SF_DIR)
         out["ablations"] = workload.ablations(spark, SF_DIR)
