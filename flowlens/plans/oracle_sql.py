@@ -58,12 +58,17 @@ BLOCKS: dict[str, tuple[tuple[str, ...], str]] = {
 }
 
 
-def with_(names: str, select: str) -> str:
-    """A SELECT over the named blocks and whatever they need, in order."""
+def with_(names: str, select: str, mv_from: str = "mv0") -> str:
+    """A SELECT over the named blocks and whatever they need, in order. mv_from: what the movements are taken from."""
     need: list[str] = []
+    blocks = dict(BLOCKS)
+    if mv_from == "ships":
+        blocks["mv"] = (("ships",), blocks["mv"][1].replace("FROM mv0", "FROM (SELECT *, 1 AS movement_id, '' AS event_type FROM ships)"))
+    elif mv_from != "mv0":
+        blocks["mv"] = (("mv0",), blocks["mv"][1].replace("FROM mv0", f"FROM {mv_from}"))
 
     def add(name: str) -> None:
-        for d in BLOCKS[name][0]:
+        for d in blocks[name][0]:
             add(d)
         if name not in need:
             need.append(name)
@@ -71,4 +76,4 @@ def with_(names: str, select: str) -> str:
     for n in names.split():
         add(n)
     # blocks that several others read are computed once
-    return "WITH " + ",\n".join(f"{n} AS MATERIALIZED ({BLOCKS[n][1]})" for n in need) + "\n" + select
+    return "WITH " + ",\n".join(f"{n} AS MATERIALIZED ({blocks[n][1]})" for n in need) + "\n" + select

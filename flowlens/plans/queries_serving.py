@@ -146,6 +146,22 @@ def graph_size_by_level(spark, d):
     return out.na.fill(0)
 
 
+TOTALS = ", ".join(f"(SELECT count(*) FROM {t}) AS {a}" for t, a in (("nodes", "nodes"), ("edges", "edges"), ("kept", "kept_nodes"), ("kedges", "kept_edges")))
+
+
+def totals(spark, mv: DataFrame) -> DataFrame:
+    """One row: nodes and edges over all levels, before and after."""
+    g = build(mv)
+    one = lambda df, c: df.agg(F.count("*").alias(c))
+    return reduce(DataFrame.crossJoin, [one(g.nodes, "nodes"), one(g.edges, "edges"), one(g.kept_nodes, "kept_nodes"), one(g.kept_edges, "kept_edges")])
+
+
+@query_(with_("nodes edges kept kedges", f"SELECT {TOTALS}", "ships"))
+def graph_size_shipments(spark, d):
+    """The second carrier: few sources, heavy repeated flows."""
+    return totals(spark, carriers.shipments(spark, d))
+
+
 CUTS = {10: "2024-01-11", 20: "2024-01-21", 30: "2024-01-31"}
 
 
@@ -156,6 +172,14 @@ def prefix_statistics(spark, d):
     return reduce(DataFrame.unionByName, [one(n, t) for n, t in CUTS.items()])
 
 
+@query_(" UNION ALL ".join("SELECT * FROM (" + with_("nodes edges kept kedges", f"SELECT {n} AS days, {TOTALS}", f"(SELECT * FROM mv0 WHERE t0 < TIMESTAMP '{t}')") + ")" for n, t in CUTS.items()))
+def graph_size_prefixes(spark, d):
+    """Graph size before and after for growing periods."""
+    mv = movements(spark, d)
+    one = lambda n, t: totals(spark, mv.where(F.col("t0") < F.lit(t).cast("timestamp_ntz"))).select(F.lit(n).alias("days"), "*")
+    return reduce(DataFrame.unionByName, [one(n, t) for n, t in CUTS.items()])
+
+
 @query_("SELECT CAST(level AS INTEGER) AS level, CAST(cells AS BIGINT) AS cells, CAST(cells * (cells - 1) // 2 AS BIGINT) AS max_pairs FROM (SELECT level, CAST(ceil(13312.0 / (1 << (level - 1))) * ceil(9216.0 / (1 << (level - 1))) AS BIGINT) AS cells FROM (SELECT unnest(range(1, 11)) AS level))")
 def edge_bound(spark, d):
     sizes = [(lv, CFG.grid.shape(lv)[0] * CFG.grid.shape(lv)[1]) for lv in range(1, 11)]
