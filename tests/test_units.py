@@ -225,3 +225,16 @@ def test_text_sources(spark, tmp_path):
 def test_replicas_multiply_movements(spark):
     mv = movements(spark, SF)
     assert workload.replicate(mv, 3).count() == 3 * mv.count()
+
+
+def test_graph_totals_of_both_carriers(spark):
+    from flowlens.plans.queries_serving import totals
+
+    assert tuple(totals(spark, movements(spark, "/root/testdata/sf0.001")).first()) == (3403, 4373, 2245, 2049)
+    assert tuple(totals(spark, carriers.shipments(spark, "/root/testdata/sf0.001")).first()) == (1053, 1313, 703, 842)
+
+
+def test_geocoder_checksums(spark):
+    p = carriers.points(spark, "/root/testdata/sf0.01")
+    got = p.agg(F.count("*"), F.sum("x_mas"), F.sum("y_mas"), F.sum(F.col("x_mas") * F.col("point_id") % 1_000_003)).first()
+    assert tuple(got) == (10_000, 1_748_103_540_219, 1_370_588_269_774, 4_999_462_541)
