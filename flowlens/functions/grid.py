@@ -48,3 +48,8 @@ def level_table(spark, grid: GridSpec = GridSpec()) -> DataFrame:
 def by_level(values, level: Column) -> Column:
     """The value of a level out of one per level."""
     return F.element_at(F.array(*[F.lit(v) for v in values]), level.cast("int"))
+
+
+def children(cx: Column, cy: Column) -> Column:
+    """The four cells one level finer, as an array of (cx, cy)."""
+    return F.array(*[F.struct((cx * 2 + a).alias("cx"), (cy * 2 + b).alias("cy")) for a in (0, 1) for b in (0, 1)])

@@ -123,3 +123,13 @@ def change(a: DataFrame, b: DataFrame) -> DataFrame:
 
 def with_morton(nodes: DataFrame) -> DataFrame:
     return nodes.withColumn("morton", morton(F.col("cx"), F.col("cy")))
+
+
+def parent(level: int, cx: int, cy: int) -> tuple[int, int, int]:
+    """The cell one level coarser that holds a cell."""
+    return level + 1, cx >> 1, cy >> 1
+
+
+def explain_node(nodes: DataFrame, level: int, cx: int, cy: int) -> DataFrame:
+    """All attributes that the graph holds of one cell."""
+    return nodes.where((F.col("level") == level) & (F.col("cx") == cx) & (F.col("cy") == cy))

@@ -238,3 +238,11 @@ def test_geocoder_checksums(spark):
     p = carriers.points(spark, "/root/testdata/sf0.01")
     got = p.agg(F.count("*"), F.sum("x_mas"), F.sum("y_mas"), F.sum(F.col("x_mas") * F.col("point_id") % 1_000_003)).first()
     assert tuple(got) == (10_000, 1_748_103_540_219, 1_370_588_269_774, 4_999_462_541)
+
+
+def test_parents_children_and_look_up(spark):
+    assert query.parent(3, 9, 6) == (4, 4, 3)
+    kids = spark.range(1).select(grid.children(F.lit(4), F.lit(3)).alias("k")).first()["k"]
+    assert {tuple(k) for k in kids} == {(8, 6), (8, 7), (9, 6), (9, 7)}
+    nodes = node_frame(spark, [(1, 1, 1, 3), (1, 9, 9, 1)])
+    assert query.explain_node(nodes, 1, 9, 9).first()["n"] == 1

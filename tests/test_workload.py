@@ -40,3 +40,16 @@ def test_viewports_prune_files_and_rewrites_touch_one_bin(spark, tmp_path):
     total = cube.open_cube(spark, path).nodes.agg(F.sum("n")).first()[0]
     cube.write(nodes.where("bin = '2024-01-05'"), edges.where("bin = '2024-01-05'"), path)
     assert cube.open_cube(spark, path).nodes.agg(F.sum("n")).first()[0] == total
+
+
+def test_bucketed_edges_join_without_a_shuffle(spark):
+    spark.catalog.clearCache()
+    edges = aggregate.pyramid_edges(movements(spark, SF))
+    cube.save_bucketed(edges, "bucketed_edges", 4)
+    try:
+        t = spark.table("bucketed_edges")
+        per = t.groupBy("level", "sx", "sy").count()
+        plan = per._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange" not in plan and per.count() > 0
+    finally:
+        spark.sql("DROP TABLE bucketed_edges")
