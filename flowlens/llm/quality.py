@@ -17,7 +17,7 @@ DIM = 1 << 17
 #: Training sample: rated documents at most for each grade, and the longest text used for training (scoring uses whole texts).
 SAMPLE_PER_GRADE, SAMPLE_CHARS = 1500, 20_000
 EPOCHS, STEP, L2 = 60, 0.05, 2e-3
-CACHE = 250_000
+CACHE = 400_000
 
 
 def slots(word: str) -> list[int]:

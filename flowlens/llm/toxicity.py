@@ -30,7 +30,7 @@ EPOCHS, STEP, L2 = 60, 0.1, 1.0
 #: Long texts are scored in windows of CORE tokens with HALO tokens of context on either side, over which a chain forgets its start.
 CORE, HALO = 256, 48
 THRESHOLD = 0.7
-CACHE = 250_000
+CACHE = 400_000
 
 
 def features(word: str) -> list[str]:
@@ -137,12 +137,11 @@ def weak_tags(words: list[list[str]], toxic: list[int]) -> set[str]:
     """Features whose documents are toxic ones, by Dunning's likelihood ratio against independence."""
     own = distinct(words)
     words, toxic = [words[i] for i in own], [toxic[i] for i in own]
-    with_, bad, n, n1 = Counter(), Counter(), len(words), sum(toxic)
-    for ws, y in zip(words, toxic):
-        seen = {f for w in set(ws) if len(w) > 2 for f in features(w)[:4]}
-        with_.update(seen)
-        if y:
-            bad.update(seen)
+    n, n1 = len(words), sum(toxic)
+    of = lambda ws: {f for w in set(ws) if len(w) > 2 for f in features(w)[:4]}
+    bad = Counter(f for ws, y in zip(words, toxic) if y for f in of(ws))
+    bad = {f: k for f, k in bad.items() if k > 2}  # fewer can never reach the bound; this keeps the tables small
+    with_ = Counter(f for ws in words for f in of(ws) if f in bad)
     found, base = set(), n1 / max(n, 1)
     for f, k in bad.items():
         m = with_[f]
@@ -156,7 +155,8 @@ def weak_tags(words: list[list[str]], toxic: list[int]) -> set[str]:
 
 def fit(texts: list[str], toxic: list[int]) -> Field:
     """Maximum-likelihood weights with an L2 penalty by Adam on whole sequences, in a fixed order: equal inputs give equal fields."""
-    words = [[w for w in WORD.findall((t or "").lower())] for t in texts]
+    one: dict[str, str] = {}  # one string a word
+    words = [[one.setdefault(w, w) for w in WORD.findall((t or "").lower())] for t in texts]
     none = Field(np.zeros(DIM, np.float32), np.zeros((2, 2)), 0.0, (-6.0, 0.0, 0.0))
     if not sum(toxic) or sum(toxic) == len(toxic):
         return none
