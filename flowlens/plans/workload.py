@@ -72,6 +72,7 @@ def step_sweep(spark: SparkSession, sf_dir: str, reducers=REDUCERS, days=(10, 20
 def scale_up(spark: SparkSession, sf_dir: str, times=(1, 3, 10)) -> list[dict]:
     """Overall seconds as the movements multiply."""
     out = []
+    spark.catalog.clearCache()
     for t in times:
         mv = replicate(movements(spark, sf_dir), t).persist()
         n = mv.count()
@@ -149,6 +150,7 @@ def ablations(spark: SparkSession, sf_dir: str, runs: int = 1) -> dict[str, dict
     from .queries_core import work_tree
 
     cfg = PyramidConfig()
+    spark.catalog.clearCache()  # nothing stored earlier may answer
     mv = movements(spark, sf_dir).persist()
     mv.count()
     points = carriers.points(spark, sf_dir).select("point_id", F.col("x_mas").alias("x"), F.col("y_mas").alias("y")).persist()
@@ -157,13 +159,15 @@ def ablations(spark: SparkSession, sf_dir: str, runs: int = 1) -> dict[str, dict
     out = {"lookup": {m: timed(lambda m=m: partitioning.lookup(points, tree, m), runs) for m in ("cut_tree", "rtree", "linear")}}
     out["combiner"] = {s: timed(lambda s=s: aggregate.pyramid_nodes(mv, cfg, s), runs) for s in ("rollup", "explode", "in_task", "none", "builtin")}
     nodes, edges = aggregate.pyramid_nodes(mv, cfg).persist(), aggregate.pyramid_edges(mv, cfg).persist()
+    nodes.count(), edges.count()
+    # before the kept nodes are stored, which would answer for the strategy that made them
+    out["neighbourhood"] = {s: timed(lambda s=s: summarize.significant_nodes(nodes, cfg, s), runs) for s in ("tiles", "offsets")}
+    out["neighbourhood"]["leaves"] = timed(lambda: summarize.significant_nodes(nodes, cfg, "leaves", tree), runs)
     kept = summarize.significant_nodes(nodes, cfg).persist()
-    nodes.count(), edges.count(), kept.count()
+    kept.count()
     out["edge_filter"] = {f"bloom_{p}": timed(lambda p=p: bloom.bloom_filter_edges(edges, kept, p), runs) for p in (0.1, 0.01, 0.001)}
     out["edge_filter"] |= {h or "join": timed(lambda h=h: bloom.join_filter_edges(edges, kept, h), runs) for h in (None, "broadcast", "merge", "shuffle_hash")}
     out["passed"] = {f"bloom_{p}": bloom.bloom_filter_edges(edges, kept, p).count() for p in (0.1, 0.01, 0.001)} | {"join": bloom.join_filter_edges(edges, kept).count()}
-    out["neighbourhood"] = {s: timed(lambda s=s: summarize.significant_nodes(nodes, cfg, s), runs) for s in ("tiles", "offsets")}
-    out["neighbourhood"]["leaves"] = timed(lambda: summarize.significant_nodes(nodes, cfg, "leaves", tree), runs)
     held = spark.conf.get("spark.sql.files.maxPartitionBytes")
     try:
         out["split_bytes"] = {}
