@@ -93,9 +93,9 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
     """
     spark = rows.sparkSession
     by_code = Window.partitionBy("code").orderBy("id")
-    clean = rows.where("code is not null and id is not null").select("id", "code")
-    least = clean.withColumn("_r", F.row_number().over(by_code)).where(F.col("_r") <= 2 * k + 2).dropDuplicates(["code", "id"])
-    codes = materialize(least.groupBy("code").agg(F.slice(F.sort_array(F.collect_list("id")), 1, k + 1).alias("ids")))
+    clean = rows.where("code is not null and id is not null").select("id", "code").distinct()
+    least = clean.withColumn("_r", F.row_number().over(by_code)).where(F.col("_r") <= k + 1)
+    codes = materialize(least.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")))
     asked = materialize(queries.where("code is not null and id is not null").select("id", "code").distinct())
     ask_codes = materialize(asked.select("code").distinct())
     shards = max(1, -(-codes.count() // CELL_CODES))

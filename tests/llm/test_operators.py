@@ -344,6 +344,14 @@ def test_hamming_search_is_exact(spark):
     assert hamming.top_k(rows.limit(0), rows.limit(0)).count() == 0 and hamming.top_k(rows.where("id < 3"), rows.where("id = 0"), 7).count() == 2
 
 
+def test_repeated_rows_take_no_place_of_other_ids_of_a_hot_code(spark):
+    rows = spark.createDataFrame([(i, 77) for i in range(40) for _ in range(3)] + [(100 + i, 77 ^ (1 << i)) for i in range(5)], "id long, code long")
+    got = defaultdict(list)
+    for r in hamming.top_k(rows, rows.where("id in (0, 20, 100)"), 10).orderBy("query_id", "rank").collect():
+        got[r["query_id"]].append((r["distance"], r["neighbour_id"]))
+    assert got == {0: [(0, i) for i in range(1, 11)], 20: [(0, i) for i in range(10)], 100: [(1, i) for i in range(10)]}
+
+
 def test_search_stops_before_it_has_seen_everything():
     rng = np.random.default_rng(15)
     codes = np.unique(rng.integers(0, 2**63, 20_000, dtype=np.int64)).view(np.uint64)
