@@ -224,6 +224,12 @@ def significant_nodes_naive(spark, d):
     return summarize.significant_nodes(held_nodes(spark, d).where("level >= 4"), CFG, "all_pairs")
 
 
+@query()
+def significant_nodes_all_pairs(spark, d):
+    """The all-pairs baseline over every level. Without SQL: the tiles strategy must give the same rows."""
+    return summarize.significant_nodes(held_nodes(spark, d), CFG, "all_pairs")
+
+
 for _rank in ("strict", "mean", "relative"):
     query(with_("scores", f"SELECT level, cx, cy, n FROM scores WHERE rank_{_rank} > 0.8"), f"significant_nodes_{_rank}")(lambda spark, d, rank=_rank: summarize.significant_nodes(held_nodes(spark, d), replace(CFG, rank=rank)))
 

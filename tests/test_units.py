@@ -15,6 +15,7 @@ from flowlens.operators import aggregate, bloom, bundling, partitioning, query,
 from flowlens.plans import metrics, workload
 from flowlens.plans.queries_core import movements
 from flowlens.plans.queries_serving import views
+from flowlens.registry import QUERIES
 from flowlens.sources import carriers, sql, tables
 
 from .conftest import SF
@@ -186,6 +187,11 @@ def test_served_viewports_equal_spark_ones(spark):
         assert len(n) == seen.count() and len(e) == query.viewport_edges(edges, seen, v["level"]).count()
 
 
+def test_all_pairs_baseline_covers_every_level(spark):
+    got, want = (sorted(map(tuple, QUERIES[f"significant_nodes_{how}"](spark, SF).collect())) for how in ("all_pairs", "tiles"))
+    assert got == want and {r[0] for r in got} == set(range(1, 11))
+
+
 def test_bundling_keeps_edges_and_never_adds_ink():
     rng = np.random.default_rng(5)
     e = np.concatenate([rng.normal([0, 0, 10, 10], 0.5, (20, 4)), rng.normal([0, 10, 10, 0], 0.5, (20, 4))])
