@@ -408,6 +408,17 @@ def position_asof(spark, d):
     return trajectory.position_at(p, probes).withColumnRenamed("at", "asked")
 
 
+PROBE_ALL = "SELECT point_id * 10 AS probe_id, user_id, ts + INTERVAL 6 HOUR AS asked FROM pts"
+
+
+@query_(with_("pts", f", probes AS ({PROBE_ALL}) SELECT probe_id, p.user_id, asked, q.point_id, q.x_mas, q.y_mas FROM probes p ASOF LEFT JOIN pts q ON p.user_id = q.user_id AND p.asked >= q.ts"))
+def position_asof_all(spark, d):
+    """One probe from every point."""
+    p = carriers.points(spark, d)
+    probes = p.select((F.col("point_id") * 10).alias("probe_id"), "user_id", (F.col("ts") + F.expr("interval 6 hours")).alias("at"))
+    return trajectory.position_at(p, probes).withColumnRenamed("at", "asked")
+
+
 @query_(with_("mv", "SELECT bin, count(*) AS n FROM (SELECT unnest(range(epoch_us(t0) // 1000000 // 86400, epoch_us(t1) // 1000000 // 86400 + 1)) AS bin FROM mv) GROUP BY bin"))
 def movements_alive(spark, d):
     return trajectory.alive_in(movements(spark, d))

@@ -192,6 +192,11 @@ def test_all_pairs_baseline_covers_every_level(spark):
     assert got == want and {r[0] for r in got} == set(range(1, 11))
 
 
+def test_every_point_is_a_probe(spark):
+    asked = {r["probe_id"] for r in QUERIES["position_asof_all"](spark, SF).select("probe_id").collect()}
+    assert asked == {r["point_id"] * 10 for r in carriers.points(spark, SF).select("point_id").collect()}
+
+
 def test_bundling_keeps_edges_and_never_adds_ink():
     rng = np.random.default_rng(5)
     e = np.concatenate([rng.normal([0, 0, 10, 10], 0.5, (20, 4)), rng.normal([0, 10, 10, 0], 0.5, (20, 4))])
