@@ -197,6 +197,20 @@ def test_every_point_is_a_probe(spark):
     assert asked == {r["point_id"] * 10 for r in carriers.points(spark, SF).select("point_id").collect()}
 
 
+def test_batch_answers_all_sets_of_both_patterns(spark):
+    held = [tuple(r) for r in QUERIES["significant_nodes_tiles"](spark, SF).select("level", "cx", "cy").collect()]
+    want = {}
+    for pattern in ("population", "hotspot"):
+        for v in QUERIES[f"viewports_{pattern}"](spark, SF).collect():
+            (a, b), (c, e) = query.cell_range(v["x0"], v["x1"], v["level"]), query.cell_range(v["y0"], v["y1"], v["level"])
+            n = sum(lv == v["level"] and a <= x <= b and c <= y <= e for lv, x, y in held)
+            if n:
+                want[pattern, v["set_id"], v["query_id"]] = n
+    got = {tuple(r)[:3]: r["nodes"] for r in QUERIES["viewport_result_sizes_all"](spark, SF).collect()}
+    assert got == want and {k[:2] for k in got} == {(p, s) for p in ("population", "hotspot") for s in range(3)}
+    assert QUERIES["viewport_batch_all"](spark, SF).count() == sum(want.values())
+
+
 def test_bundling_keeps_edges_and_never_adds_ink():
     rng = np.random.default_rng(5)
     e = np.concatenate([rng.normal([0, 0, 10, 10], 0.5, (20, 4)), rng.normal([0, 10, 10, 0], 0.5, (20, 4))])
