@@ -13,13 +13,13 @@ from pyspark.sql import types as T
 GOLDEN = (math.sqrt(5) - 1) / 2
 
 
-def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 0.05) -> DataFrame:
-    """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id).
+def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 0.05, by: tuple[str, ...] = ()) -> DataFrame:
+    """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id), among points that agree in the columns by.
 
     buckets: points meet in cells of the given width on the first coordinate and their neighbours; a point whose kth distance is
     beyond the width is asked again in cells twice as wide, until the width spans the data. all_pairs: the baseline.
     """
-    p = points.select("id", "p")
+    p = points.select("id", "p", *by)
     d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda a, b: a + b)
     best = Window.partitionBy("id").orderBy("d2", "other")
 
@@ -27,20 +27,20 @@ def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", wid
         scored = pairs.where("id <> other").select("id", "other", d2.alias("d2"))
         return scored.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
 
-    q = p.select(F.col("id").alias("other"), F.col("p").alias("q"))
+    q = p.select(F.col("id").alias("other"), F.col("p").alias("q"), *by)
     if method == "all_pairs":
-        return nearest(p.crossJoin(q))
+        return nearest(p.join(q, list(by)) if by else p.crossJoin(q))
     span = p.agg(F.max(F.col("p")[0]) - F.min(F.col("p")[0])).first()[0] or 0.0
     out, rest = None, p
     while True:
         cell = lambda c: F.floor(F.col(c)[0] / width)  # noqa: B023, E731
-        local = nearest(rest.withColumn("b", cell("p")).join(q.withColumn("b", F.explode(F.array(*[cell("q") + i for i in (-1, 0, 1)]))), "b")).persist()
+        local = nearest(rest.withColumn("b", cell("p")).join(q.withColumn("b", F.explode(F.array(*[cell("q") + i for i in (-1, 0, 1)]))), ["b", *by])).localCheckpoint()
         if width >= span:
             return local if out is None else out.unionByName(local)
         sure = local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id")
         done = local.join(sure, "id", "left_semi")
         out = done if out is None else out.unionByName(done)
-        rest = rest.join(sure, "id", "left_anti").persist()
+        rest = rest.join(sure, "id", "left_anti").localCheckpoint()
         if rest.isEmpty():
             return out
         width *= 2
@@ -70,15 +70,20 @@ def straight_ink(edges: np.ndarray) -> float:
     return float(np.hypot(edges[:, 2] - edges[:, 0], edges[:, 3] - edges[:, 1]).sum())
 
 
-def coalesce(edges: np.ndarray, knn: int = 10, max_angle: float = 60.0) -> tuple[np.ndarray, np.ndarray]:
-    """(bundle of every edge, ink of every bundle). Rounds of mutually best merges between proximity neighbours until none saves ink."""
+def coalesce(edges: np.ndarray, knn: int = 10, max_angle: float = 60.0, near: list | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(bundle of every edge, ink of every bundle). Rounds of mutually best merges between proximity neighbours until none saves ink.
+
+    near: the neighbours of every edge, if they are known. A pair of bundles is priced again only after one of them has grown.
+    """
     n = len(edges)
-    scale = edges.std(0) + 1e-9
-    near = [np.argsort((((edges - e) / scale) ** 2).sum(1), kind="stable")[1 : knn + 1] for e in edges]
+    if near is None:
+        scale = edges.std(0) + 1e-9
+        near = [np.argsort((((edges - e) / scale) ** 2).sum(1), kind="stable")[1 : knn + 1] for e in edges]
     label = np.arange(n)
     groups = {i: [i] for i in range(n)}
     cost = {i: straight_ink(edges[i : i + 1]) for i in range(n)}
     direction = np.arctan2(edges[:, 3] - edges[:, 1], edges[:, 2] - edges[:, 0])
+    known: dict[tuple[int, int], tuple[int, float]] = {}  # by pair of bundles: their size then, ink saved
     while True:
         wish: dict[int, tuple[float, int]] = {}
         for i, others in enumerate(near):
@@ -89,7 +94,11 @@ def coalesce(edges: np.ndarray, knn: int = 10, max_angle: float = 60.0) -> tuple
                 turn = abs((direction[i] - direction[j] + math.pi) % (2 * math.pi) - math.pi)
                 if math.degrees(turn) > max_angle:
                     continue
-                saved = cost[g] + cost[h] - bundle_ink(edges[groups[g] + groups[h]])[0]
+                pair = (g, h) if g < h else (h, g)
+                size = len(groups[g]) + len(groups[h])  # bundles only grow, so an equal size means equal members
+                if known.get(pair, (0, 0.0))[0] != size:
+                    known[pair] = size, cost[g] + cost[h] - bundle_ink(edges[groups[pair[0]] + groups[pair[1]]])[0]
+                saved = known[pair][1]
                 for x, y in ((g, h), (h, g)):
                     if saved > 1e-9 and (x not in wish or (saved, -y) > (wish[x][0], -wish[x][1])):
                         wish[x] = (saved, y)
@@ -102,6 +111,31 @@ def coalesce(edges: np.ndarray, knn: int = 10, max_angle: float = 60.0) -> tuple
             cost[g] = bundle_ink(edges[groups[g]])[0]
 
 
+def bundle_all(edges: DataFrame, knn: int = 10, max_angle: float = 60.0) -> DataFrame:
+    """The bundles of coalesce() for edges (id, level, x1, y1, x2, y2) of any number, a level being one drawing: no tiles, so none is crossed.
+
+    Neighbours come from proximity_graph() over the ends, scaled by their spread in the level. The merges of a level depend on one
+    another and run in one task. Edges of no length draw nothing and stay alone.
+    """
+    ends = ["x1", "y1", "x2", "y2"]
+    length = F.hypot(F.col("x2") - F.col("x1"), F.col("y2") - F.col("y1"))
+    lines = edges.where(length > 0).localCheckpoint()
+    spread = lines.groupBy("level").agg(*[(F.stddev_pop(c) + 1e-9).alias(f"_{c}") for c in ends])
+    scaled = lines.join(F.broadcast(spread), "level").select("id", "level", F.array(*[F.col(c) / F.col(f"_{c}") for c in ends]).alias("p")).localCheckpoint()
+    near = proximity_graph(scaled, knn, by=("level",)).groupBy("id").agg(F.transform(F.sort_array(F.collect_list(F.struct("rank", "other"))), lambda n: n["other"]).alias("_near"))
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("id").reset_index(drop=True)
+        at = {v: i for i, v in enumerate(pdf["id"])}
+        e = pdf[ends].to_numpy(float)
+        label, ink = coalesce(e, knn, max_angle, [[at[o] for o in ([] if n is None else n)] for n in pdf["_near"]])
+        return pdf.drop(columns="_near").assign(bundle=pdf["id"].to_numpy()[label], bundle_ink=ink, straight_ink=np.hypot(e[:, 2] - e[:, 0], e[:, 3] - e[:, 1]))
+
+    added = [T.StructField("bundle", T.LongType()), T.StructField("bundle_ink", T.DoubleType()), T.StructField("straight_ink", T.DoubleType())]
+    out = lines.join(near, "id", "left").select(*edges.columns, "_near").groupBy("level").applyInPandas(run, T.StructType([*edges.schema.fields, *added]))
+    return out.unionByName(edges.where(length == 0).withColumns({"bundle": F.col("id"), "bundle_ink": F.lit(0.0), "straight_ink": F.lit(0.0)}))
+
+
 def bundle(edges: DataFrame, knn: int = 10, max_angle: float = 60.0, by: tuple[str, ...] = ("level", "tile")) -> DataFrame:
     """Edges (id, by..., x1, y1, x2, y2) with their bundle, the ink of the bundle and their own straight ink. One group is what one
     view shows; its size is bounded by the view's cap on edges."""

@@ -379,6 +379,31 @@ query_(KNN, "edge_knn")(lambda spark, d: bundling.proximity_graph(points4(spark,
 query_(KNN, "edge_knn_naive")(lambda spark, d: bundling.proximity_graph(points4(spark, d), 5, "all_pairs").select("id", "rank", "other"))
 
 
+def kept_lines(spark, d) -> DataFrame:
+    """All kept edges of every level. The id packs level and cells (14 bits each), so no order over all edges is needed."""
+    e = build(movements(spark, d)).kept_edges
+    key = reduce(lambda a, c: a * 16_384 + F.col(c), ("sx", "sy", "tx", "ty"), F.col("level").cast("long"))
+    return e.select(key.alias("id"), "level", *[F.col(a).cast("double").alias(b) for a, b in (("sx", "x1"), ("sy", "y1"), ("tx", "x2"), ("ty", "y2"))])
+
+
+@query_(with_("kedges", "SELECT CAST(level AS INTEGER) AS level, count(*) AS edges, TRUE AS no_more_ink FROM kedges GROUP BY level"))
+def bundles_all(spark, d):
+    b = bundling.bundle_all(kept_lines(spark, d))
+    ink = b.groupBy("level", "bundle").agg(F.count("*").alias("edges"), F.max("bundle_ink").alias("ink"), F.sum("straight_ink").alias("straight"))
+    return ink.groupBy("level").agg(F.sum("edges").alias("edges"), (F.sum("ink") <= F.sum("straight") + 1e-6).alias("no_more_ink"))
+
+
+LINE = "SELECT level, (((CAST(level AS BIGINT) * 16384 + sx) * 16384 + sy) * 16384 + tx) * 16384 + ty AS id, sx, sy, tx, ty FROM kedges"
+
+
+@query_(with_("kedges", f""", e AS ({LINE}), k AS (SELECT a.id, b.id AS other, (a.sx - b.sx) * (a.sx - b.sx) + (a.sy - b.sy) * (a.sy - b.sy) + (a.tx - b.tx) * (a.tx - b.tx) + (a.ty - b.ty) * (a.ty - b.ty) AS d2
+    FROM e a JOIN e b ON a.level = b.level AND a.id <> b.id) SELECT id, CAST(r AS INTEGER) AS rank, other FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2, other) AS r FROM k) WHERE r <= 5""".lstrip()))
+def edge_knn_kept(spark, d):
+    """The five nearest kept edges of every kept edge, level by level, by their ends in cells."""
+    p = kept_lines(spark, d).select("id", "level", F.array("x1", "y1", "x2", "y2").alias("p")).persist()
+    return bundling.proximity_graph(p, 5, width=4.0, by=("level",)).select("id", "rank", "other")
+
+
 @query_(with_("kedges", "SELECT CAST(level AS INTEGER) AS level, round(sum(sqrt(CAST((tx - sx) * (tx - sx) + (ty - sy) * (ty - sy) AS DOUBLE))), 6) AS ink FROM kedges GROUP BY level"))
 def ink_unbundled(spark, d):
     e = build(movements(spark, d)).kept_edges

@@ -211,6 +211,19 @@ def test_batch_answers_all_sets_of_both_patterns(spark):
     assert QUERIES["viewport_batch_all"](spark, SF).count() == sum(want.values())
 
 
+def test_distributed_bundling_equals_the_one_of_arrays_beyond_a_hundred_edges(spark):
+    rng = np.random.default_rng(3)
+    hubs, levels = rng.uniform(0, 60, (5, 4)), {1: 130, 9: 25}
+    ends = {lv: hubs[rng.integers(0, 5, n)] + rng.normal(0, 2, (n, 4)) for lv, n in levels.items()}
+    rows = [(lv * 1000 + i, lv, *map(float, e)) for lv, es in ends.items() for i, e in enumerate(es)] + [(5000, 1, 3.0, 3.0, 3.0, 3.0)]
+    got = {r["id"]: r for r in bundling.bundle_all(spark.createDataFrame(rows, "id long, level int, x1 double, y1 double, x2 double, y2 double")).collect()}
+    assert len(got) == len(rows) and got[5000]["bundle"] == 5000 and got[5000]["bundle_ink"] == 0
+    for lv, es in ends.items():
+        label, ink = bundling.coalesce(es)
+        assert [got[lv * 1000 + i]["bundle"] - lv * 1000 for i in range(len(es))] == label.tolist() and len(set(label)) < len(es)
+        assert np.allclose([got[lv * 1000 + i]["bundle_ink"] for i in range(len(es))], ink)
+
+
 def test_bundling_keeps_edges_and_never_adds_ink():
     rng = np.random.default_rng(5)
     e = np.concatenate([rng.normal([0, 0, 10, 10], 0.5, (20, 4)), rng.normal([0, 10, 10, 0], 0.5, (20, 4))])
