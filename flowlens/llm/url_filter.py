@@ -47,6 +47,36 @@ def link_edges(pages: DataFrame, url_col: str = "url", html_col: str = "html") -
     return found.where(F.col("v").contains("://"))
 
 
+#: What a tag says: all canonical links and refreshes of a page, in any number.
+TARGETS = (CANONICAL, REFRESH)
+
+
+def declared_edges(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """(u, v) of all canonical links and refreshes that the pages declare, with relative targets resolved against the page's URL.
+
+    //host/x takes the scheme, /x the host, ?q the path, other ones the folder of the page; . and .. segments are removed. Fragments
+    alone (#x) and targets of other schemes (mailto:x) name no other page; a page without :// resolves absolute targets only.
+    """
+    targets = F.array_distinct(F.flatten(F.array(*[F.regexp_extract_all(html_col, F.lit(t), 1) for t in TARGETS])))
+    found = pages.where(F.col(html_col).isNotNull() & F.col(url_col).isNotNull()).select(F.col(url_col).alias("u"), F.explode(targets).alias("v"))
+    return found.withColumn("v", resolved(F.col("u"), F.col("v"))).where("v is not null")
+
+
+def resolved(base: Column, target: Column) -> Column:
+    """The absolute URL of a target on the page base; null if it has none."""
+    part = lambda p: F.regexp_extract(base, p, 1)
+    scheme, root, page = part(r"(?s)^(.*?:)//"), part(r"(?s)^(.*?://[^/?#]*)"), part(r"(?s)^.*?://[^/?#]*([^?#]*)")
+    folder = F.when(page.contains("/"), F.regexp_extract(page, r"(?s)^(.*/)", 1)).otherwise(F.lit("/"))
+    cut = F.regexp_extract(target, r"(?s)^([^?#]*)", 1)
+    rest = F.substr(target, F.length(cut) + 1)
+    path = F.when(cut.startswith("/"), cut).otherwise(F.concat(folder, cut))
+    # segments in order; .. takes the one before it away, a last . or .. leaves the folder
+    kept = F.aggregate(F.slice(F.split(path, "/"), 2, 1_000_000), F.array().cast("array<string>"), lambda a, x: F.when(x == "..", F.slice(a, 1, F.greatest(F.size(a) - 1, F.lit(0)))).when(x == ".", a).otherwise(F.concat(a, F.array(x))))
+    flat = F.concat(F.lit("/"), F.array_join(kept, "/"), F.when(path.rlike(r"/\.\.?$") & (F.size(kept) > 0), F.lit("/")).otherwise(F.lit("")))
+    return (F.when(target.rlike(r"^[A-Za-z][A-Za-z0-9+.\-]*://"), target).when(target.rlike(r"^[A-Za-z][A-Za-z0-9+.\-]*:") | target.startswith("#") | (root == "") | (target == ""), F.lit(None))
+            .when(target.startswith("//"), F.concat(scheme, target)).when(target.startswith("?"), F.concat(root, page, target)).otherwise(F.concat(root, flat, rest)))
+
+
 def url_verdicts(pages: DataFrame, edges: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES, id_col: str = "page_id", url_col: str = "url", default: str = "allow") -> DataFrame:
     """Verdict of every page row: page id, host, path, rule, verdict, alias_class (smallest URL of the class, null if it has no alias).
 
@@ -71,7 +101,7 @@ def url_verdicts(pages: DataFrame, edges: DataFrame, rules: Sequence[tuple[str,
 
 def op8_url_redirect_equivalence(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages")
-    return url_verdicts(pages, link_edges(pages)).select("page_id", "host", "path", "rule", "verdict")
+    return url_verdicts(pages, declared_edges(pages)).select("page_id", "host", "path", "rule", "verdict")
 
 
 ORACLE = """

@@ -363,6 +363,16 @@ def test_search_stops_before_it_has_seen_everything():
 # 8
 
 
+def test_relative_and_later_targets_are_edges(spark):
+    html = ['<link rel="canonical" href="/de/x"><link rel="canonical" href="http://b.io/2">', '<meta http-equiv="refresh" content="0; url=//example.com/de/y?q#f">', '<link rel=canonical href="../up/./z"><meta http-equiv=refresh content="0;url=?p=2">', '<link rel="canonical" href="#top"><link rel="canonical" href="mailto:a@b">', "<link rel=canonical href='plain'>"]
+    urls = ["http://example.com/en/a", "https://calm.io/one", "http://c.io/a/b/c?k", "http://d.io/", "http://e.io"]
+    pages = spark.createDataFrame([(i, u, h) for i, (u, h) in enumerate(zip(urls, html))], "page_id long, url string, html string")
+    edges = url_filter.declared_edges(pages)
+    want = {(urls[0], "http://example.com/de/x"), (urls[0], "http://b.io/2"), (urls[1], "https://example.com/de/y?q#f"), (urls[2], "http://c.io/a/up/z"), (urls[2], "http://c.io/a/b/c?p=2"), (urls[4], "http://e.io/plain")}
+    assert {tuple(r) for r in edges.collect()} == want
+    assert {r["page_id"]: r["verdict"] for r in url_filter.url_verdicts(pages, edges).collect()} == {0: "block", 1: "block", 2: "allow", 3: "allow", 4: "allow"}
+
+
 def test_url_rules_aliases_and_malformed_urls(spark):
     urls = ["http://a.net/x", "https://www.example.net/en/1?q", "http://EXAMPLE.net/en", "http://example.com/de/1", "http://x.org/fr/", "http://x.org/de/", None, "no scheme", "http://notnet/", "ftp://net", "http://sub.example.com/de/#f", "http://plain.io/p", "http://mirror.io/p", "http://calm.io/"]
     pages = spark.createDataFrame([(i, u, 1, "r") for i, u in enumerate(urls)], "page_id long, url string, component int, rule string")
