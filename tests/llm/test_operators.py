@@ -464,6 +464,19 @@ def test_windows_of_long_texts_agree_with_one_chain():
     assert np.abs(toxicity.marginals([s], pair, 0.0)[0] - whole).max() < 1e-6
 
 
+def test_toxicity_is_fitted_on_every_window(monkeypatch):
+    texts = [" ".join(f"w{i}x{k}" for k in range(300)) for i in range(40)] + ["vile " * 9] * 4
+    seen, plain = [], toxicity.forward_backward
+    monkeypatch.setattr(toxicity, "forward_backward", lambda s, mask, *a: seen.append(int(mask.sum())) or plain(s, mask, *a))
+    toxicity.fit(texts, [0] * 40 + [1] * 4)
+    assert set(seen) == {40 * 300 + 4 * 9}
+
+
+def test_a_shared_common_triple_makes_no_copy():
+    words = [["a", "a", "a", *(f"word{k * 7 + i * 1000}" for k in range(60))] for i in range(20)]
+    assert toxicity.distinct(words + words[:3]) == list(range(20))
+
+
 def test_toxicity_on_held_out_texts(spark):
     rng = random.Random(19)
     rows = []
