@@ -6,18 +6,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowlens.llm.common import materialize, table
-from flowlens.llm.mixing import mix
+from flowlens.llm.mixing import mixed_documents
 from flowlens.llm.near_dup import near_duplicates
 from flowlens.llm.packing import pack, token_pieces
 from flowlens.llm.substring_dedup import dedup_texts
 from flowlens.llm.toxicity import THRESHOLD, toxicity_scores, trained
 
 
-def _unique_ids(verdicts: DataFrame) -> DataFrame:
-    """One row of verdicts per id, so that joining them back never multiplies repeated rows."""
-    return verdicts.dropDuplicates(["doc_id"])
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored under the toxicity threshold; rows without an id stay."""
     field = trained(spark, docs, table(spark, sf_dir, "labels"))
@@ -44,11 +39,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document as often as the mix takes it; a document without words has nothing to take and stays once."""
-    taken = mix(docs)
-    times = taken.select("doc_id", F.when(F.col("size") > 0, F.col("epochs")).otherwise(F.lit(1)).cast("int").alias("__flowlens_times"))
-    times = materialize(_unique_ids(times))
-    joined = docs.join(times, docs["doc_id"].eqNullSafe(times["doc_id"]), "left").drop(times["doc_id"])
-    return joined.withColumn("__flowlens_copy", F.explode(F.array_repeat(F.lit(1), F.coalesce("__flowlens_times", F.lit(1))))).select(*docs.columns)
+    return mixed_documents(docs)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

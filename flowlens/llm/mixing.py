@@ -57,16 +57,12 @@ def _key(c: str = "source") -> Column:
     return F.struct(F.col(c).isNull().alias("n"), F.coalesce(F.col(c), F.lit("")).alias("s"))
 
 
-def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE, max_epochs: int = MAX_EPOCHS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """One row per document row: doc_id, size, source, source_size, target, epochs (times the mix repeats it), taken = size * epochs.
+def source_plan(d: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE, max_epochs: int = MAX_EPOCHS) -> DataFrame:
+    """One row per source of d (source, size, _h): _s (join key), source_size, target, _full, _threshold.
 
-    A source takes all its documents floor(target / source_size) times and once more those whose key is below its threshold. The
-    threshold is the largest key prefix whose words fit the remaining budget, or the next one if that ends nearer to it; documents
-    with one key (repeated ids) are taken or left together. Null text has size 0, null source is a source of its own, empty
-    tables give empty results, extra columns are ignored. Two documents never share a threshold decision by position, so reruns agree.
+    A document of the source is taken _full times and once more if its key is below _threshold, which is all that a row's decision
+    needs. Joined by source, so repeated ids, or ids that several sources hold, are decided row by row.
     """
-    d = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(F.col(text_col)).alias("size"), mix_key(F.col(id_col)).alias("_h"))
-    d = materialize(d)
     goal = materialize(targets(d.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, max_epochs))
     full = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0))
     full = F.least(full, F.lit(max_epochs))
@@ -80,8 +76,7 @@ def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE,
         before = Window.partitionBy("_s").orderBy("_d").rowsBetween(Window.unboundedPreceding, Window.currentRow)
         ends = materialize(hist.withColumn("_cum", F.sum("_n").over(before)))
         # the first bucket that does not fit whole; past the last one when all fit
-        cut = ends.join(F.broadcast(bound) if bound.limit(100_001).count() <= 100_000 else bound, "_s")
-        cut = cut.groupBy("_s", "_prefix", "_left").agg(
+        cut = join_lookup(ends, bound, "_s", "inner").groupBy("_s", "_prefix", "_left").agg(
             F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_d"))).alias("_cut"),
             F.coalesce(F.max(F.when(F.col("_cum") <= F.col("_left"), F.col("_cum"))), F.lit(0)).alias("_fits"),
             F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_cum"))).alias("_over"))
@@ -96,13 +91,50 @@ def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE,
             nearer = F.col("_last") - F.col("_left") < F.col("_left")
             done = done.unionByName(open_.select("_s", (F.col("_prefix") + nearer.cast("long")).alias("_threshold")))
         bound = open_.select("_s", "_prefix", "_left")
-    done = materialize(done)
     per = goal.withColumns({"_s": _key(), "_full": full.cast("long")}).drop("source").join(done, "_s", "left")
-    out = join_lookup(d.withColumn("_s", _key()), per, "_s", "left")
-    epochs = F.least(F.col("_full") + (F.col("_h") < F.coalesce("_threshold", F.lit(0))).cast("long"), F.lit(max_epochs).cast("long"))
+    return materialize(per.withColumn("_threshold", F.coalesce("_threshold", F.lit(0).cast("long"))))
+
+
+def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """doc_id, source, size, _h of every row, in a shared table, so that texts are read once."""
+    return materialize(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(F.col(text_col)).alias("size"), mix_key(F.col(id_col)).alias("_h")))
+
+
+def epochs_of(key: Column, full: Column, threshold: Column, max_epochs: int = MAX_EPOCHS) -> Column:
+    return F.least(full + (key < threshold).cast("long"), F.lit(max_epochs).cast("long"))
+
+
+def mix(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE, max_epochs: int = MAX_EPOCHS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """One row per document row: doc_id, size, source, source_size, target, epochs (times the mix repeats it), taken = size * epochs.
+
+    A source takes all its documents floor(target / source_size) times and once more those whose key is below its threshold. The
+    threshold is the largest key prefix whose words fit the remaining budget, or the next one if that ends nearer to it; documents
+    with one key (repeated ids) are taken or left together. Null text has size 0, null source is a source of its own, empty
+    tables give empty results, extra columns are ignored. Two documents never share a threshold decision by position, so reruns agree.
+    """
+    d = sized(docs, id_col, text_col, source_col)
+    out = join_lookup(d.withColumn("_s", _key()), source_plan(d, weights, share, max_epochs), "_s", "left")
+    epochs = epochs_of(F.col("_h"), F.col("_full"), F.col("_threshold"), max_epochs)
     return out.select("doc_id", "size", "source", "source_size", "target", epochs.alias("epochs"), (F.col("size") * epochs).alias("taken"))
 
 
+#: Columns added to documents for a while; no table has such names.
+PLAN, TIMES = "__flowlens_plan", "__flowlens_times"
+
+
+def mixed_documents(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = SHARE, max_epochs: int = MAX_EPOCHS, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The rows of docs, with all their columns, as often as the mix takes them; rows without words have nothing to take and stay once.
+
+    Every row decides for itself from its key and its source's plan, so texts are neither shuffled nor joined by document.
+    """
+    plan = source_plan(sized(docs, id_col, text_col, source_col), weights, share, max_epochs).select("_s", F.struct("_full", "_threshold").alias(PLAN)).withColumnRenamed("_s", TIMES)
+    keyed = docs.withColumn(TIMES, F.struct(F.col(source_col).isNull().alias("n"), F.coalesce(F.col(source_col).cast("string"), F.lit("")).alias("s")))
+    times = epochs_of(mix_key(F.col(id_col)), F.col(f"{PLAN}._full"), F.col(f"{PLAN}._threshold"), max_epochs)
+    times = F.when(F.coalesce(F.col(text_col), F.lit("")).rlike(WORD), F.coalesce(times, F.lit(0))).otherwise(F.lit(1)).cast("int")
+    copies = join_lookup(keyed, plan, TIMES, "left").withColumn(TIMES, F.explode(F.array_repeat(F.lit(1), times)))
+    return copies.select(*docs.columns)
+
+
 def op3_mix_hash_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
