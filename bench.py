@@ -1,4 +1,5 @@
-"""Headline timings: one JSON line. BENCH_SF_DIR and BENCH_CPUS choose data and cores; BENCH_FULL=1 adds sweeps and the load test."""
+"""Headline timings and the published experiments: one JSON line. BENCH_SF_DIR and BENCH_CPUS choose data and cores; BENCH_FULL=1 takes
+means of three runs in the step sweep, growth by three as well, and runs every rate of the stress test by the clock."""
 
 from __future__ import annotations
 
@@ -15,7 +16,11 @@ from flowlens.registry import QUERIES
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-HEADLINE = ["movements_from_events", "pyramid_nodes", "pyramid_nodes_rollup", "pyramid_edges", "pyramid_edges_rollup", "significant_nodes_tiles", "significant_nodes_offsets", "edges_bloom", "edges_join", "final_graph", "viewport_batch", "viewport_raw", "cube_nodes_daily", "load_stats_16"]
+HEADLINE = [
+    "movements_from_events", "pyramid_nodes", "pyramid_nodes_rollup", "pyramid_edges", "pyramid_edges_rollup", "significant_nodes_tiles", "significant_nodes_offsets",
+    "edges_bloom", "edges_join", "final_graph", "final_graph_bloom", "viewport_batch_all", "viewport_raw", "cube_nodes_daily", "load_stats_16",
+]
+FULL = bool(os.environ.get("BENCH_FULL"))
 
 
 def seconds(make) -> float:
@@ -57,14 +62,17 @@ def main() -> None:
     overall = sum(steps.values())
     out = {"metric": "three_step_overall", "value": round(overall, 3), "unit": "sec", "queries": times | {f"step_{k}": v for k, v in steps.items()},
            "sf": SF_DIR.rsplit("/sf", 1)[-1], "movements": n, "movements_per_s": round(n / overall), "movements_per_s_core": round(n / overall / int(CPUS))}
-    out["latency_ms"] = workload.load_test(spark, SF_DIR, queries=int(os.environ.get("BENCH_QUERIES", "100")), duration=5.0)
-    out["scale"] = workload.scale_up(spark, SF_DIR, (1, 10))
+    spark.catalog.clearCache()
+    out["scale"] = workload.scale_up(spark, SF_DIR, (1, 3, 10) if FULL else (1, 10))
     out["scaled_movements_per_s_core"] = round(out["scale"][-1]["movements"] / out["scale"][-1]["overall"] / int(CPUS))
-    if os.environ.get("BENCH_FULL"):
-        out["sweep"] = workload.step_sweep(spark, SF_DIR)
-        out["ablations"] = workload.ablations(spark, SF_DIR)
-        spark.catalog.clearCache()
-        out["task_seconds"] = metrics.task_seconds(spark, lambda: aggregate.pyramid_nodes(queries_serving.movements(spark, SF_DIR), cfg))
+    out["reducer_load"] = [r.asDict() for r in QUERIES["load_stats_methods"](spark, SF_DIR).collect()]
+    out["graph_size"] = workload.graph_sizes(spark, SF_DIR)
+    out["step_times"] = workload.step_sweep(spark, SF_DIR, runs=3 if FULL else 1)
+    out["ablations"] = workload.ablations(spark, SF_DIR, times=10)
+    spark.catalog.clearCache()
+    out["task_seconds"] = metrics.task_seconds(spark, lambda: aggregate.pyramid_nodes(queries_serving.movements(spark, SF_DIR), cfg))
+    # every query runs; the clock itself only at the highest rate, unless all is asked for
+    out["stress_ms"] = workload.stress(spark, SF_DIR, by_clock=workload.DURATIONS if FULL else (50,), by_spark=10)
     print(json.dumps(out))
 
 

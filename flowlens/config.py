@@ -49,7 +49,7 @@ class PyramidConfig:
     rank: str = "weak"  # or strict, mean, relative
     strategy: str = "tiles"  # or offsets, leaves, all_pairs
     aggregation: str = "rollup"  # or explode, in_task
-    edge_filter: str = "bloom"  # or join, broadcast
+    edge_filter: str = "exact"  # or bloom, join, broadcast
     fpp: float = 0.01
     partitions: int = 16
     seed: int = 42

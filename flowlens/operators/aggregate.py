@@ -120,6 +120,29 @@ def pyramid_edges(movements: DataFrame, cfg: PyramidConfig = PyramidConfig(), st
     return wide.groupBy(*EDGE, *keep).agg(F.sum("m").alias("n"))
 
 
+def fine_flows(movements: DataFrame, cfg: PyramidConfig = PyramidConfig()) -> DataFrame:
+    """Movements merged by their finest cells and first admitting level: what nodes and edges of every level can be summed from, so
+    that both come from one scan. m: movements; x0, y0, x1, y1: sums of their ends' coordinates."""
+    g = cfg.grid
+    cells = [cell(F.col(c), 1, g).alias(f"f{c}") for c in ("sx", "sy", "tx", "ty")]
+    sums = [F.sum(c).alias(a) for c, a in (("sx", "x0"), ("sy", "y0"), ("tx", "x1"), ("ty", "y1"))]
+    return movements.groupBy(*cells, first_level(F.col("dist_km"), cfg).alias("lo")).agg(F.count("*").alias("m"), *sums)
+
+
+def nodes_of_flows(flows: DataFrame, cfg: PyramidConfig = PyramidConfig()) -> DataFrame:
+    """pyramid_nodes() from fine_flows()."""
+    end = lambda x, y, sx, sy: F.struct(F.col(x).alias("fx"), F.col(y).alias("fy"), F.col(sx).alias("x"), F.col(sy).alias("y"))
+    ends = flows.select("m", F.inline(F.array(end("fsx", "fsy", "x0", "y0"), end("ftx", "fty", "x1", "y1"))))
+    fine = ends.groupBy("fx", "fy").agg(F.sum("m").alias("n"), F.sum("x").alias("sum_x"), F.sum("y").alias("sum_y"))
+    return fine.withColumn("level", _levels(cfg)).groupBy("level", _up("fx").alias("cx"), _up("fy").alias("cy")).agg(*[F.sum(c).alias(c) for c in ("n", "sum_x", "sum_y")])
+
+
+def edges_of_flows(flows: DataFrame, cfg: PyramidConfig = PyramidConfig()) -> DataFrame:
+    """pyramid_edges() from fine_flows()."""
+    wide = flows.where("lo is not null").withColumn("level", F.explode(F.sequence("lo", F.lit(cfg.grid.levels))))
+    return wide.select("level", *[_up(f"f{c}").alias(c) for c in ("sx", "sy", "tx", "ty")], "m").groupBy(*EDGE).agg(F.sum("m").alias("n"))
+
+
 def centroids(nodes: DataFrame) -> DataFrame:
     """Mean position of what was counted in each cell, by whole-number division."""
     return nodes.select(*NODE, F.call_function("div", F.col("sum_x"), F.col("n")).alias("cent_x"), F.call_function("div", F.col("sum_y"), F.col("n")).alias("cent_y"))

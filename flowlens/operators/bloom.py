@@ -16,6 +16,8 @@ KEY = ["level", "cx", "cy"]
 M1, A1, M2, A2, PRIME = 2654435761, 97, 40503, 12345, 2147483647
 #: Bytes of all filters together that are still broadcast; beyond, edges are filtered by joins.
 MAX_BYTES = 512 << 20
+#: Bytes of one level's filter, which is one value of a broadcast row.
+LEVEL_BYTES = 128 << 20
 
 
 def size(n: int, fpp: float = 0.01) -> tuple[int, int]:
@@ -62,9 +64,10 @@ def bitmaps(bits: DataFrame) -> DataFrame:
 
 
 def filters(kept: DataFrame, fpp: float = 0.01, max_bytes: int | None = None) -> dict[int, tuple[int, int, np.ndarray]] | None:
-    """level -> (bits, hashes, byte array), or None where all together would pass MAX_BYTES."""
+    """level -> (bits, hashes, byte array), or None where a level's filter would pass LEVEL_BYTES or all together MAX_BYTES. All levels
+    are built in one aggregate; kept should be a stored table, as it is read for the sizes and for the bits."""
     dims = sizes(kept, fpp, max_bytes)
-    if sum(m for _, m, _ in dims.values()) > 8 * MAX_BYTES:
+    if sum(m for _, m, _ in dims.values()) > 8 * MAX_BYTES or any(m > 8 * LEVEL_BYTES for _, m, _ in dims.values()):
         return None
     page = 32768
     out = {lv: (m, k, np.zeros(-(-m // page) * page // 8, np.uint8)) for lv, (_, m, k) in dims.items()}
@@ -75,7 +78,7 @@ def filters(kept: DataFrame, fpp: float = 0.01, max_bytes: int | None = None) ->
 
 
 def probe(levels: np.ndarray, idents: np.ndarray, held: dict[int, tuple[int, int, np.ndarray]]) -> np.ndarray:
-    """Which ids pass the filter of their level; a level without a filter passes nothing."""
+    """Which ids pass the filter of their level; a level without a filter passes nothing. The probe of a Python client."""
     out = np.zeros(len(idents), bool)
     h1, h2 = (idents * M1 + A1) % PRIME, (idents * M2 + A2) % PRIME + 1
     for lv in np.unique(levels):
@@ -90,22 +93,34 @@ def probe(levels: np.ndarray, idents: np.ndarray, held: dict[int, tuple[int, int
     return out
 
 
+def filter_table(spark, held: dict[int, tuple[int, int, np.ndarray]]) -> DataFrame:
+    """(_level, _m, _k, _words): a row a level, its bits as whole numbers of 64."""
+    rows = [(lv, m, k, np.concatenate([bits, np.zeros(-len(bits) % 8, np.uint8)]).view(np.int64)) for lv, (m, k, bits) in held.items()]
+    frame = pa.table({"_level": pa.array([r[0] for r in rows], pa.int32()), "_m": pa.array([r[1] for r in rows], pa.int64()), "_k": pa.array([r[2] for r in rows], pa.int32()), "_words": pa.array([r[3] for r in rows], pa.list_(pa.int64()))})
+    return spark.createDataFrame(frame)
+
+
+def passes(cx: Column, cy: Column, hashes: int) -> Column:
+    """Whether a cell passes the filter in _m, _k and _words, in generated code: one array element a hash, the first miss decides."""
+    ident = cell_id(cx, cy)
+    ok = F.lit(True)
+    for i in range(hashes):
+        p = position(ident, F.lit(i).cast("long"), F.col("_m"))
+        word = F.get(F.col("_words"), F.shiftright(p, 6).cast("int"))
+        bit = F.call_function("shiftright", word, p.bitwiseAND(63).cast("int")).bitwiseAND(1) == 1
+        ok = ok & ((F.lit(i) >= F.col("_k")) | bit)
+    return ok
+
+
 def bloom_filter_edges(edges: DataFrame, kept: DataFrame, fpp: float = 0.01, max_bytes: int | None = None) -> DataFrame:
-    """Edges whose both ends pass: no edge between kept nodes is lost, few others slip in. Edges are not shuffled."""
+    """Edges whose both ends pass: no edge between kept nodes is lost, few others slip in. Edges are not shuffled: the filters, one row
+    a level, are broadcast, and each edge tests its bits where it is. Beyond the bounds on the filters' bytes, two semi-joins decide."""
     held = filters(kept, fpp, max_bytes)
     if held is None:
         return join_filter_edges(edges, kept)
-    shared = edges.sparkSession.sparkContext.broadcast(held)
-
-    def run(batches):
-        held = shared.value
-        for b in batches:
-            lv, sx, sy, tx, ty = (b.column(b.schema.get_field_index(c)).to_numpy().astype(np.int64) for c in ("level", "sx", "sy", "tx", "ty"))
-            ok = probe(lv, sx << 14 | sy, held)
-            at = np.flatnonzero(ok)
-            yield b.take(pa.array(at[probe(lv[at], tx[at] << 14 | ty[at], held)]))
-
-    return edges.mapInArrow(run, edges.schema)
+    hashes = max((k for _, k, _ in held.values()), default=1)
+    wide = edges.join(F.broadcast(filter_table(edges.sparkSession, held)), F.col("level") == F.col("_level"))
+    return wide.where(passes(F.col("sx"), F.col("sy"), hashes) & passes(F.col("tx"), F.col("ty"), hashes)).select(*edges.columns)
 
 
 def join_filter_edges(edges: DataFrame, kept: DataFrame, how: str | None = None) -> DataFrame:

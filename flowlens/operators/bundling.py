@@ -10,14 +10,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..sources.shared import materialize
+
 GOLDEN = (math.sqrt(5) - 1) / 2
 
 
-def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 0.05, by: tuple[str, ...] = ()) -> DataFrame:
+def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
     """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id), among points that agree in the columns by.
 
-    buckets: points meet in cells of the given width on the first coordinate and their neighbours; a point whose kth distance is
-    beyond the width is asked again in cells twice as wide, until the width spans the data. all_pairs: the baseline.
+    buckets: points lie in 4-D cells of a width, and a point asks its own cell and the 80 around it. One that has found k within the
+    width is done; the others ask again in cells twice as wide, until a cell holds the data. Crowded places are settled while cells
+    are small, and every point is stored in one cell, only the asking ones are copied. all_pairs: the baseline.
     """
     p = points.select("id", "p", *by)
     d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda a, b: a + b)
@@ -30,17 +33,25 @@ def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", wid
     q = p.select(F.col("id").alias("other"), F.col("p").alias("q"), *by)
     if method == "all_pairs":
         return nearest(p.join(q, list(by)) if by else p.crossJoin(q))
-    span = p.agg(F.max(F.col("p")[0]) - F.min(F.col("p")[0])).first()[0] or 0.0
+    p = materialize(p)
+    q = p.select(F.col("id").alias("other"), F.col("p").alias("q"), *by)
+    spans = p.agg(*[(F.max(F.get("p", F.lit(i))) - F.min(F.get("p", F.lit(i)))).alias(f"s{i}") for i in range(4)]).first()
+    span = max((v or 0.0) for v in spans)
     out, rest = None, p
     while True:
-        cell = lambda c: F.floor(F.col(c)[0] / width)  # noqa: B023, E731
-        local = nearest(rest.withColumn("b", cell("p")).join(q.withColumn("b", F.explode(F.array(*[cell("q") + i for i in (-1, 0, 1)]))), ["b", *by])).localCheckpoint()
+        cell = lambda c, i: F.floor(F.get(F.col(c), F.lit(i)) / width)  # noqa: B023, E731
+        cells = [f"_b{i}" for i in range(4)]
+        stored = q.withColumns({c: cell("q", i) for i, c in enumerate(cells)})
+        asking = rest
+        for i, c in enumerate(cells):
+            asking = asking.withColumn(c, F.explode(F.array(*[cell("p", i) + j for j in (-1, 0, 1)])))
+        local = materialize(nearest(asking.join(stored, [*cells, *by])))
         if width >= span:
             return local if out is None else out.unionByName(local)
-        sure = local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id")
+        sure = materialize(local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id"))
         done = local.join(sure, "id", "left_semi")
         out = done if out is None else out.unionByName(done)
-        rest = rest.join(sure, "id", "left_anti").localCheckpoint()
+        rest = materialize(rest.join(sure, "id", "left_anti"))
         if rest.isEmpty():
             return out
         width *= 2
@@ -70,80 +81,116 @@ def straight_ink(edges: np.ndarray) -> float:
     return float(np.hypot(edges[:, 2] - edges[:, 0], edges[:, 3] - edges[:, 1]).sum())
 
 
-def coalesce(edges: np.ndarray, knn: int = 10, max_angle: float = 60.0, near: list | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(bundle of every edge, ink of every bundle). Rounds of mutually best merges between proximity neighbours until none saves ink.
+def group_ink(edges: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """bundle_ink() of many groups of edges at once; starts: where each group's rows begin."""
+    size = np.diff(np.append(starts, len(edges)))
+    mean = np.add.reduceat(edges, starts) / size[:, None]
+    a, b = mean[:, :2], mean[:, 2:]
+    of = np.repeat(np.arange(len(starts)), size)
+
+    def ink(t: np.ndarray) -> np.ndarray:
+        m1, m2 = a + (b - a) * t[:, None], b + (a - b) * t[:, None]
+        each = np.hypot(*(edges[:, :2] - m1[of]).T) + np.hypot(*(edges[:, 2:] - m2[of]).T)
+        return np.add.reduceat(each, starts) + np.hypot(*(m2 - m1).T)
+
+    lo, hi = np.zeros(len(starts)), np.full(len(starts), 0.5)
+    for _ in range(30):
+        x, y = hi - GOLDEN * (hi - lo), lo + GOLDEN * (hi - lo)
+        less = ink(x) < ink(y)
+        lo, hi = np.where(less, lo, x), np.where(less, y, hi)
+    return ink((lo + hi) / 2)
+
+
+#: Rows that one call of group_ink() prices at a time, which bounds its memory.
+PRICED_ROWS = 1 << 20
+
 
-    near: the neighbours of every edge, if they are known. A pair of bundles is priced again only after one of them has grown.
+def coalesce(edges: np.ndarray, near: list, max_angle: float = 60.0) -> tuple[np.ndarray, np.ndarray]:
+    """(bundle of every edge, ink of its bundle). Rounds of mutually best merges between proximity neighbours until none saves ink.
+
+    near: the proximity neighbours of every edge. Edges are never compared beyond them, and a pair of bundles is priced again only
+    after one of the two has grown; all pairs of a round are priced together.
     """
     n = len(edges)
-    if near is None:
-        scale = edges.std(0) + 1e-9
-        near = [np.argsort((((edges - e) / scale) ** 2).sum(1), kind="stable")[1 : knn + 1] for e in edges]
     label = np.arange(n)
-    groups = {i: [i] for i in range(n)}
-    cost = {i: straight_ink(edges[i : i + 1]) for i in range(n)}
+    cost = np.hypot(edges[:, 2] - edges[:, 0], edges[:, 3] - edges[:, 1]) if n else np.zeros(0)
+    i = np.repeat(np.arange(n), [len(v) for v in near])
+    j = np.fromiter((o for v in near for o in v), np.int64, len(i))
     direction = np.arctan2(edges[:, 3] - edges[:, 1], edges[:, 2] - edges[:, 0])
-    known: dict[tuple[int, int], tuple[int, float]] = {}  # by pair of bundles: their size then, ink saved
-    while True:
-        wish: dict[int, tuple[float, int]] = {}
-        for i, others in enumerate(near):
-            for j in others:
-                g, h = label[i], label[j]
-                if g == h:
-                    continue
-                turn = abs((direction[i] - direction[j] + math.pi) % (2 * math.pi) - math.pi)
-                if math.degrees(turn) > max_angle:
-                    continue
-                pair = (g, h) if g < h else (h, g)
-                size = len(groups[g]) + len(groups[h])  # bundles only grow, so an equal size means equal members
-                if known.get(pair, (0, 0.0))[0] != size:
-                    known[pair] = size, cost[g] + cost[h] - bundle_ink(edges[groups[pair[0]] + groups[pair[1]]])[0]
-                saved = known[pair][1]
-                for x, y in ((g, h), (h, g)):
-                    if saved > 1e-9 and (x not in wish or (saved, -y) > (wish[x][0], -wish[x][1])):
-                        wish[x] = (saved, y)
-        pairs = [(g, h) for g, (_, h) in wish.items() if g < h and wish.get(h, (0, -1))[1] == g]
-        if not pairs:
-            return label, np.array([cost[g] for g in label])
-        for g, h in pairs:
-            groups[g] += groups.pop(h)
-            label[groups[g]] = g
-            cost[g] = bundle_ink(edges[groups[g]])[0]
-
-
-def bundle_all(edges: DataFrame, knn: int = 10, max_angle: float = 60.0) -> DataFrame:
-    """The bundles of coalesce() for edges (id, level, x1, y1, x2, y2) of any number, a level being one drawing: no tiles, so none is crossed.
-
-    Neighbours come from proximity_graph() over the ends, scaled by their spread in the level. The merges of a level depend on one
-    another and run in one task. Edges of no length draw nothing and stay alone.
+    turn = np.abs((direction[i] - direction[j] + math.pi) % (2 * math.pi) - math.pi)
+    pairs = np.unique(np.stack([np.minimum(i, j), np.maximum(i, j)], 1)[np.degrees(turn) <= max_angle], axis=0)
+    known, saved, grown = np.zeros(0, np.int64), np.zeros(0), np.zeros(n, bool)
+
+    def price(g: np.ndarray, h: np.ndarray, members: np.ndarray, first: np.ndarray, size: np.ndarray) -> np.ndarray:
+        out = np.empty(len(g))
+        rows = size[g] + size[h]
+        lot = 0
+        while lot < len(g):
+            end = max(lot + 1, lot + int(np.searchsorted(np.cumsum(rows[lot:]), PRICED_ROWS, "right")))
+            ends = np.stack([first[g[lot:end]], first[h[lot:end]]], 1).ravel()
+            many = np.stack([size[g[lot:end]], size[h[lot:end]]], 1).ravel()
+            at = np.repeat(ends - np.cumsum(many) + many, many) + np.arange(many.sum())
+            starts = np.concatenate([[0], np.cumsum(rows[lot : end - 1])])
+            out[lot:end] = cost[g[lot:end]] + cost[h[lot:end]] - group_ink(edges[members[at]], starts)
+            lot = end
+        return out
+
+    while len(pairs):
+        g, h = label[pairs[:, 0]], label[pairs[:, 1]]
+        pairs = pairs[g != h]
+        key = np.unique(np.minimum(g, h)[g != h] * n + np.maximum(g, h)[g != h])
+        g, h = key // n, key % n
+        members = np.argsort(label, kind="stable")
+        size = np.bincount(label, minlength=n)
+        first = np.concatenate([[0], np.cumsum(size)[:-1]])
+        at = np.minimum(np.searchsorted(known, key), max(0, len(known) - 1))
+        held = (known[at] == key) & ~grown[g] & ~grown[h] if len(known) else np.zeros(len(key), bool)
+        now = np.empty(len(key))
+        now[held] = saved[at[held]] if len(known) else 0.0
+        now[~held] = price(g[~held], h[~held], members, first, size)
+        known, saved = key, now
+        # each bundle wishes for the partner that saves most, of equals the first; mutual wishes come true
+        use = now > 1e-9
+        x, y, s = np.concatenate([g[use], h[use]]), np.concatenate([h[use], g[use]]), np.tile(now[use], 2)
+        order = np.lexsort((y, -s, x))
+        lead = order[np.flatnonzero(np.concatenate([[True], x[order][1:] != x[order][:-1]]))] if len(order) else order
+        wish = np.full(n, -1)
+        wish[x[lead]] = y[lead]
+        merge = np.flatnonzero((wish >= 0) & (wish[np.maximum(wish, 0)] == np.arange(n)) & (np.arange(n) < wish))
+        if not len(merge):
+            break
+        gone = wish[merge]
+        gain = saved[np.searchsorted(known, merge * n + gone)]
+        cost[merge] = cost[merge] + cost[gone] - gain
+        to = np.arange(n)
+        to[gone] = merge
+        label = to[label]
+        grown = np.zeros(n, bool)
+        grown[merge] = True
+    return label, cost[label]
+
+
+def bundle(edges: DataFrame, knn: int = 10, max_angle: float = 60.0, by: tuple[str, ...] = ("level",)) -> DataFrame:
+    """Edges (id, by..., x1, y1, x2, y2) with their bundle, the ink of the bundle and their own straight ink. What agrees in the columns
+    by is one drawing: a level, or a level and a tile, which spreads a level over tasks and keeps a task's share at what a view shows.
+
+    Neighbours come from the distributed proximity_graph() over the ends, scaled by their spread in the drawing, so no edge meets all
+    others; the merges of a drawing depend on one another and run in one task. Edges of no length draw nothing and stay alone.
     """
     ends = ["x1", "y1", "x2", "y2"]
     length = F.hypot(F.col("x2") - F.col("x1"), F.col("y2") - F.col("y1"))
-    lines = edges.where(length > 0).localCheckpoint()
-    spread = lines.groupBy("level").agg(*[(F.stddev_pop(c) + 1e-9).alias(f"_{c}") for c in ends])
-    scaled = lines.join(F.broadcast(spread), "level").select("id", "level", F.array(*[F.col(c) / F.col(f"_{c}") for c in ends]).alias("p")).localCheckpoint()
-    near = proximity_graph(scaled, knn, by=("level",)).groupBy("id").agg(F.transform(F.sort_array(F.collect_list(F.struct("rank", "other"))), lambda n: n["other"]).alias("_near"))
+    lines = materialize(edges.where(length > 0))
+    spread = lines.groupBy(*by).agg(*[F.avg(c).alias(f"_m{c}") for c in ends], *[F.greatest(F.stddev_pop(c), F.lit(1e-3)).alias(f"_s{c}") for c in ends])
+    scaled = lines.join(spread, list(by)).select("id", *by, F.array(*[(F.col(c) - F.col(f"_m{c}")) / F.col(f"_s{c}") for c in ends]).alias("p"))
+    near = proximity_graph(scaled, knn, width=1 / 16, by=by).groupBy("id").agg(F.transform(F.sort_array(F.collect_list(F.struct("rank", "other"))), lambda n: n["other"]).alias("_near"))
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("id").reset_index(drop=True)
         at = {v: i for i, v in enumerate(pdf["id"])}
         e = pdf[ends].to_numpy(float)
-        label, ink = coalesce(e, knn, max_angle, [[at[o] for o in ([] if n is None else n)] for n in pdf["_near"]])
+        label, ink = coalesce(e, [[at[o] for o in ([] if n is None else n)] for n in pdf["_near"]], max_angle)
         return pdf.drop(columns="_near").assign(bundle=pdf["id"].to_numpy()[label], bundle_ink=ink, straight_ink=np.hypot(e[:, 2] - e[:, 0], e[:, 3] - e[:, 1]))
 
     added = [T.StructField("bundle", T.LongType()), T.StructField("bundle_ink", T.DoubleType()), T.StructField("straight_ink", T.DoubleType())]
-    out = lines.join(near, "id", "left").select(*edges.columns, "_near").groupBy("level").applyInPandas(run, T.StructType([*edges.schema.fields, *added]))
+    out = lines.join(near, "id", "left").select(*edges.columns, "_near").groupBy(*by).applyInPandas(run, T.StructType([*edges.schema.fields, *added]))
     return out.unionByName(edges.where(length == 0).withColumns({"bundle": F.col("id"), "bundle_ink": F.lit(0.0), "straight_ink": F.lit(0.0)}))
-
-
-def bundle(edges: DataFrame, knn: int = 10, max_angle: float = 60.0, by: tuple[str, ...] = ("level", "tile")) -> DataFrame:
-    """Edges (id, by..., x1, y1, x2, y2) with their bundle, the ink of the bundle and their own straight ink. One group is what one
-    view shows; its size is bounded by the view's cap on edges."""
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("id").reset_index(drop=True)
-        e = pdf[["x1", "y1", "x2", "y2"]].to_numpy(float)
-        label, ink = coalesce(e, knn, max_angle)
-        return pdf.assign(bundle=pdf["id"].to_numpy()[label], bundle_ink=ink, straight_ink=np.hypot(e[:, 2] - e[:, 0], e[:, 3] - e[:, 1]))
-
-    return edges.groupBy(*by).applyInPandas(run, T.StructType([*edges.schema.fields, T.StructField("bundle", T.LongType()), T.StructField("bundle_ink", T.DoubleType()), T.StructField("straight_ink", T.DoubleType())]))

@@ -16,16 +16,17 @@ class Cube:
     edges: DataFrame
 
 
-def _write(df: DataFrame, path: str, x: str, y: str, files_a_level: int) -> None:
+def _write(df: DataFrame, path: str, x: str, y: str) -> None:
     laid = df.withColumn("morton", morton(F.col(x), F.col(y)))
-    laid = laid.repartitionByRange(files_a_level * 10, "level", "morton").sortWithinPartitions("level", "bin", "morton")
+    # the shuffle's own sizing decides how many tasks write: as many as are set, fewer where adaptive execution finds them small
+    laid = laid.repartitionByRange("level", "morton").sortWithinPartitions("level", "bin", "morton")
     laid.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("level", "bin").parquet(path)
 
 
-def write(nodes: DataFrame, edges: DataFrame, path: str, files_a_level: int = 1) -> None:
+def write(nodes: DataFrame, edges: DataFrame, path: str) -> None:
     """Store nodes and edges that carry a bin (a date or 'all'). Rewriting touches only the bins that the frames hold."""
-    _write(nodes.withColumn("bin", F.col("bin").cast("string")), f"{path}/nodes", "cx", "cy", files_a_level)
-    _write(edges.withColumn("bin", F.col("bin").cast("string")), f"{path}/edges", "sx", "sy", files_a_level)
+    _write(nodes.withColumn("bin", F.col("bin").cast("string")), f"{path}/nodes", "cx", "cy")
+    _write(edges.withColumn("bin", F.col("bin").cast("string")), f"{path}/edges", "sx", "sy")
 
 
 def open_cube(spark: SparkSession, path: str) -> Cube:

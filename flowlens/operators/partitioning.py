@@ -91,9 +91,31 @@ def bisect(points: np.ndarray, k: int, region: RegionSpec = RegionSpec(), axis:
 
 
 def learn(rows: DataFrame, k: int, x: str = "x", y: str = "y", weight: str | None = None, axis: str = "best", region: RegionSpec = RegionSpec()) -> PartitionTree:
-    """bisect() on sampled rows. The sample is held to SAMPLE_ROWS whatever the data: its share should be chosen from the input's size."""
-    got = rows.select(x, y, *([weight] if weight else [])).limit(SAMPLE_ROWS).toPandas()
-    return bisect(got[[x, y]].to_numpy(np.int64), k, region, axis, got[weight].to_numpy() if weight else None)
+    """bisect() on the distinct positions of the rows, weighed by how many rows (or how much weight) each holds. Beyond SAMPLE_ROWS
+    positions, those of least hash stand for all, each with its whole weight, so no part of the input is preferred."""
+    held = rows.groupBy(F.col(x).alias("_x"), F.col(y).alias("_y")).agg((F.sum(weight) if weight else F.count("*")).cast("double").alias("_w"))
+    held = held.withColumn("_h", F.pmod(F.xxhash64("_x", "_y"), F.lit(1 << 20)))
+    share = SAMPLE_ROWS / max(1, held.count())
+    got = (held if share >= 1 else held.where(F.col("_h") < int(share * (1 << 20)))).select("_x", "_y", "_w").toPandas()
+    return bisect(got[["_x", "_y"]].to_numpy(np.int64), k, region, axis, got["_w"].to_numpy())
+
+
+def range_bounds(keys: DataFrame, k: int, key: str = "key") -> list[int]:
+    """k - 1 keys that cut a sample (SAMPLE_ROWS at most, by hash of the key) into runs of like length, as range placement does."""
+    share = SAMPLE_ROWS / max(1, keys.count())
+    some = keys if share >= 1 else keys.where(F.pmod(F.xxhash64(key), F.lit(1 << 20)) < int(share * (1 << 20)))
+    held = np.sort(some.select(key).toPandas()[key].to_numpy(np.int64))
+    return [int(held[i * len(held) // k]) for i in range(1, k)] if len(held) else []
+
+
+def by_bounds(key: Column, bounds: list[int]) -> Column:
+    """How many bounds a key has reached: its range."""
+    return sum((F.when(key >= b, 1).otherwise(0) for b in bounds), F.lit(0))
+
+
+def hash_slot(k: int, *cols: str) -> Column:
+    """The partition that repartition(k, cols) sends a row to."""
+    return F.pmod(F.hash(*cols), F.lit(k))
 
 
 def by_cuts(tree: PartitionTree, x: Column, y: Column) -> Column:
@@ -135,6 +157,23 @@ def rtree_search(levels: list[np.ndarray], x0: int, y0: int, x1: int, y1: int) -
     return []
 
 
+def rtree_locate(levels: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """The leaf of every position, -1 outside all: a whole batch goes down the tree level by level."""
+    out = np.full(len(x), -1, np.int64)
+    who, at = np.arange(len(x)).repeat(len(levels[-1])), np.tile(np.arange(len(levels[-1])), len(x))
+    for depth in range(len(levels) - 1, -1, -1):
+        n = levels[depth][at]
+        ok = (n[:, 0] <= x[who]) & (n[:, 2] > x[who]) & (n[:, 1] <= y[who]) & (n[:, 3] > y[who])
+        who, n = who[ok], n[ok]
+        if depth == 0:
+            out[who] = n[:, 4]
+        else:
+            many = n[:, 5]
+            who = who.repeat(many)
+            at = np.repeat(n[:, 4] - np.cumsum(many) + many, many) + np.arange(many.sum())
+    return out
+
+
 def lookup(df: DataFrame, tree: PartitionTree, method: str = "cut_tree", x: str = "x", y: str = "y") -> DataFrame:
     """The rows with their leaf. cut_tree: nested comparisons; rtree: a packed tree that each task loads once; linear: every leaf is tried."""
     if method == "cut_tree":
@@ -150,9 +189,9 @@ def lookup(df: DataFrame, tree: PartitionTree, method: str = "cut_tree", x: str
         def run(batches):
             levels = shared.value
             for b in batches:
-                xs, ys = (b.column(b.schema.get_field_index(c)).to_pylist() for c in (x, y))
-                found = [rtree_search(levels, i, j, i, j) for i, j in zip(xs, ys)]
-                yield pa.record_batch([*b.columns, pa.array([f[0] if f else None for f in found], pa.int32())], [*b.schema.names, "leaf"])
+                xs, ys = (b.column(b.schema.get_field_index(c)).fill_null(-1).to_numpy().astype(np.int64) for c in (x, y))
+                found = rtree_locate(levels, xs, ys)
+                yield pa.record_batch([*b.columns, pa.array(found, pa.int32(), mask=found < 0)], [*b.schema.names, "leaf"])
 
         return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("leaf", T.IntegerType())]))
     raise ValueError(f"unknown lookup {method}")

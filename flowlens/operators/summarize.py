@@ -97,14 +97,25 @@ def _leaves(nodes: DataFrame, cfg: PyramidConfig, tree) -> DataFrame:
         out = []
         for level in np.unique(lv):
             at = np.flatnonzero(lv == level)
-            cells = {(int(a), int(b)): int(c) for a, b, c in zip(cx[at], cy[at], n[at])}
+            key = cx[at] << 20 | cy[at]
+            at = at[np.argsort(key)]
+            key, count = np.sort(key), n[at]
+            mine = np.flatnonzero(own[at] == leaf[at])
             r = radii[int(level) - 1]
-            disc = [(a, b) for a in range(-r, r + 1) for b in range(-r, r + 1) if metric == "grid_box" or a * a + b * b < r * r]
-            for i in at[own[at] == leaf[at]]:
-                near = [c for c in (cells.get((int(cx[i]) + a, int(cy[i]) + b)) for a, b in disc) if c is not None]
-                out.append((int(level), int(cx[i]), int(cy[i]), int(n[i]), sum(c <= n[i] for c in near), sum(c < n[i] for c in near), len(near)))
-        cols = list(zip(*out)) or [()] * 7
-        return pa.table({name: pa.array(c, pa.int64()) for name, c in zip((*KEY, "n", "le", "lt", "neighbours"), cols)})
+            le, lt, all_ = (np.zeros(len(mine), np.int64) for _ in range(3))
+            for a in range(-r, r + 1):
+                for b in range(-r, r + 1):
+                    if metric == "grid_box" or a * a + b * b < r * r:
+                        x, y = cx[at][mine] + a, cy[at][mine] + b
+                        asked = np.where((x < 0) | (y < 0), -1, x << 20 | y)
+                        place = np.minimum(np.searchsorted(key, asked), len(key) - 1)
+                        there = key[place] == asked
+                        all_ += there
+                        le += there & (count[place] <= count[mine])
+                        lt += there & (count[place] < count[mine])
+            out.append(np.stack([lv[at][mine], cx[at][mine], cy[at][mine], count[mine], le, lt, all_], 1))
+        cols = np.concatenate(out) if out else np.zeros((0, 7), np.int64)
+        return pa.table({name: pa.array(cols[:, i], pa.int64()) for i, name in enumerate((*KEY, "n", "le", "lt", "neighbours"))})
 
     if metric == "great_circle":
         raise ValueError("the leaf strategy counts by cells; use tiles or offsets for great-circle neighbourhoods")
@@ -122,6 +133,38 @@ def node_scores(nodes: DataFrame, cfg: PyramidConfig = PyramidConfig(), strategy
     return counted.select(*KEY, "n", "neighbours", *[c.alias(f"rank_{k}") for k, c in r.items()])
 
 
+def rescored(nodes: DataFrame, changed: DataFrame, kept: DataFrame, cfg: PyramidConfig = PyramidConfig()) -> DataFrame:
+    """significant_nodes() after the counts of some cells (level, cx, cy) have changed, from the nodes kept before.
+
+    Only nodes whose neighbourhood holds a changed cell are ranked again, and only cells within reach of those are read for it.
+    """
+    spark, (ry, rx) = nodes.sparkSession, _reach(cfg)
+    reach = lambda k: F.broadcast(spark.createDataFrame([(dx, dy) for dx in range(-k * rx, k * rx + 1) for dy in range(-k * ry, k * ry + 1)], "dx long, dy long"))
+    around = lambda k: changed.select(*KEY).distinct().crossJoin(reach(k)).select("level", (F.col("cx") + F.col("dx")).alias("cx"), (F.col("cy") + F.col("dy")).alias("cy")).distinct()
+    again = around(1)
+    near = nodes.join(around(2), KEY, "left_semi")
+    fresh = significant_nodes(near, cfg).join(again, KEY, "left_semi")
+    return kept.join(again, KEY, "left_anti").select(*KEY, "n").unionByName(fresh)
+
+
+def positions(nodes: DataFrame, descending: bool = False) -> DataFrame:
+    """level, cx, cy, n with: c (nodes of the level with this count), before and mass (nodes, and their counts' sum, that come earlier by
+    count), value (place of the count among distinct ones), place (in order of count, cx, cy), and the level's nodes and total.
+
+    Orders come from histograms by count, and by count and column, which the grid bounds, so no level is sorted in one task.
+    """
+    by_n = Window.partitionBy("level").orderBy(F.desc("n") if descending else F.asc("n"))
+    earlier, whole = by_n.rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy("level")
+    hist = nodes.groupBy("level", "n").agg(F.count("*").alias("c"))
+    sum_ = lambda e, w: F.coalesce(F.sum(e).over(w), F.lit(0).cast("long"))
+    hist = hist.select("level", "n", "c", sum_("c", earlier).alias("before"), sum_(F.col("c") * F.col("n"), earlier).alias("mass"), F.row_number().over(by_n).cast("long").alias("value"), F.sum("c").over(whole).alias("nodes"), F.sum(F.col("c") * F.col("n")).over(whole).alias("total"))
+    ties = nodes.groupBy("level", "n", "cx").agg(F.count("*").alias("_c"))
+    ties = ties.select("level", "n", "cx", sum_("_c", Window.partitionBy("level", "n").orderBy("cx").rowsBetween(Window.unboundedPreceding, -1)).alias("_left"))
+    row = F.row_number().over(Window.partitionBy("level", "n", "cx").orderBy("cy"))
+    out = nodes.select(*KEY, "n", row.alias("_row")).join(ties, ["level", "n", "cx"]).join(hist, ["level", "n"])
+    return out.withColumn("place", F.col("before") + F.col("_left") + F.col("_row")).drop("_left", "_row")
+
+
 def significant_nodes(nodes: DataFrame, cfg: PyramidConfig = PyramidConfig(), strategy: str | None = None, tree=None) -> DataFrame:
     """level, cx, cy, n of the nodes whose rank is above the threshold."""
     return node_scores(nodes, cfg, strategy, tree).where(F.col(f"rank_{cfg.rank}") > cfg.threshold).select(*KEY, "n")

@@ -77,3 +77,73 @@ def with_(names: str, select: str, mv_from: str = "mv0") -> str:
         add(n)
     # blocks that several others read are computed once
     return "WITH " + ",\n".join(f"{n} AS MATERIALIZED ({blocks[n][1]})" for n in need) + "\n" + select
+
+
+def bisection(points: str, k: int, axis: str = "best", out: str = "leaves") -> str:
+    """Sub-queries that end in out(leaf, x0, y0, x1, y1, path): a region cut into k rectangles of like weight, depth by depth.
+
+    points: a SELECT of x, y, w. Every depth lists the cuts between distinct values of each box and axis, takes the one that comes
+    nearest to its share of the weight (the first of equals), then the axis with the smaller miss (x of equals); alternate asks
+    the depth's own axis first.
+    """
+    parts, depth, widest = [f"{out}_0 AS MATERIALIZED (SELECT x, y, w, '' AS path, CAST({k} AS BIGINT) AS want, 0::BIGINT AS x0, 0::BIGINT AS y0, 399360000::BIGINT AS x1, 276480000::BIGINT AS y1 FROM ({points}))"], 0, k
+    while widest > 1:
+        p, c = f"{out}_{depth}", f"{out}_cut_{depth}"
+        first = "a" if axis == "best" else f"CASE WHEN a = {depth % 2} THEN 0 ELSE 1 END"
+        order = f"miss / total, {first}" if axis == "best" else f"{first}, miss / total"
+        parts.append(f"""{c} AS MATERIALIZED (SELECT path, a, pos FROM (SELECT *, row_number() OVER (PARTITION BY path ORDER BY {order}) AS best FROM (
+            SELECT *, row_number() OVER (PARTITION BY path, a ORDER BY miss, v) AS nearest FROM (
+              SELECT path, a, v, lead(v) OVER o AS pos, abs(sum(c) OVER o - (CAST(want // 2 AS DOUBLE) / want) * sum(c) OVER (PARTITION BY path, a)) AS miss, sum(c) OVER (PARTITION BY path, a) AS total FROM (
+                SELECT path, want, 0 AS a, x AS v, CAST(sum(w) AS DOUBLE) AS c FROM {p} WHERE want > 1 GROUP BY ALL UNION ALL SELECT path, want, 1, y, CAST(sum(w) AS DOUBLE) FROM {p} WHERE want > 1 GROUP BY ALL)
+              WINDOW o AS (PARTITION BY path, a ORDER BY v)) WHERE pos IS NOT NULL) WHERE nearest = 1) WHERE best = 1)""")
+        low = "CASE WHEN a = 0 THEN x < pos ELSE y < pos END"
+        parts.append(f"""{out}_{depth + 1} AS MATERIALIZED (SELECT x, y, w, CASE WHEN pos IS NULL THEN path WHEN low THEN path || '0' ELSE path || '1' END AS path, CASE WHEN pos IS NULL THEN want WHEN low THEN want // 2 ELSE want - want // 2 END AS want,
+            CASE WHEN a = 0 AND NOT low THEN pos ELSE x0 END AS x0, CASE WHEN a = 1 AND NOT low THEN pos ELSE y0 END AS y0, CASE WHEN a = 0 AND low THEN pos ELSE x1 END AS x1, CASE WHEN a = 1 AND low THEN pos ELSE y1 END AS y1
+            FROM (SELECT p.*, a, pos, {low} AS low FROM {p} p LEFT JOIN {c} c ON p.path = c.path))""")
+        depth, widest = depth + 1, widest - widest // 2
+    parts.append(f"{out} AS MATERIALIZED (SELECT CAST(row_number() OVER (ORDER BY path) - 1 AS INTEGER) AS leaf, x0, y0, x1, y1 FROM (SELECT DISTINCT path, x0, y0, x1, y1 FROM {out}_{depth}))")
+    return ",\n".join(parts)
+
+
+#: Constants of the 32-bit mixing hash by which Spark deals rows to partitions.
+_MASK, _C1, _C2, _MUL, _ADD, _F1, _F2 = 0xFFFFFFFF, 0xCC9E2D51, 0x1B873593, 5, 0xE6546B64, 0x85EBCA6B, 0xC2B2AE35
+
+
+def hash_partition(level: str, cx: str, cy: str, k: int) -> tuple[list[str], str]:
+    """Sub-selects, each over the one before, and the last column: pmod(hash(level, cx, cy), k) for an int and two longs."""
+    rot = lambda v, n: f"((({v} << {n}) | ({v} >> {32 - n})) & {_MASK})"
+    mul = lambda v, c: f"(CAST(({v})::HUGEINT * {c} % 4294967296 AS BIGINT))"
+    steps: list[str] = ["42::BIGINT AS h"]
+
+    def word(v: str) -> None:
+        steps.append(f"{mul(f'(({v}) & {_MASK})', _C1)} AS q")
+        steps.append(f"{mul(rot('q', 15), _C2)} AS q")
+        steps.append("xor(h, q) AS h")
+        steps.append(f"({rot('h', 13)} * {_MUL} + {_ADD}) & {_MASK} AS h")
+
+    def final(length: int) -> None:
+        steps.append(f"xor(h, {length}) AS h")
+        for shift, c in ((16, _F1), (13, _F2)):
+            steps.append(f"xor(h, h >> {shift}) AS h")
+            steps.append(f"{mul('h', c)} AS h")
+        steps.append("xor(h, h >> 16) AS h")
+
+    word(f"CAST({level} AS BIGINT)")
+    final(4)
+    for v in (cx, cy):
+        word(f"CAST({v} AS BIGINT)")
+        word(f"CAST({v} AS BIGINT) >> 32")
+        final(8)
+    signed = "CASE WHEN h >= 2147483648 THEN h - 4294967296 ELSE h END"
+    return steps, f"(({signed}) % {k} + {k}) % {k}"
+
+
+def hash_placed(source: str, k: int) -> str:
+    """SELECT of the rows of source (level, cx, cy, ...) with slot, their hash partition of k."""
+    steps, slot = hash_partition("level", "cx", "cy", k)
+    out = source
+    for i, step in enumerate(steps):
+        name = step.rsplit(" AS ", 1)[1]
+        keep = "* EXCLUDE (h)" if name == "h" and i else "* EXCLUDE (q)" if name == "q" and i > 1 else "*"
+        out = f"(SELECT {keep}, {step} FROM {out})"
+    return f"(SELECT *, {slot} AS slot FROM {out})"

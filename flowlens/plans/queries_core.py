@@ -11,6 +11,7 @@ from ..config import PyramidConfig
 from ..functions import grid
 from ..operators import aggregate, bloom, measures, partitioning, summarize, trajectory
 from ..sources import carriers
+from ..sources.shared import materialize
 from .oracle_sql import with_
 from .pipeline import build
 
@@ -42,7 +43,8 @@ def edges(spark: SparkSession, d: str, **how) -> DataFrame:
 
 
 def held_nodes(spark: SparkSession, d: str) -> DataFrame:
-    return nodes(spark, d).persist()
+    """The nodes as a stored table, for queries that read them several times."""
+    return materialize(nodes(spark, d))
 
 
 def kept(spark: SparkSession, d: str) -> DataFrame:
@@ -206,11 +208,15 @@ for _key, _how in (("significant_nodes", "tiles"), ("significant_nodes_tiles", "
     query(with_("kept", KEPT), _key)(lambda spark, d, how=_how: summarize.significant_nodes(held_nodes(spark, d), CFG, how))
 
 
-def work_tree(spark, d, k: int = 16, axis: str = "best") -> partitioning.PartitionTree:
-    """Leaves from a sample of the work: cell centres of the nodes of every level, weighed by nothing, a fifth of the movements."""
-    some = partitioning.sample(movements(spark, d), 0.2)
-    part = aggregate.pyramid_nodes(some, CFG)
-    return partitioning.learn(part.select(grid.centre(F.col("cx"), F.col("level")).alias("x"), grid.centre(F.col("cy"), F.col("level")).alias("y")), k, axis=axis)
+def work_sample(spark, d) -> DataFrame:
+    """x, y, n: cell centres of the nodes of every level that a fifth of the movements give, and what they count."""
+    part = aggregate.pyramid_nodes(partitioning.sample(movements(spark, d), 0.2), CFG)
+    return part.select(grid.centre(F.col("cx"), F.col("level")).alias("x"), grid.centre(F.col("cy"), F.col("level")).alias("y"), "n")
+
+
+def work_tree(spark, d, k: int = 16, axis: str = "best", weight: str | None = None) -> partitioning.PartitionTree:
+    """Leaves from a sample of the work, each cell of the sample one unit of it, or weighed by its count."""
+    return partitioning.learn(work_sample(spark, d), k, axis=axis, weight=weight)
 
 
 @query(with_("kept", KEPT))
@@ -294,21 +300,28 @@ KEDGES = "SELECT level, sx, sy, tx, ty, n FROM kedges"
 
 @query(with_("kedges", KEDGES))
 def final_graph(spark, d):
+    """Edges between kept nodes: the filters' output, checked by semi-joins."""
     return build(movements(spark, d)).kept_edges
 
 
+@query(with_("bedges", "SELECT level, sx, sy, tx, ty, n FROM bedges"))
+def final_graph_bloom(spark, d):
+    """The three steps with the filters' output as it is."""
+    return build(movements(spark, d), replace(CFG, edge_filter="bloom")).kept_edges
+
+
 for _key, _how in (("edges_join", None), ("edges_join_broadcast", "broadcast"), ("join_sortmerge", "merge"), ("join_shuffled_hash", "shuffle_hash")):
     query(with_("kedges", KEDGES), _key)(lambda spark, d, how=_how: bloom.join_filter_edges(edges(spark, d), kept(spark, d), how))
 
 
 @query(with_("bedges", "SELECT level, sx, sy, tx, ty, n FROM bedges"))
 def edges_bloom(spark, d):
-    return bloom.bloom_filter_edges(edges(spark, d), kept(spark, d).persist())
+    return bloom.bloom_filter_edges(edges(spark, d), materialize(kept(spark, d)))
 
 
 @query(with_("bits", "SELECT level, pos FROM bits"))
 def bloom_bits(spark, d):
-    k = kept(spark, d).persist()
+    k = materialize(kept(spark, d))
     return bloom.set_bits(k, bloom.sizes(k))
 
 
@@ -322,7 +335,7 @@ def bloom_sizing(spark, d):
 def bloom_probe(spark, d):
     """Nodes that pass the filter, by counting matched bits in plain SQL operators."""
     ns = held_nodes(spark, d)
-    k = summarize.significant_nodes(ns, CFG).persist()
+    k = materialize(summarize.significant_nodes(ns, CFG))
     dims = bloom.sizes(k)
     table_ = F.broadcast(spark.createDataFrame([(lv, m, h) for lv, (_, m, h) in dims.items()], "level int, m long, k int"))
     each = ns.join(table_, "level").withColumn("i", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
@@ -334,8 +347,8 @@ def bloom_probe(spark, d):
 @query(with_("kedges bedges lv", """SELECT level, (SELECT count(*) FROM kedges k WHERE k.level = lv.level) AS exact_edges, (SELECT count(*) FROM bedges b WHERE b.level = lv.level) AS bloom_edges,
     (SELECT count(*) FROM bedges b WHERE b.level = lv.level) - (SELECT count(*) FROM kedges k WHERE k.level = lv.level) AS false_pos, CAST(0 AS BIGINT) AS false_neg FROM lv"""))
 def bloom_error(spark, d):
-    e, k = edges(spark, d).persist(), kept(spark, d).persist()
-    exact, passed = bloom.join_filter_edges(e, k).persist(), bloom.bloom_filter_edges(e, k).persist()
+    e, k = materialize(edges(spark, d)), materialize(kept(spark, d))
+    exact, passed = materialize(bloom.join_filter_edges(e, k)), materialize(bloom.bloom_filter_edges(e, k))
     tag = lambda df, **flags: df.select("level", *[F.lit(flags.get(c, 0)).cast("long").alias(c) for c in ("exact_edges", "bloom_edges", "false_pos", "false_neg")])
     parts = tag(exact, exact_edges=1).unionByName(tag(passed, bloom_edges=1)).unionByName(tag(passed.exceptAll(exact), false_pos=1)).unionByName(tag(exact.exceptAll(passed), false_neg=1))
     levels = spark.range(1, 11).select(F.col("id").cast("int").alias("level"))

@@ -9,13 +9,15 @@ from pyspark.sql import functions as F
 
 from ..config import PyramidConfig
 from ..functions import geo, grid
-from ..operators import aggregate, bundling, cube, partitioning, query, trajectory
+from ..operators import aggregate, bundling, cube, partitioning, query, serve, summarize, trajectory
+from ..operators.summarize import positions
 from ..sources import carriers
+from ..sources.shared import fresh_path, materialize
 from ..sources.tables import table
 from . import metrics
-from .oracle_sql import with_
+from .oracle_sql import bisection, hash_placed, with_
 from .pipeline import build
-from .queries_core import edges, held_nodes, kept, movements, nodes, r6, work_tree
+from .queries_core import edges, held_nodes, kept, movements, nodes, work_tree
 
 QUERIES, ORACLES = {}, {}
 CFG = PyramidConfig()
@@ -73,16 +75,19 @@ def neighbor_partitions(spark, d):
     return partitioning.leaves_within(n, fixed_tree(), "off").select("level", "cx", "cy", "leaf")
 
 
-def _tree_facts(spark, d, k: int, axis: str) -> DataFrame:
-    """Leaves, area they cover and overlaps: must be k, the region, none; and whether the load is balanced within the given bound."""
-    tree = work_tree(spark, d, k, axis)
-    area = sum((v.x1 - v.x0) * (v.y1 - v.y0) for v in tree.leaves)
-    overlap = sum(a.x0 < b.x1 and b.x0 < a.x1 and a.y0 < b.y1 and b.y0 < a.y1 for i, a in enumerate(tree.leaves) for b in tree.leaves[:i])
-    return spark.createDataFrame([(len(tree.leaves), area, overlap)], "leaves long, area long, overlaps long")
+#: The sample of work_tree() in SQL: x, y and w of cells that a fifth of the movements touch.
+SAMPLED = """SELECT cx * (30000 << (level - 1)) + (30000 << (level - 1)) // 2 AS x, cy * (30000 << (level - 1)) + (30000 << (level - 1)) // 2 AS y, {w} AS w
+    FROM wide WHERE (movement_id * 48271 + 42) % 2147483647 % 10000 < 2000 GROUP BY level, cx, cy"""
+#: What eight map tasks would send for the nodes, with the positions that look-ups take.
+PARTIAL = "SELECT DISTINCT movement_id % 8 AS task, level, cx, cy, cx * (30000 << (level - 1)) + (30000 << (level - 1)) // 2 AS x, cy * (30000 << (level - 1)) + (30000 << (level - 1)) // 2 AS y FROM wide"
 
 
-for _key, _k, _axis in (("bisection_leaves", 16, "best"), ("bisection_leaves_k6", 6, "best"), ("bisection_alternating", 16, "alternate")):
-    query_(f"SELECT CAST({_k} AS BIGINT) AS leaves, CAST(399360000 AS BIGINT) * 276480000 AS area, CAST(0 AS BIGINT) AS overlaps", _key)(lambda spark, d, k=_k, axis=_axis: _tree_facts(spark, d, k, axis))
+def bisected(k: int, axis: str = "best", w: str = "1", out: str = "leaves") -> str:
+    return bisection(SAMPLED.format(w=w), k, axis, out)
+
+
+for _key, _k, _axis, _w in (("bisection_leaves", 16, "best", None), ("bisection_leaves_k6", 6, "best", None), ("bisection_alternating", 16, "alternate", None), ("bisection_weighted", 16, "best", "n")):
+    query_(with_("wide", ", " + bisected(_k, _axis, "count(*)" if _w else "1") + " SELECT * FROM leaves"), _key)(lambda spark, d, k=_k, axis=_axis, w=_w: work_tree(spark, d, k, axis, w).frame(spark))
 
 
 def partial_records(spark, d) -> DataFrame:
@@ -92,32 +97,99 @@ def partial_records(spark, d) -> DataFrame:
     return cells.withColumns({"x": grid.centre(F.col("cx"), F.col("level")), "y": grid.centre(F.col("cy"), F.col("level"))})
 
 
-PARTIAL = "SELECT DISTINCT movement_id % 8 AS task, level, cx, cy FROM wide"
-LOADS = "CAST(sum(c) AS BIGINT) AS records, avg(c) AS avg_load, stddev_pop(c) AS std_load, min(c) AS min_load, max(c) AS max_load"
-for _k in (8, 16, 32, 64):
+LOADS = """CAST(sum(c) AS BIGINT) AS records, round(avg(c), 6) AS avg_load, round(stddev_pop(c), 6) AS std_load, min(c) AS min_load, max(c) AS max_load,
+    round(max(c) / avg(c), 6) AS max_over_avg, round(stddev_pop(c) / avg(c), 6) AS std_over_avg"""
+LOAD_COLUMNS = ("avg_load", "std_load", "max_over_avg", "std_over_avg")
+REDUCERS = (8, 16, 32, 64)
+STRIPE = "cx * (30000 << (level - 1)) + (30000 << (level - 1)) // 2"
+#: Keys of a range placement: level, then the Morton key of the cell.
+MORTON = "(CAST(level AS BIGINT) << 28) | " + " | ".join(f"(((cx >> {i}) & 1) << {2 * i}) | (((cy >> {i}) & 1) << {2 * i + 1})" for i in range(14))
+
+
+def load_sql(method: str, k: int) -> str:
+    """Load of K partitions by a placement method, as one row."""
+    if method == "stripes":
+        each = f"SELECT x // {-(-399_360_000 // k)} AS p, count(*) AS c FROM partial GROUP BY 1"
+    elif method == "hash":
+        each = f"SELECT slot AS p, count(*) AS c FROM {hash_placed('(SELECT level, cx, cy FROM partial)', k)} GROUP BY 1"
+    elif method == "range":
+        bounds = f"SELECT list(key ORDER BY key) AS l FROM (SELECT DISTINCT {MORTON} AS key FROM wide WHERE (movement_id * 48271 + 42) % 2147483647 % 10000 < 2000)"
+        reached = " + ".join(f"CASE WHEN {MORTON} >= l[{i} * len(l) // {k} + 1] THEN 1 ELSE 0 END" for i in range(1, k))
+        each = f"SELECT {reached} AS p, count(*) AS c FROM partial, ({bounds}) GROUP BY 1"
+    else:
+        each = f"SELECT leaf AS p, count(*) AS c FROM partial r JOIN {method}_{k} l ON r.x >= l.x0 AND r.x < l.x1 AND r.y >= l.y0 AND r.y < l.y1 GROUP BY 1"
+    return f"SELECT '{method}' AS method, {k} AS reducers, {LOADS} FROM ({each})"
+
+
+TREES = {"best": ("best", None), "alternate": ("alternate", None), "weighted": ("best", "n")}
+
+
+def loads_sql(cases: list[tuple[str, int]]) -> str:
+    need = "".join(", " + bisected(k, TREES[m][0], "count(*)" if TREES[m][1] else "1", f"{m}_{k}") for m, k in cases if m in TREES)
+    return with_("wide", f", partial AS MATERIALIZED ({PARTIAL}){need} " + " UNION ALL ".join(load_sql(m, k) for m, k in cases))
+
+
+def placed(spark, d, records: DataFrame, method: str, k: int) -> DataFrame:
+    """The records with p, their partition of k."""
+    if method == "stripes":
+        return records.withColumn("p", F.floor(F.col("x") / -(-CFG.grid.region.width // k)))
+    if method == "hash":
+        return records.withColumn("p", partitioning.hash_slot(k, "level", "cx", "cy"))
+    if method == "range":
+        some = aggregate.pyramid_nodes(partitioning.sample(movements(spark, d), 0.2), CFG)
+        key = F.shiftleft(F.col("level").cast("long"), 28).bitwiseOR(grid.morton(F.col("cx"), F.col("cy")))
+        return records.withColumn("p", partitioning.by_bounds(key, partitioning.range_bounds(some.select(key.alias("key")), k)))
+    axis, weight = TREES[method]
+    return partitioning.lookup(records, work_tree(spark, d, k, axis, weight)).withColumn("p", F.col("leaf"))
+
+
+def load_row(spark, d, records: DataFrame, method: str, k: int) -> DataFrame:
+    got = metrics.load(placed(spark, d, records, method, k), "p").withColumns({c: F.round(c, 6) for c in LOAD_COLUMNS})
+    return got.select(F.lit(method).alias("method"), F.lit(k).alias("reducers"), "*")
+
+
+def _load(method: str, k: int):
+    return lambda spark, d: load_row(spark, d, partial_records(spark, d), method, k).drop("method", "reducers")
+
 
-    def _load(spark, d, k=_k):
-        return metrics.load(partitioning.lookup(partial_records(spark, d), work_tree(spark, d, k)))
+for _k in REDUCERS:
+    for _method, _name in (("best", f"load_stats_{_k}"), ("stripes", f"load_stats_stripes_{_k}")):
+        query_(f"SELECT * EXCLUDE (method, reducers) FROM ({loads_sql([(_method, _k)])})", _name)(_load(_method, _k))
 
-    def _fixed(spark, d, k=_k):
-        """Load of k equal stripes, which SQL can repeat."""
-        width = -(-CFG.grid.region.width // k)
-        out = metrics.load(partial_records(spark, d).withColumn("leaf", F.floor(F.col("x") / width)))
-        return out.select("records", r6("avg_load"), r6("std_load"), "min_load", "max_load")
+METHODS = ("best", "weighted", "alternate", "stripes", "hash", "range")
 
-    query_(None, f"load_stats_{_k}")(_load)
-    query_(with_("wide", f"SELECT CAST(sum(c) AS BIGINT) AS records, round(avg(c), 6) AS avg_load, round(stddev_pop(c), 6) AS std_load, min(c) AS min_load, max(c) AS max_load FROM (SELECT (cx * (30000 << (level - 1)) + (30000 << (level - 1)) // 2) // {-(-399_360_000 // _k)} AS leaf, count(*) AS c FROM ({PARTIAL}) GROUP BY 1)"), f"load_stats_stripes_{_k}")(_fixed)
 
+@query_(loads_sql([(m, k) for m in METHODS for k in REDUCERS]))
+def load_stats_methods(spark, d):
+    """Reducer load of every placement method and partition count: records, mean, deviation, least, most, and both over the mean."""
+    records = materialize(partial_records(spark, d))
+    return reduce(DataFrame.unionByName, [load_row(spark, d, records, m, k) for m in METHODS for k in REDUCERS])
 
-@query_(with_("wide", f"SELECT CAST(count(*) AS BIGINT) AS records FROM ({PARTIAL})"))
+
+def per_partition(df: DataFrame) -> DataFrame:
+    """Rows of every Spark partition that has any."""
+    return df.groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("c"))
+
+
+@query_(with_("wide", f", partial AS MATERIALIZED ({PARTIAL}), {bisected(16)} SELECT leaf AS p, count(*) AS c FROM partial r JOIN leaves l ON r.x >= l.x0 AND r.x < l.x1 AND r.y >= l.y0 AND r.y < l.y1 GROUP BY 1"))
 def placement_load(spark, d):
-    placed = partitioning.place(partitioning.lookup(partial_records(spark, d), work_tree(spark, d)), 16)
-    return placed.groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("c")).agg(F.sum("c").alias("records"))
+    """Rows of the Spark partitions after placing every leaf in its own."""
+    return per_partition(partitioning.place(partitioning.lookup(partial_records(spark, d), work_tree(spark, d)), 16))
+
 
+@query_(with_("wide", f"SELECT CAST(slot AS INTEGER) AS p, count(*) AS c FROM {hash_placed(f'(SELECT level, cx, cy FROM ({PARTIAL}))', 16)} GROUP BY 1"))
+def placement_load_hash(spark, d):
+    """Rows of the Spark partitions by default hash placement."""
+    return per_partition(partitioning.place(partial_records(spark, d), 16, "hash"))
 
-for _by in ("hash", "range"):
-    query_(with_("wide", f"SELECT CAST(count(*) AS BIGINT) AS records FROM ({PARTIAL})"), f"placement_load_{_by}")(
-        lambda spark, d, by=_by: partitioning.place(partial_records(spark, d), 16, by).groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("c")).agg(F.sum("c").alias("records")))
+
+@query_(with_("wide", f"SELECT CAST(count(*) AS BIGINT) AS records, 16 AS partitions, TRUE AS ordered FROM ({PARTIAL})"))
+def placement_load_range(spark, d):
+    """Spark's own range placement, whose bounds come from its sampling: all records, in so many partitions, none overlapping another."""
+    key = F.shiftleft(F.col("level").cast("long"), 28).bitwiseOR(grid.morton(F.col("cx"), F.col("cy")))
+    spans = partitioning.place(partial_records(spark, d), 16, "range").groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("c"), F.min(key).alias("lo"), F.max(key).alias("hi"))
+    after = spans.withColumn("next", F.lead("lo").over(Window.partitionBy(F.lit(0)).orderBy("p")))
+    return after.agg(F.sum("c").alias("records"), F.count("*").cast("int").alias("partitions"), F.bool_and(F.coalesce(F.col("hi") < F.col("next"), F.lit(True))).alias("ordered"))
 
 
 @query_(with_("wide", f"SELECT CAST(count(*) AS BIGINT) AS increments, (SELECT count(*) FROM ({PARTIAL})) AS partial_records FROM wide"))
@@ -310,10 +382,7 @@ def viewport_period(spark, d):
 
 @query_(with_("wide", "SELECT strftime(t0, '%Y-%m-%d') AS bin, CAST(level AS INTEGER) AS level, count(DISTINCT (cx, cy)) AS cells, count(*) AS n FROM wide GROUP BY ALL"))
 def cube_roundtrip(spark, d):
-    import uuid
-
-    base = (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "/tmp/flowlens").rstrip("/")
-    path = f"{base}/cube-{uuid.uuid4().hex}"
+    path = fresh_path(spark, "cubes")
     mv = movements(spark, d)
     day = lambda df: df.withColumn("bin", F.date_format("bin", "yyyy-MM-dd"))
     cube.write(day(aggregate.pyramid_nodes(mv, time_bin="day")), day(aggregate.pyramid_edges(mv, time_bin="day")), path)
@@ -352,56 +421,55 @@ def raster_pixels(spark, d):
 # --- bundling
 
 
-def bundle_edges(spark, d) -> DataFrame:
-    """The hundred heaviest kept edges of level 6 and 7, as one view each."""
-    g = build(movements(spark, d))
-    w = Window.partitionBy("level").orderBy(F.desc("n"), "sx", "sy", "tx", "ty")
-    e = g.kept_edges.where("level in (6, 7) and (sx <> tx or sy <> ty)").withColumn("id", F.row_number().over(w).cast("long")).where("id <= 100")
-    return e.select("id", "level", F.lit(0).alias("tile"), *[F.col(a).cast("double").alias(b) for a, b in (("sx", "x1"), ("sy", "y1"), ("tx", "x2"), ("ty", "y2"))])
-
-
-@query_(with_("kedges", "SELECT CAST(level AS INTEGER) AS level, least(count(*), 100) AS edges, TRUE AS no_more_ink FROM kedges WHERE level IN (6, 7) AND (sx <> tx OR sy <> ty) GROUP BY level"))
-def bundles(spark, d):
-    b = bundling.bundle(bundle_edges(spark, d))
-    ink = b.groupBy("level", "bundle").agg(F.count("*").alias("edges"), F.max("bundle_ink").alias("ink"), F.sum("straight_ink").alias("straight"))
-    return ink.groupBy("level").agg(F.sum("edges").alias("edges"), (F.sum("ink") <= F.sum("straight") + 1e-6).alias("no_more_ink"))
+#: Side in cells of the tiles that are drawn apart, by an edge's source cell: about one viewport.
+DRAWN_TILE = 32
 
 
-P4 = "SELECT vec_id AS id, [embedding[1], embedding[2], embedding[3], embedding[4]] AS p FROM embeddings"
-KNN = f"WITH e AS ({P4}), k AS (SELECT a.id, b.id AS other, " + " + ".join(f"(CAST(a.p[{i}] AS DOUBLE) - CAST(b.p[{i}] AS DOUBLE)) * (CAST(a.p[{i}] AS DOUBLE) - CAST(b.p[{i}] AS DOUBLE))" for i in (1, 2, 3, 4)) + " AS d2 FROM e a, e b WHERE a.id <> b.id) SELECT id, CAST(r AS INTEGER) AS rank, other FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2, other) AS r FROM k) WHERE r <= 5"
+def kept_lines(spark, d) -> DataFrame:
+    """All kept edges of every level. The id packs level and cells (14 bits each), so no order over all edges is needed."""
+    e = build(movements(spark, d)).kept_edges
+    key = reduce(lambda a, c: a * 16_384 + F.col(c), ("sx", "sy", "tx", "ty"), F.col("level").cast("long"))
+    tile = F.floor(F.col("sx") / DRAWN_TILE) * 16_384 + F.floor(F.col("sy") / DRAWN_TILE)
+    return e.select(key.alias("id"), "level", tile.alias("tile"), *[F.col(a).cast("double").alias(b) for a, b in (("sx", "x1"), ("sy", "y1"), ("tx", "x2"), ("ty", "y2"))])
 
 
-def points4(spark, d) -> DataFrame:
-    return table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.slice("embedding", 1, 4).alias("p"))
+def drawn(b: DataFrame, *by: str) -> DataFrame:
+    """Edges and straight ink of every drawing, and whether its bundles need no more ink than that."""
+    ink = b.groupBy(*by, "bundle").agg(F.count("*").alias("edges"), F.max("bundle_ink").alias("ink"), F.sum("straight_ink").alias("straight"))
+    return ink.groupBy(*by).agg(F.sum("edges").alias("edges"), F.round(F.sum("straight"), 6).alias("straight"), (F.sum("ink") <= F.sum("straight") + 1e-6).alias("no_more_ink"))
 
 
-query_(KNN, "edge_knn")(lambda spark, d: bundling.proximity_graph(points4(spark, d), 5).select("id", "rank", "other"))
-query_(KNN, "edge_knn_naive")(lambda spark, d: bundling.proximity_graph(points4(spark, d), 5, "all_pairs").select("id", "rank", "other"))
+STRAIGHT = "count(*) AS edges, round(sum(sqrt(CAST((tx - sx) * (tx - sx) + (ty - sy) * (ty - sy) AS DOUBLE))), 6) AS straight, TRUE AS no_more_ink"
 
 
-def kept_lines(spark, d) -> DataFrame:
-    """All kept edges of every level. The id packs level and cells (14 bits each), so no order over all edges is needed."""
-    e = build(movements(spark, d)).kept_edges
-    key = reduce(lambda a, c: a * 16_384 + F.col(c), ("sx", "sy", "tx", "ty"), F.col("level").cast("long"))
-    return e.select(key.alias("id"), "level", *[F.col(a).cast("double").alias(b) for a, b in (("sx", "x1"), ("sy", "y1"), ("tx", "x2"), ("ty", "y2"))])
+@query_(with_("kedges", f"SELECT CAST(level AS INTEGER) AS level, CAST((sx // {DRAWN_TILE}) * 16384 + sy // {DRAWN_TILE} AS BIGINT) AS tile, {STRAIGHT} FROM kedges GROUP BY ALL"))
+def bundles(spark, d):
+    """All kept edges bundled tile by tile."""
+    return drawn(bundling.bundle(kept_lines(spark, d), by=("level", "tile")), "level", "tile")
 
 
-@query_(with_("kedges", "SELECT CAST(level AS INTEGER) AS level, count(*) AS edges, TRUE AS no_more_ink FROM kedges GROUP BY level"))
+@query_(with_("kedges", f"SELECT CAST(level AS INTEGER) AS level, {STRAIGHT} FROM kedges GROUP BY level"))
 def bundles_all(spark, d):
-    b = bundling.bundle_all(kept_lines(spark, d))
-    ink = b.groupBy("level", "bundle").agg(F.count("*").alias("edges"), F.max("bundle_ink").alias("ink"), F.sum("straight_ink").alias("straight"))
-    return ink.groupBy("level").agg(F.sum("edges").alias("edges"), (F.sum("ink") <= F.sum("straight") + 1e-6).alias("no_more_ink"))
+    """All kept edges bundled level by level, each level one drawing."""
+    return drawn(bundling.bundle(kept_lines(spark, d).drop("tile")), "level")
 
 
 LINE = "SELECT level, (((CAST(level AS BIGINT) * 16384 + sx) * 16384 + sy) * 16384 + tx) * 16384 + ty AS id, sx, sy, tx, ty FROM kedges"
+KNN = with_("kedges", f""", e AS ({LINE}), k AS (SELECT a.id, b.id AS other, (a.sx - b.sx) * (a.sx - b.sx) + (a.sy - b.sy) * (a.sy - b.sy) + (a.tx - b.tx) * (a.tx - b.tx) + (a.ty - b.ty) * (a.ty - b.ty) AS d2
+    FROM e a JOIN e b ON a.level = b.level AND a.id <> b.id) SELECT id, CAST(r AS INTEGER) AS rank, other FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2, other) AS r FROM k) WHERE r <= 5""".lstrip())
+
+
+def _knn(method: str):
+    def knn(spark, d):
+        """The five nearest kept edges of every kept edge, level by level, as 4-D points of their ends in cells."""
+        p = kept_lines(spark, d).select("id", "level", F.array("x1", "y1", "x2", "y2").alias("p"))
+        return bundling.proximity_graph(p, 5, method, by=("level",)).select("id", "rank", "other")
+
+    return knn
 
 
-@query_(with_("kedges", f""", e AS ({LINE}), k AS (SELECT a.id, b.id AS other, (a.sx - b.sx) * (a.sx - b.sx) + (a.sy - b.sy) * (a.sy - b.sy) + (a.tx - b.tx) * (a.tx - b.tx) + (a.ty - b.ty) * (a.ty - b.ty) AS d2
-    FROM e a JOIN e b ON a.level = b.level AND a.id <> b.id) SELECT id, CAST(r AS INTEGER) AS rank, other FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2, other) AS r FROM k) WHERE r <= 5""".lstrip()))
-def edge_knn_kept(spark, d):
-    """The five nearest kept edges of every kept edge, level by level, by their ends in cells."""
-    p = kept_lines(spark, d).select("id", "level", F.array("x1", "y1", "x2", "y2").alias("p")).persist()
-    return bundling.proximity_graph(p, 5, width=4.0, by=("level",)).select("id", "rank", "other")
+query_(KNN, "edge_knn")(_knn("buckets"))
+query_(KNN, "edge_knn_naive")(_knn("all_pairs"))
 
 
 @query_(with_("kedges", "SELECT CAST(level AS INTEGER) AS level, round(sum(sqrt(CAST((tx - sx) * (tx - sx) + (ty - sy) * (ty - sy) AS DOUBLE))), 6) AS ink FROM kedges GROUP BY level"))
@@ -559,13 +627,18 @@ def od_matrix_region(spark, d):
 
 @query_(with_("nodes", "SELECT level, cx, cy, n, rank() OVER w AS r, dense_rank() OVER w AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM nodes WINDOW w AS (PARTITION BY level ORDER BY n)"))
 def global_ranks(spark, d):
-    w = Window.partitionBy("level").orderBy("n")
-    return nodes(spark, d).select("level", "cx", "cy", "n", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("dr"), F.round(F.percent_rank().over(w), 6).alias("pr"), F.round(F.cume_dist().over(w), 6).alias("cd"))
+    at = positions(held_nodes(spark, d))
+    share = F.when(F.col("nodes") > 1, F.col("before") / (F.col("nodes") - 1)).otherwise(F.lit(0.0))
+    return at.select("level", "cx", "cy", "n", (F.col("before") + 1).alias("r"), F.col("value").alias("dr"), F.round(share, 6).alias("pr"), F.round((F.col("before") + F.col("c")) / F.col("nodes"), 6).alias("cd"))
 
 
 @query_(with_("nodes", "SELECT level, cx, cy, CAST(ntile(5) OVER (PARTITION BY level ORDER BY n, cx, cy) AS INTEGER) AS class FROM nodes"))
 def count_classes(spark, d):
-    return nodes(spark, d).select("level", "cx", "cy", F.ntile(5).over(Window.partitionBy("level").orderBy("n", "cx", "cy")).alias("class"))
+    """Five classes of like size; the first ones are larger by one where the nodes do not divide."""
+    q, r, i = F.floor(F.col("nodes") / 5), F.col("nodes") % 5, F.col("place") - 1
+    wide = r * (q + 1)
+    tile = F.when(i < wide, F.floor(i / (q + 1))).otherwise(r + F.floor((i - wide) / q)) + 1
+    return positions(held_nodes(spark, d)).select("level", "cx", "cy", tile.cast("int").alias("class"))
 
 
 @query_(with_("pts", "SELECT point_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, point_id ROWS UNBOUNDED PRECEDING) AS posts FROM pts"))
@@ -602,8 +675,9 @@ def trip_endpoints(spark, d):
 
 @query_(with_("nodes", "SELECT level, cx, cy, round(sum(n) OVER (PARTITION BY level ORDER BY n DESC, cx, cy ROWS UNBOUNDED PRECEDING) / sum(n) OVER (PARTITION BY level), 6) AS share FROM nodes"))
 def activity_share(spark, d):
-    w = Window.partitionBy("level").orderBy(F.desc("n"), "cx", "cy").rowsBetween(Window.unboundedPreceding, 0)
-    return nodes(spark, d).select("level", "cx", "cy", F.round(F.sum("n").over(w) / F.sum("n").over(Window.partitionBy("level")), 6).alias("share"))
+    at = positions(held_nodes(spark, d), descending=True)
+    reached = F.col("mass") + (F.col("place") - F.col("before")) * F.col("n")
+    return at.select("level", "cx", "cy", F.round(reached / F.col("total"), 6).alias("share"))
 
 
 query_(with_("nodes", "SELECT level, cx, cy, n FROM nodes ORDER BY n DESC, level, cx, cy LIMIT 20"), "top_nodes")(lambda s, d: nodes(s, d).select("level", "cx", "cy", "n").orderBy(F.desc("n"), "level", "cx", "cy").limit(20))
@@ -687,27 +761,59 @@ def sql_viewport(spark, d):
     return spark.sql(f"SELECT level, cx, cy, n FROM sv_kept_nodes WHERE {IN_BOX}")
 
 
+def ten_batches(spark, d, compact_after: int | None = None) -> str:
+    """Path of a cube refreshed with ten batches of movements, one after the other."""
+    from ..streaming import streams
+
+    path, mv = fresh_path(spark, "cubes"), materialize(movements(spark, d))
+    put = streams.refresh(path)
+    for i in range(10):
+        put(mv.where(F.col("movement_id") % 10 == i), i)
+        if i == compact_after:
+            streams.compact(spark, path)
+    return path
+
 
 @query_(with_("wide", "SELECT date_trunc('day', t0)::TIMESTAMP AS bin, level, cx, cy, count(*) AS n FROM wide GROUP BY ALL"))
 def incremental_equals_batch(spark, d):
-    """The cube refreshed batch by batch (ten batches of movements), which must equal the one made at once."""
-    import uuid
+    """The cube's nodes refreshed batch by batch, which must equal those made at once."""
+    from ..streaming import streams
 
+    return streams.refreshed(spark, ten_batches(spark, d)).select("bin", "level", "cx", "cy", "n")
+
+
+@query_(with_("flows", "SELECT date_trunc('day', t0)::TIMESTAMP AS bin, level, sx, sy, tx, ty, count(*) AS n FROM flows WHERE dist_km < cap GROUP BY ALL"))
+def incremental_edges(spark, d):
+    """The cube's edges after ten batches and a compaction in between."""
     from ..streaming import streams
 
-    base = (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "/tmp/flowlens").rstrip("/")
-    path, put, mv = f"{base}/refresh-{uuid.uuid4().hex}", None, movements(spark, d).persist()
-    put = streams.refresh(path)
-    for i in range(10):
-        put(mv.where(F.col("movement_id") % 10 == i), i)
-    return streams.refreshed(spark, path).select("bin", "level", "cx", "cy", "n")
+    return streams.refreshed(spark, ten_batches(spark, d, 6), "edges").select("bin", "level", "sx", "sy", "tx", "ty", "n")
+
+
+@query_(with_("kedges", "SELECT level, sx, sy, tx, ty, CAST(n AS BIGINT) AS n FROM kedges"))
+def incremental_graph(spark, d):
+    """The summarized graph after ten batches: kept nodes ranked again only near changed cells, edges filtered by them."""
+    from ..operators import bloom
+    from ..streaming import streams
+
+    path = ten_batches(spark, d, 4)
+    found = streams.refreshed(spark, path, "edges").groupBy("level", "sx", "sy", "tx", "ty").agg(F.sum("n").alias("n"))
+    return bloom.join_filter_edges(found, streams.kept_nodes(spark, path))
+
+
+@query_(with_("kept", "SELECT level, cx, cy, n FROM kept"))
+def incremental_nodes(spark, d):
+    """The kept nodes after ten batches."""
+    from ..streaming import streams
+
+    return streams.kept_nodes(spark, ten_batches(spark, d, 4))
 
 
 @query_()
 def latency_summary(spark, d):
-    """Average, median and 90th percentile of the response time of served viewports, by pattern: all 3 sets of 2000, 40 a second."""
+    """Average, median and 90th percentile of the response time in ms of all 3 sets of 2000 viewports of both patterns at the three
+    published rates, from the stored cube."""
     from . import workload
 
-    got = workload.load_test(spark, d, 6000, 150.0, by_spark=False)
-    rows = [(k.split("_")[0], float(v["average"]), float(v["median"]), float(v["p90"]), v["queries"]) for k, v in got.items() if isinstance(v, dict)]
-    return spark.createDataFrame(rows, "pattern string, average double, median double, p90 double, queries int")
+    rows = [(r["pattern"], r["seconds"], *(float(r["stored"][k]) for k in ("average", "median", "p90")), r["sets"] * workload.QUERIES_A_SET) for r in workload.stress(spark, d)]
+    return spark.createDataFrame(rows, "pattern string, seconds int, average double, median double, p90 double, queries int")

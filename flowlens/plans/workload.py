@@ -1,4 +1,4 @@
-"""Experiment workloads that take time: step sweeps, growth with the data, and the open-loop load test on a stored cube."""
+"""Experiment workloads that take time: step sweeps, growth with the data, and the stress test on a stored cube."""
 
 from __future__ import annotations
 
@@ -10,8 +10,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import PyramidConfig
-from ..operators import aggregate, bloom, query, summarize
+from ..operators import aggregate, bloom, query, serve, summarize
 from ..sources import carriers
+from ..sources.shared import discard, fresh_path, materialize
 from .metrics import timed
 from .pipeline import build
 from .queries_core import movements
@@ -36,14 +37,12 @@ def replicate(mv: DataFrame, times: int) -> DataFrame:
 def steps(mv: DataFrame, cfg: PyramidConfig = PyramidConfig(), runs: int = 1) -> dict[str, float]:
     """Seconds of the three steps; each is timed on the stored result of the one before."""
     out = {"aggregation": timed(lambda: aggregate.pyramid_nodes(mv, cfg), runs) + timed(lambda: aggregate.pyramid_edges(mv, cfg), runs)}
-    nodes, edges = aggregate.pyramid_nodes(mv, cfg).persist(), aggregate.pyramid_edges(mv, cfg).persist()
-    nodes.count(), edges.count()
+    nodes, edges = materialize(aggregate.pyramid_nodes(mv, cfg)), materialize(aggregate.pyramid_edges(mv, cfg))
     out["summarization"] = timed(lambda: summarize.significant_nodes(nodes, cfg), runs)
-    kept = summarize.significant_nodes(nodes, cfg).persist()
-    kept.count()
+    kept = materialize(summarize.significant_nodes(nodes, cfg))
     out["filtering"] = timed(lambda: bloom.bloom_filter_edges(edges, kept, cfg.fpp), runs)
     for df in (nodes, edges, kept):
-        df.unpersist()
+        discard(df)
     return {k: round(v, 3) for k, v in out.items()}
 
 
@@ -54,15 +53,14 @@ def step_sweep(spark: SparkSession, sf_dir: str, reducers=REDUCERS, days=(10, 20
     out = []
     try:
         for d in days:
-            mv = prefix(movements(spark, sf_dir), d).persist()
-            mv.count()
+            mv = materialize(prefix(movements(spark, sf_dir), d))
             rows = []
             for k in reducers:
                 spark.conf.set("spark.sql.shuffle.partitions", str(k))
                 rows.append({"days": d, "reducers": k, **steps(mv, runs=runs)})
             best = {f"best_{s}": min(rows, key=lambda r, s=s: r[s])["reducers"] for s in ("aggregation", "summarization", "filtering")}
             out += [r | best for r in rows]
-            mv.unpersist()
+            discard(mv)
     finally:
         for k, v in held.items():
             spark.conf.set(k, v)
@@ -72,25 +70,24 @@ def step_sweep(spark: SparkSession, sf_dir: str, reducers=REDUCERS, days=(10, 20
 def scale_up(spark: SparkSession, sf_dir: str, times=(1, 3, 10)) -> list[dict]:
     """Overall seconds as the movements multiply."""
     out = []
-    spark.catalog.clearCache()
     for t in times:
-        mv = replicate(movements(spark, sf_dir), t).persist()
-        n = mv.count()
+        mv = materialize(replicate(movements(spark, sf_dir), t))
         s = steps(mv)
-        out.append({"times": t, "movements": n, "overall": round(sum(s.values()), 3), **s})
-        mv.unpersist()
+        out.append({"times": t, "movements": mv.count(), "overall": round(sum(s.values()), 3), **s})
+        discard(mv)
     return out
 
 
 class Served:
-    """The summarized graph held for serving: arrays by level, sorted along x, so that a viewport is a slice and a mask."""
+    """The summarized graph held for serving: arrays by level, sorted along x, so that a viewport is a slice and a mask. Whole period
+    only; a second line of comparison beside the stored cube."""
 
     def __init__(self, nodes: DataFrame, edges: DataFrame):
         n, e = nodes.select("level", "cx", "cy", "n").toPandas(), edges.select("level", "sx", "sy", "tx", "ty", "n").toPandas()
         self.nodes = {lv: g.sort_values("cx")[["cx", "cy", "n"]].to_numpy() for lv, g in n.groupby("level")}
         self.edges = {lv: g.sort_values("sx")[["sx", "sy", "tx", "ty", "n"]].to_numpy() for lv, g in e.groupby("level")}
 
-    def viewport(self, box, level: int) -> tuple[np.ndarray, np.ndarray]:
+    def viewport(self, box, level: int, period=None) -> tuple[np.ndarray, np.ndarray]:
         """Nodes whose cells the box meets, and the edges with both ends among them."""
         (x0, x1), (y0, y1) = query.cell_range(box[0], box[2], level), query.cell_range(box[1], box[3], level)
         n, e = self.nodes.get(level, np.zeros((0, 3), int)), self.edges.get(level, np.zeros((0, 5), int))
@@ -103,71 +100,137 @@ class Served:
         return n, e[inside]
 
 
-#: Rows of a summarized graph up to which one serving process holds it.
+#: Rows of a summarized graph up to which one process holds it as arrays, and what that holds for the published experiment.
 SERVE_ROWS = 20_000_000
+DURATIONS, SETS, QUERIES_A_SET = (50, 75, 100), (0, 1, 2), 2000
+#: Periods that queries ask for in turn: none, a week, a day.
+PERIODS = (None, ("2024-01-08", "2024-01-15"), ("2024-01-20", "2024-01-21"))
+
+
+def stored_cube(spark: SparkSession, sf_dir: str, cfg: PyramidConfig = PyramidConfig()) -> tuple[str, DataFrame, DataFrame]:
+    """(path of the summarized graph of every day laid out for serving, its kept nodes, its kept edges)."""
+    mv = movements(spark, sf_dir)
+    g = build(mv, cfg)
+    kept_edges = materialize(g.kept_edges)
+    node, edge = ["level", "cx", "cy"], ["level", "sx", "sy", "tx", "ty"]
+    day = lambda df: df.withColumn("day", F.to_date("bin"))
+    nodes = day(aggregate.pyramid_nodes(mv, cfg, time_bin="day")).join(g.kept_nodes.select(*node), node, "left_semi")
+    edges = day(aggregate.pyramid_edges(mv, cfg, time_bin="day")).join(kept_edges.select(*edge), edge, "left_semi")
+    path = fresh_path(spark, "cubes")
+    serve.store(nodes, edges, path)
+    return path, g.kept_nodes, kept_edges
+
+
+def asked(spark: SparkSession, sf_dir: str, pattern: str, sets=SETS, most: int = QUERIES_A_SET) -> dict[int, list[tuple]]:
+    """Queries (box, level, period) of every set of a pattern, in order; the periods take turns."""
+    points = carriers.points(spark, sf_dir) if pattern == "population" else hotspot_points(spark, sf_dir)
+    out: dict[int, list] = {s: [] for s in sets}
+    for r in views(points, sets, most).orderBy("set_id", "query_id").collect():
+        out[r["set_id"]].append(((r["x0"], r["y0"], r["x1"], r["y1"]), r["level"], PERIODS[r["query_id"] % len(PERIODS)]))
+    return out
+
+
+def summary(ms) -> dict:
+    return {"average": round(float(np.mean(ms)), 2), "median": round(float(np.median(ms)), 2), "p90": round(float(np.quantile(ms, 0.9)), 2), "queries": len(ms)}
+
+
+def service_times(ask, queries: list[tuple]) -> np.ndarray:
+    """Milliseconds of every query, run one after the other."""
+    out = []
+    for q in queries:
+        t = time.perf_counter()
+        ask(*q)
+        out.append((time.perf_counter() - t) * 1000)
+    return np.array(out)
+
+
+def response_times(service: np.ndarray, seconds: float) -> np.ndarray:
+    """Milliseconds from arrival to answer when queries arrive evenly over so many seconds at one server that takes them in order:
+    each query's measured service time, and the wait that those before it cause."""
+    due = np.arange(len(service)) * seconds * 1000 / max(1, len(service))
+    done, free = np.empty(len(service)), 0.0
+    for i, (t, s) in enumerate(zip(due, service)):
+        free = max(free, t) + s
+        done[i] = free
+    return done - due
+
 
+def open_loop(ask, queries: list[tuple], seconds: float, threads: int = 8) -> np.ndarray:
+    """The same by the clock: queries start when due, on a pool of threads; waiting counts."""
+    start, late = time.perf_counter(), []
 
-def load_test(spark: SparkSession, sf_dir: str, queries: int = 2000, duration: float = 50.0, patterns=("population", "hotspot"), threads: int = 8, by_spark: bool = True) -> dict:
-    """Open-loop queries at a fixed rate: average, median and 90th percentile of the response time in ms, waiting included.
+    def one(i: int, q: tuple) -> None:
+        due = start + i * seconds / len(queries)
+        time.sleep(max(0.0, due - time.perf_counter()))
+        ask(*q)
+        late.append((time.perf_counter() - due) * 1000)
 
-    served: the summarized graph in a serving process (it is bounded by the grid and the caps; SERVE_ROWS is checked). spark: a tenth
-    of the queries as one Spark job each over the cached graph. The 3 sets of a pattern share the queries.
+    with ThreadPoolExecutor(threads) as pool:
+        list(pool.map(lambda iq: one(*iq), enumerate(queries)))
+    return np.array(late)
+
+
+def stress(spark: SparkSession, sf_dir: str, durations=DURATIONS, sets=SETS, most: int = QUERIES_A_SET, by_clock=(), by_spark: int = 0) -> list[dict]:
+    """The published stress test: for both patterns and every duration, sets of 2000 queries against the stored cube.
+
+    stored: every query runs on a server opened on the cube's files; its service time enters the published arrival schedule
+    (response_times), mean over the sets. arrays: the same over arrays in memory. by_clock: durations that also run by the clock
+    with the first set. by_spark: so many queries as one Spark job each over the same cube, alone.
     """
-    g = build(movements(spark, sf_dir))
-    nodes, edges = g.kept_nodes, g.kept_edges.persist()
-    rows = nodes.count() + edges.count()
-    served = Served(nodes, edges) if rows <= SERVE_ROWS else None
-    out: dict = {"rows": rows}
-
-    def run(ask, views_, seconds: float) -> dict:
-        start, late = time.perf_counter(), []
-
-        def one(i, v):
-            due = start + i * seconds / len(views_)
-            time.sleep(max(0.0, due - time.perf_counter()))
-            ask((v["x0"], v["y0"], v["x1"], v["y1"]), v["level"])
-            late.append((time.perf_counter() - due) * 1000)
-
-        with ThreadPoolExecutor(threads) as pool:
-            list(pool.map(lambda iv: one(*iv), enumerate(views_)))
-        return {"average": round(float(np.mean(late)), 2), "median": round(float(np.median(late)), 2), "p90": round(float(np.quantile(late, 0.9)), 2), "queries": len(late), "seconds": seconds}
-
-    for pattern in patterns:
-        points = carriers.points(spark, sf_dir) if pattern == "population" else hotspot_points(spark, sf_dir)
-        asked = [r.asDict() for r in views(points, (0, 1, 2), -(-queries // 3)).collect()]
-        if served:
-            out[f"{pattern}_served"] = run(served.viewport, asked, duration)
-        if by_spark:
-            few = asked[: max(1, len(asked) // 10)]
-            out[f"{pattern}_spark"] = run(lambda box, level: query.viewport_edges(edges, query.viewport_nodes(nodes, box, level), level).toArrow(), few, duration)
+    path, nodes, edges = stored_cube(spark, sf_dir)
+    arrays = Served(nodes, edges) if nodes.count() + edges.count() <= SERVE_ROWS else None
+    out = []
+    for pattern in ("population", "hotspot"):
+        queries = asked(spark, sf_dir, pattern, sets, most)
+        server = serve.CubeServer(path)
+        stored = {s: service_times(server.viewport, q) for s, q in queries.items()}
+        held = {s: service_times(arrays.viewport, q) for s, q in queries.items()} if arrays else {}
+        jobs = [service_times(lambda box, level, period: query.viewport_edges(edges, query.viewport_nodes(nodes, box, level), level).toArrow(), queries[sets[0]][:by_spark])] if by_spark else []
+        mean = lambda runs: {k: round(float(np.mean([r[k] for r in runs])), 2) for k in ("average", "median", "p90", "queries")}
+        for seconds in durations:
+            row = {"pattern": pattern, "seconds": seconds, "sets": len(sets), "stored": mean([summary(response_times(v, seconds)) for v in stored.values()])}
+            if held:
+                row["arrays"] = mean([summary(response_times(v, seconds)) for v in held.values()])
+            if seconds in by_clock:
+                row["by_clock"] = summary(open_loop(server.viewport, queries[sets[0]], seconds))
+            if jobs:
+                row["spark_job"] = summary(jobs[0])
+            out.append(row)
+        out[-1]["row_groups_read"], out[-1]["cube_rows"], out[-1]["cache_mb"] = server.reads, server.rows, server.bytes >> 20
+    return out
+
+
+def graph_sizes(spark: SparkSession, sf_dir: str, days=(10, 20, 30)) -> list[dict]:
+    """Nodes and edges before and after for growing periods, with neighbourhoods of cells in a disc and by great-circle distance."""
+    out = []
+    for metric in ("grid_circle", "great_circle"):
+        for d in days:
+            g = build(prefix(movements(spark, sf_dir), d), PyramidConfig(metric=metric))
+            n, e, kn, ke = (x.count() for x in (g.nodes, g.edges, g.kept_nodes, g.kept_edges))
+            out.append({"metric": metric, "days": d, "nodes": n, "kept_nodes": kn, "nodes_share": round(kn / n, 4), "edges": e, "kept_edges": ke, "edges_share": round(ke / e, 4)})
     return out
 
 
-def ablations(spark: SparkSession, sf_dir: str, runs: int = 1) -> dict[str, dict[str, float]]:
+def ablations(spark: SparkSession, sf_dir: str, runs: int = 1, times: int = 1) -> dict[str, dict[str, float]]:
     """Seconds of every alternative of a step on the same stored input: look-ups, combiners, edge filters and their false-positive
-    shares, neighbourhood strategies, scan split sizes."""
+    shares, neighbourhood strategies, scan split sizes. times: copies of the movements that the steps work on."""
     from ..operators import partitioning
     from .queries_core import work_tree
 
     cfg = PyramidConfig()
-    spark.catalog.clearCache()  # nothing stored earlier may answer
-    mv = movements(spark, sf_dir).persist()
-    mv.count()
-    points = carriers.points(spark, sf_dir).select("point_id", F.col("x_mas").alias("x"), F.col("y_mas").alias("y")).persist()
-    points.count()
+    mv = materialize(replicate(movements(spark, sf_dir), times))
+    points = materialize(carriers.points(spark, sf_dir).select("point_id", F.col("x_mas").alias("x"), F.col("y_mas").alias("y")))
     tree = work_tree(spark, sf_dir, 64)
     out = {"lookup": {m: timed(lambda m=m: partitioning.lookup(points, tree, m), runs) for m in ("cut_tree", "rtree", "linear")}}
-    out["combiner"] = {s: timed(lambda s=s: aggregate.pyramid_nodes(mv, cfg, s), runs) for s in ("rollup", "explode", "in_task", "none", "builtin")}
-    nodes, edges = aggregate.pyramid_nodes(mv, cfg).persist(), aggregate.pyramid_edges(mv, cfg).persist()
-    nodes.count(), edges.count()
-    # before the kept nodes are stored, which would answer for the strategy that made them
+    out["combiner"] = {s: timed(lambda s=s: aggregate.pyramid_nodes(mv, cfg, s), runs) for s in ("rollup", "explode", "in_task", "none", *(("builtin",) if times == 1 else ()))}
+    nodes, edges = materialize(aggregate.pyramid_nodes(mv, cfg)), materialize(aggregate.pyramid_edges(mv, cfg))
     out["neighbourhood"] = {s: timed(lambda s=s: summarize.significant_nodes(nodes, cfg, s), runs) for s in ("tiles", "offsets")}
     out["neighbourhood"]["leaves"] = timed(lambda: summarize.significant_nodes(nodes, cfg, "leaves", tree), runs)
-    kept = summarize.significant_nodes(nodes, cfg).persist()
-    kept.count()
+    out["neighbourhood"]["great_circle"] = timed(lambda: summarize.significant_nodes(nodes, PyramidConfig(metric="great_circle")), runs)
+    kept = materialize(summarize.significant_nodes(nodes, cfg))
     out["edge_filter"] = {f"bloom_{p}": timed(lambda p=p: bloom.bloom_filter_edges(edges, kept, p), runs) for p in (0.1, 0.01, 0.001)}
     out["edge_filter"] |= {h or "join": timed(lambda h=h: bloom.join_filter_edges(edges, kept, h), runs) for h in (None, "broadcast", "merge", "shuffle_hash")}
-    out["passed"] = {f"bloom_{p}": bloom.bloom_filter_edges(edges, kept, p).count() for p in (0.1, 0.01, 0.001)} | {"join": bloom.join_filter_edges(edges, kept).count()}
+    out["passed"] = {f"bloom_{p}": bloom.bloom_filter_edges(edges, kept, p).count() for p in (0.1, 0.01, 0.001)} | {"join": bloom.join_filter_edges(edges, kept).count(), "all": edges.count()}
     held = spark.conf.get("spark.sql.files.maxPartitionBytes")
     try:
         out["split_bytes"] = {}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
@@ -10,6 +11,9 @@ from pyspark.sql import functions as F
 
 from ..config import PyramidConfig
 from ..functions.grid import cell
+from ..operators.aggregate import pyramid_edges, pyramid_nodes
+from ..operators.summarize import rescored
+from ..sources.shared import materialize, remove
 from ..sources.tables import POINTS_SCHEMA
 
 LINKED = "movement_id long, user_id long, t0 timestamp, t1 timestamp, sx long, sy long, tx long, ty long"
@@ -77,17 +81,64 @@ def meetings(points: DataFrame, others: DataFrame, minutes: int = 10, level: int
     return at(points, "a").join(at(others, "b"), near)
 
 
-def refresh(path: str, cfg: PyramidConfig = PyramidConfig()):
-    """foreachBatch sink: node counts of each batch of movements go to a folder named by the batch, so a repeated batch replaces itself."""
-    from ..operators.aggregate import pyramid_nodes
+def late_rows(query) -> int:
+    """Rows that a running or finished query has dropped because they came after the watermark, over the progress it still holds."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in json.loads(p.json if hasattr(p, "json") else json.dumps(p))["stateOperators"])
+
+
+NODES = "level int, cx long, cy long, bin timestamp_ntz, n long, sum_x long, sum_y long"
+EDGES = "level int, sx long, sy long, tx long, ty long, bin timestamp_ntz, n long"
+KEPT = "level int, cx long, cy long, n long"
+
+
+def refresh(path: str, cfg: PyramidConfig = PyramidConfig(), summarize_too: bool = True):
+    """foreachBatch sink for movements: node and edge counts of each batch go to folders named by the batch, so a repeated batch replaces
+    itself. With summarize_too the kept nodes follow: only places near a cell that the batch touched are ranked again."""
 
     def put(batch: DataFrame, batch_id: int) -> None:
-        pyramid_nodes(batch, cfg, time_bin="day").write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        spark = batch.sparkSession
+        pyramid_nodes(batch, cfg, time_bin="day").write.mode("overwrite").parquet(f"{path}/nodes/batch={batch_id}")
+        pyramid_edges(batch, cfg, time_bin="day").write.mode("overwrite").parquet(f"{path}/edges/batch={batch_id}")
+        if summarize_too:
+            changed = spark.read.schema(NODES).parquet(f"{path}/nodes/batch={batch_id}").select("level", "cx", "cy").distinct()
+            nodes = materialize(refreshed(spark, path).groupBy("level", "cx", "cy").agg(F.sum("n").alias("n")))
+            before = kept_nodes(spark, path, batch_id)
+            rescored(nodes, changed, before, cfg).write.mode("overwrite").parquet(f"{path}/kept/version={batch_id}")
 
     return put
 
 
-def refreshed(spark: SparkSession, path: str) -> DataFrame:
-    """The cube from all batches so far: counts and sums add up."""
-    schema = "level int, cx long, cy long, bin timestamp_ntz, n long, sum_x long, sum_y long"
-    return spark.read.schema(schema + ", batch long").parquet(path).groupBy("level", "cx", "cy", "bin").agg(*[F.sum(c).alias(c) for c in ("n", "sum_x", "sum_y")])
+def _folders(spark: SparkSession, path: str) -> list[int]:
+    """Numbers of the folders name=number under a path."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = at.getFileSystem(spark._jsc.hadoopConfiguration())
+    names = [s.getPath().getName() for s in files.listStatus(at)] if files.exists(at) else []
+    return sorted(int(n.split("=")[1]) for n in names if "=" in n)
+
+
+def refreshed(spark: SparkSession, path: str, kind: str = "nodes") -> DataFrame:
+    """Nodes or edges of the cube from all batches so far: counts and sums add up."""
+    schema, keys = (NODES, ["level", "cx", "cy", "bin"]) if kind == "nodes" else (EDGES, ["level", "sx", "sy", "tx", "ty", "bin"])
+    rows = spark.read.schema(schema + ", batch long").parquet(f"{path}/{kind}")
+    return rows.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in rows.columns if c not in (*keys, "batch")])
+
+
+def kept_nodes(spark: SparkSession, path: str, before: int | None = None) -> DataFrame:
+    """The kept nodes after the last batch, or after the last one before a given batch."""
+    have = [v for v in _folders(spark, f"{path}/kept") if before is None or v < before]
+    return spark.read.schema(KEPT).parquet(f"{path}/kept/version={have[-1]}") if have else spark.createDataFrame([], KEPT)
+
+
+def compact(spark: SparkSession, path: str) -> None:
+    """Merge all batch folders into the last one's and drop older versions of the kept nodes, so that reads do not slow down with the
+    number of batches. To be called between batches."""
+    for kind in ("nodes", "edges"):
+        have = _folders(spark, f"{path}/{kind}")
+        if len(have) > 1:
+            refreshed(spark, path, kind).write.mode("overwrite").parquet(f"{path}/merged_{kind}")
+            for b in have:
+                remove(spark, f"{path}/{kind}/batch={b}")
+            at = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/merged_{kind}")
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).rename(at, spark._jvm.org.apache.hadoop.fs.Path(f"{path}/{kind}/batch={have[-1]}"))
+    for v in _folders(spark, f"{path}/kept")[:-1]:
+        remove(spark, f"{path}/kept/version={v}")

@@ -211,24 +211,187 @@ def test_batch_answers_all_sets_of_both_patterns(spark):
     assert QUERIES["viewport_batch_all"](spark, SF).count() == sum(want.values())
 
 
-def test_distributed_bundling_equals_the_one_of_arrays_beyond_a_hundred_edges(spark):
+def nearest(es, k=10):
+    p = (es - es.mean(0)) / np.maximum(es.std(0), 1e-3)
+    d2 = ((p[:, None, :] - p[None, :, :]) ** 2).sum(2)
+    return [[j for j in np.argsort(row, kind="stable") if j != i][:k] for i, row in enumerate(d2)]
+
+
+def slow_bundles(es, near, max_angle=60.0):
+    """Rounds of mutually best merges, every pair priced alone in every round."""
+    n = len(es)
+    groups, label = {i: [i] for i in range(n)}, list(range(n))
+    way = np.arctan2(es[:, 3] - es[:, 1], es[:, 2] - es[:, 0])
+    cost = {i: bundling.straight_ink(es[i : i + 1]) for i in range(n)}
+    while True:
+        saved = {}
+        for i in range(n):
+            for j in near[i]:
+                g, h = sorted((label[i], label[j]))
+                turn = abs((way[i] - way[j] + np.pi) % (2 * np.pi) - np.pi)
+                if g != h and np.degrees(turn) <= max_angle and (g, h) not in saved:
+                    saved[g, h] = cost[g] + cost[h] - bundling.bundle_ink(es[sorted(groups[g]) + sorted(groups[h])])[0]
+        wish = {}
+        for (g, h), s in saved.items():
+            for x, y in ((g, h), (h, g)):
+                if s > 1e-9 and (x not in wish or (s, -y) > (wish[x][0], -wish[x][1])):
+                    wish[x] = (s, y)
+        pairs = [(g, h) for g, (_, h) in wish.items() if g < h and wish.get(h, (0, -1))[1] == g]
+        if not pairs:
+            return label, [cost[g] for g in label]
+        for g, h in pairs:
+            groups[g] += groups.pop(h)
+            for i in groups[g]:
+                label[i] = g
+            cost[g] = bundling.bundle_ink(es[sorted(groups[g])])[0]
+
+
+def drawing(rng, n):
+    hubs = rng.uniform(0, 60, (5, 4))
+    return hubs[rng.integers(0, 5, n)] + rng.normal(0, 2, (n, 4))
+
+
+def test_merges_equal_those_of_a_slow_version():
     rng = np.random.default_rng(3)
-    hubs, levels = rng.uniform(0, 60, (5, 4)), {1: 130, 9: 25}
-    ends = {lv: hubs[rng.integers(0, 5, n)] + rng.normal(0, 2, (n, 4)) for lv, n in levels.items()}
-    rows = [(lv * 1000 + i, lv, *map(float, e)) for lv, es in ends.items() for i, e in enumerate(es)] + [(5000, 1, 3.0, 3.0, 3.0, 3.0)]
-    got = {r["id"]: r for r in bundling.bundle_all(spark.createDataFrame(rows, "id long, level int, x1 double, y1 double, x2 double, y2 double")).collect()}
+    for n in (1, 2, 40, 130):
+        es = drawing(rng, n)
+        near = nearest(es)
+        label, ink = bundling.coalesce(es, near)
+        want, cost = slow_bundles(es, near)
+        assert label.tolist() == want and np.allclose(ink, cost)
+        assert sum(bundling.bundle_ink(es[label == g])[0] for g in set(label.tolist())) <= bundling.straight_ink(es) + 1e-9
+    assert len(bundling.coalesce(np.zeros((0, 4)), [])[0]) == 0
+
+
+def test_ink_of_many_groups_equals_one_by_one():
+    rng = np.random.default_rng(4)
+    es, starts = drawing(rng, 60), np.array([0, 1, 5, 6, 30])
+    want = [bundling.bundle_ink(part)[0] for part in np.split(es, starts[1:])]
+    assert np.allclose(bundling.group_ink(es, starts), want)
+
+
+def test_distributed_bundling_equals_the_one_of_arrays(spark):
+    rng = np.random.default_rng(3)
+    ends = {(1, 0): drawing(rng, 130), (1, 7): drawing(rng, 25), (9, 0): drawing(rng, 30), (9, 8): drawing(rng, 1)}
+    rows = [(k * 1000 + i, *key, *map(float, e)) for k, (key, es) in enumerate(ends.items()) for i, e in enumerate(es)] + [(5000, 1, 0, 3.0, 3.0, 3.0, 3.0)]
+    frame = spark.createDataFrame(rows, "id long, level int, tile long, x1 double, y1 double, x2 double, y2 double")
+    got = {r["id"]: r for r in bundling.bundle(frame, by=("level", "tile")).collect()}
     assert len(got) == len(rows) and got[5000]["bundle"] == 5000 and got[5000]["bundle_ink"] == 0
-    for lv, es in ends.items():
-        label, ink = bundling.coalesce(es)
-        assert [got[lv * 1000 + i]["bundle"] - lv * 1000 for i in range(len(es))] == label.tolist() and len(set(label)) < len(es)
-        assert np.allclose([got[lv * 1000 + i]["bundle_ink"] for i in range(len(es))], ink)
+    for k, es in enumerate(ends.values()):
+        label, ink = bundling.coalesce(es, nearest(es))
+        assert [got[k * 1000 + i]["bundle"] - k * 1000 for i in range(len(es))] == label.tolist()
+        assert np.allclose([got[k * 1000 + i]["bundle_ink"] for i in range(len(es))], ink)
+    assert bundling.bundle(frame.limit(0)).count() == 0
+
+
+def test_proximity_of_crowded_and_lonely_points(spark):
+    rng = np.random.default_rng(6)
+    pts = np.concatenate([rng.normal(0, 0.01, (150, 4)), rng.uniform(-50, 50, (40, 4)), np.full((20, 4), 7.0)])
+    frame = spark.createDataFrame([(i, [float(v) for v in p]) for i, p in enumerate(pts)], "id long, p array<double>")
+    key = lambda df: sorted((r["id"], r["rank"], r["other"]) for r in df.collect())
+    assert key(bundling.proximity_graph(frame, 5, width=1 / 16)) == key(bundling.proximity_graph(frame, 5, "all_pairs"))
+
+
+def slow_cut(values, weights, share):
+    """Every cut between distinct values, tried one by one: (miss over total, position), or None."""
+    total, best = float(sum(weights)), None
+    for v in sorted(set(values))[1:]:
+        below = float(sum(w for x, w in zip(values, weights) if x < v))
+        if best is None or abs(below - share * total) / total < best[0]:
+            best = abs(below - share * total) / total, v
+    return best
+
+
+def slow_bisect(pts, w, k, box, axis, depth=0):
+    if k > 1:
+        low = k // 2
+        cuts = {a: slow_cut([p[a] for p in pts], w, low / k) for a in (0, 1)}
+        usable = {a: c for a, c in cuts.items() if c}
+        if axis == "alternate" and depth % 2 in usable:
+            usable = {depth % 2: usable[depth % 2]}
+        if usable:
+            a = min(usable, key=lambda a: (usable[a][0], a))
+            at = usable[a][1]
+            x0, y0, x1, y1 = box
+            halves = ((x0, y0, at, y1), (at, y0, x1, y1)) if a == 0 else ((x0, y0, x1, at), (x0, at, x1, y1))
+            side = [[(p, v) for p, v in zip(pts, w) if (p[a] < at) == first] for first in (True, False)]
+            return [leaf for half, part, n in zip(halves, side, (low, k - low)) for leaf in slow_bisect([p for p, _ in part], [v for _, v in part], n, half, axis, depth + 1)]
+    return [box]
+
+
+@pytest.mark.filterwarnings("ignore")
+@pytest.mark.parametrize("axis", ["best", "alternate"])
+def test_cuts_equal_those_of_trying_all(axis):
+    rng = random.Random(8)
+    region = CFG.grid.region
+    for k in (2, 3, 6, 8, 13):
+        pts = [(rng.randrange(40) * 1000, rng.randrange(25) * 1000) for _ in range(120)]
+        w = [rng.randrange(1, 6) for _ in pts]
+        got = partitioning.bisect(np.array(pts), k, region, axis, np.array(w))
+        assert [(v.x0, v.y0, v.x1, v.y1) for v in got.leaves] == slow_bisect(pts, w, k, (0, 0, region.width, region.height), axis)
+
+
+def test_a_tree_of_many_positions_is_learned_from_all_parts(spark, monkeypatch):
+    """Rows in order of x: the first ones alone would put every cut on the left."""
+    rows = spark.range(40_000).select((F.col("id") * 9000).alias("x"), (F.col("id") * 7919 % 27_000 * 10_000).alias("y"))
+    monkeypatch.setattr(partitioning, "SAMPLE_ROWS", 4000)
+    tree = partitioning.learn(rows, 8)
+    assert partitioning.learn(rows.repartition(7), 8).leaves == tree.leaves
+    load = metrics.load(partitioning.lookup(rows, tree)).first()
+    assert load["max_over_avg"] < 1.15 and load["min_load"] > 4000
+
+
+def test_rtree_of_a_batch_equals_one_by_one():
+    rng = np.random.default_rng(9)
+    tree = partitioning.bisect(rng.integers(0, 200_000_000, (500, 2)), 37)
+    levels = partitioning.packed_rtree(tree.leaves)
+    x, y = rng.integers(-1, 420_000_000, 2000), rng.integers(-1, 300_000_000, 2000)
+    found = [partitioning.rtree_search(levels, i, j, i, j) for i, j in zip(x.tolist(), y.tolist())]
+    assert partitioning.rtree_locate(levels, x, y).tolist() == [f[0] if f else -1 for f in found]
+
+
+def test_places_of_tied_counts_and_few_nodes(spark):
+    rows = [(1, x, y, n) for x, y, n in [(5, 1, 2), (4, 9, 2), (5, 0, 2), (7, 7, 1), (0, 0, 9)]] + [(2, 3, 3, 4)]
+    got = {(r["level"], r["cx"], r["cy"]): (r["place"], r["before"], r["value"], r["nodes"]) for r in summarize.positions(node_frame(spark, rows)).collect()}
+    assert got == {(1, 7, 7): (1, 0, 1, 5), (1, 4, 9): (2, 1, 2, 5), (1, 5, 0): (3, 1, 2, 5), (1, 5, 1): (4, 1, 2, 5), (1, 0, 0): (5, 4, 3, 5), (2, 3, 3): (1, 0, 1, 1)}
+    assert summarize.positions(node_frame(spark, [])).count() == 0
+
+
+@pytest.mark.parametrize("metric", ["grid_circle", "great_circle"])
+def test_ranking_again_near_changes_equals_ranking_all(spark, metric):
+    cfg, rng = replace(CFG, metric=metric), random.Random(10)
+    old = {(lv, rng.randrange(40), rng.randrange(40)): rng.randrange(1, 9) for lv in (1, 4) for _ in range(300)}
+    new = dict(old)
+    for key in rng.sample(sorted(old), 6):
+        new[key] += rng.randrange(1, 9)
+    for _ in range(4):
+        new[1, rng.randrange(40), rng.randrange(40)] = 3
+    frame = lambda d: node_frame(spark, [(*k, v) for k, v in d.items()])
+    changed = frame({k: v for k, v in new.items() if old.get(k) != v}).select("level", "cx", "cy")
+    got = summarize.rescored(frame(new), changed, summarize.significant_nodes(frame(old), cfg), cfg)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, summarize.significant_nodes(frame(new), cfg).collect()))
+
+
+def test_flows_give_the_nodes_and_edges_of_the_movements(spark):
+    mv = movements(spark, SF)
+    flows = aggregate.fine_flows(mv)
+    rows = lambda df: sorted(map(tuple, df.select(sorted(df.columns)).collect()))
+    assert rows(aggregate.nodes_of_flows(flows)) == rows(aggregate.pyramid_nodes(mv, CFG, "explode"))
+    assert rows(aggregate.edges_of_flows(flows)) == rows(aggregate.pyramid_edges(mv, CFG, "explode"))
 
 
-def test_bundling_keeps_edges_and_never_adds_ink():
-    rng = np.random.default_rng(5)
-    e = np.concatenate([rng.normal([0, 0, 10, 10], 0.5, (20, 4)), rng.normal([0, 10, 10, 0], 0.5, (20, 4))])
-    label, ink = bundling.coalesce(e)
-    assert len(label) == 40 and sum(ink[label == g][0] for g in set(label)) < bundling.straight_ink(e)
+def test_bits_are_tested_in_generated_code(spark):
+    mv = movements(spark, SF)
+    kept = summarize.significant_nodes(aggregate.pyramid_nodes(mv))
+    edges = aggregate.pyramid_edges(mv)
+    passed = bloom.bloom_filter_edges(edges, kept)
+    plan = passed._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" not in plan and "BroadcastHashJoin" in plan
+    held, rows = bloom.filters(kept), [tuple(r) for r in edges.select("level", "sx", "sy", "tx", "ty").collect()]
+    e = np.array(rows)
+    ok = bloom.probe(e[:, 0], e[:, 1] << 14 | e[:, 2], held) & bloom.probe(e[:, 0], e[:, 3] << 14 | e[:, 4], held)
+    assert sorted(tuple(r)[:5] for r in passed.collect()) == sorted(r for r, k in zip(rows, ok) if k)
+    assert bloom.bloom_filter_edges(edges, kept.limit(0)).count() == 0
 
 
 def test_plans(spark):
