@@ -5,19 +5,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from flowlens.llm.common import materialize, table
+from flowlens.llm.common import discard, materialize, scratch, table
 from flowlens.llm.mixing import mixed_documents
 from flowlens.llm.near_dup import near_duplicates
 from flowlens.llm.packing import pack, token_pieces
 from flowlens.llm.substring_dedup import dedup_texts
-from flowlens.llm.toxicity import THRESHOLD, toxicity_scores, trained
+from flowlens.llm.toxicity import trained, without_toxic
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents scored under the toxicity threshold; rows without an id stay."""
-    field = trained(spark, docs, table(spark, sf_dir, "labels"))
-    bad = materialize(toxicity_scores(docs, field).where(F.col("score") >= THRESHOLD).select("doc_id").distinct())
-    return docs.join(bad, "doc_id", "left_anti").select(*docs.columns)
+    """Documents scored under the toxicity threshold, each row by its own text."""
+    return without_toxic(docs, trained(spark, docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -44,7 +42,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Where every piece of every document lies in the packed sequences."""
-    return pack(materialize(token_pieces(docs)))
+    with scratch(spark):
+        return pack(materialize(token_pieces(docs)))
 
 
 STAGES = [
@@ -60,7 +59,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages in turn. Each stage's output is a table; what a stage wrote besides, and its input, go when that table is there."""
     docs = table(spark, sf_dir, "documents")
-    for _, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir))
-    return STAGES[-1][1](spark, docs, sf_dir)
+    for _, stage in STAGES:
+        before = docs
+        with scratch(spark):
+            docs = materialize(stage(spark, before, sf_dir), lasting=True)
+        discard(before)
+    return docs

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
-from .tokens import END_OF_TEXT, default_vocabulary, encoder, split_points
+from .tokens import END_OF_TEXT, default_vocabulary, encoder, largest_id, split_points
 
 CAP = 2048
 #: Tokens that a task holds before it packs and writes them; this bounds its memory whatever the input.
@@ -80,7 +80,8 @@ def pack_documents(docs: DataFrame, cap: int = CAP, vocabulary: str | None = Non
     offsets at which positions restart, and the document and token start of every segment.
 
     A document is its tokens and the separator; longer ones than cap are cut losslessly. No shuffle: every task packs its own input
-    in buffers of bounded size. Null and empty texts are one separator; repeated rows are packed as often as they come.
+    in buffers of bounded size. Null and empty texts are one separator; repeated rows are packed as often as they come; rows without
+    an id are packed with a null one; an empty table gives an empty result.
     """
     vocabulary = vocabulary or default_vocabulary()
 
@@ -91,11 +92,11 @@ def pack_documents(docs: DataFrame, cap: int = CAP, vocabulary: str | None = Non
             for j, items in enumerate(bins[k : k + 512]):
                 ids = np.concatenate([held[i][2] for i in items])
                 ends = np.cumsum([0] + [len(held[i][2]) for i in items]).tolist()
-                rows.append((base + k + j, len(ids), ids.astype("<u2" if vocab_fits else "<u4").tobytes(), ends, ends[:-1], [held[i][0] for i in items], [held[i][1] for i in items]))
+                rows.append((base + k + j, len(ids), ids.astype(width).tobytes(), ends, ends[:-1], [held[i][0] for i in items], [held[i][1] for i in items]))
             kinds = [pa.int64(), pa.int32(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int64())]
             yield pa.record_batch([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], ["sequence_id", "n_tokens", "ids", "cu_seqlens", "position_resets", "doc_ids", "starts"])
 
-    vocab_fits = separator < 1 << 16 and vocabulary.rsplit("/", 1)[-1].startswith("byte_bpe")
+    width = "<u2" if max(separator, largest_id(vocabulary)) < 1 << 16 else "<u4"
 
     def run(batches):
         from pyspark import TaskContext

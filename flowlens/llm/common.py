@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources import shared
+from ..sources.shared import discard, scratch  # noqa: F401
+
 #: Rows above which a lookup table is no longer broadcast but joined by key.
 BROADCAST_ROWS = 100_000
 
@@ -16,31 +16,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see. The cluster's own setting wins; tests get a temporary one."""
-    set_by_cluster = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not set_by_cluster:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="flowlens-"))
-        set_by_cluster = spark.sparkContext.getCheckpointDir()
-    return set_by_cluster.rstrip("/")
-
-
 #: Rows that pass between the JVM and a Python worker at a time while materialize() runs, which bounds both sides' buffers.
 ARROW_ROWS = "2000"
 
 
-def materialize(df: DataFrame) -> DataFrame:
-    """Write to a table in the shared folder and read it back, which cuts lineage and survives lost executors."""
+def materialize(df: DataFrame, lasting: bool = False) -> DataFrame:
+    """A table in the shared folder (see sources.shared): inside scratch() it goes with the block, a lasting one with the block around it."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tables/{uuid.uuid4().hex}"
     setting = "spark.sql.execution.arrow.maxRecordsPerBatch"
     before = spark.conf.get(setting)
     spark.conf.set(setting, ARROW_ROWS)
     try:
-        df.write.parquet(path)
+        return shared.materialize(df, lasting)
     finally:
         spark.conf.set(setting, before)
-    return spark.read.schema(df.schema).parquet(path)
 
 
 def join_lookup(df: DataFrame, lookup: DataFrame, on, how: str = "left") -> DataFrame:
@@ -58,9 +47,3 @@ def slices(batches, rows: int = 512):
     for b in batches:
         for k in range(0, b.num_rows, rows):
             yield b.slice(k, rows)
-
-
-def drop_tables(spark: SparkSession) -> None:
-    """Delete the tables that materialize() wrote, once results that read them are stored."""
-    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/tables")
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

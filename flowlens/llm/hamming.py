@@ -15,11 +15,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, n_partitions, scratch, table
 
 BITS = 64
-#: Codes in a cell at most, query codes in a cell at most, and query blocks at least (for parallelism on small inputs).
-CELL_CODES, CELL_QUERIES, LEAST_BLOCKS = 1_000_000, 100_000, 16
+#: Codes of a shard at most and at least (smaller tables have fewer shards than tasks), and query codes that meet a shard at a time.
+CELL_CODES, LEAST_CODES, CELL_QUERIES = 1_000_000, 2_000, 100_000
 
 
 def sign_code(vector: Column, bits: int = BITS) -> Column:
@@ -88,37 +88,40 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
     """(query_id, rank, neighbour_id, distance) of the k rows nearest to every query row by (distance, id), itself left out.
 
     rows, queries: (id, code). Codes are made distinct first with their k + 1 smallest ids, so a code that a third of all rows share
-    is one entry. Cells of at most CELL_CODES codes by CELL_QUERIES query codes are searched apart and their answers merged. Null
-    codes or ids are left out; fewer than k other rows give fewer results; repeated rows count once.
+    is one entry. Codes are dealt to shards by hash, each code to one; a shard builds its tables once for up to CELL_QUERIES query
+    codes, which go to all shards, and the shards' answers are merged. Null codes or ids are left out; fewer than k other rows give
+    fewer results; repeated rows count once; an empty table gives an empty result.
     """
     spark = rows.sparkSession
-    by_code = Window.partitionBy("code").orderBy("id")
-    clean = rows.where("code is not null and id is not null").select("id", "code").distinct()
-    least = clean.withColumn("_r", F.row_number().over(by_code)).where(F.col("_r") <= k + 1)
-    codes = materialize(least.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")))
-    asked = materialize(queries.where("code is not null and id is not null").select("id", "code").distinct())
-    ask_codes = materialize(asked.select("code").distinct())
-    shards = max(1, -(-codes.count() // CELL_CODES))
-    blocks = max(LEAST_BLOCKS, -(-ask_codes.count() // CELL_QUERIES))
-    shard, block = F.pmod(F.xxhash64("code"), F.lit(shards)), F.pmod(F.xxhash64("code", F.lit(7)), F.lit(blocks))
-    left = codes.withColumns({"shard": shard, "block": F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<long>"))})
-    right = ask_codes.withColumns({"block": block, "shard": F.explode(F.sequence(F.lit(0), F.lit(shards - 1)).cast("array<long>"))})
-
-    def cell(index: pa.Table, ask: pa.Table) -> pa.Table:
-        out = []
-        if index.num_rows and ask.num_rows:
-            code = index.column("code").to_numpy().astype(np.int64).view(np.uint64)
-            ids = index.column("ids").to_pylist()
-            mi = MultiIndex(code, np.array([len(i) for i in ids]))
-            for q in ask.column("code").to_pylist():
-                u = q & (1 << 64) - 1
-                found = sorted((int(np.bitwise_count(code[p] ^ np.uint64(u))), i) for p in mi.search(u, k + 1).tolist() for i in ids[p])[: k + 1]
-                out += [(q, i, d) for d, i in found]
-        cols = list(zip(*out)) or [(), (), ()]
-        return pa.table({"code": pa.array(cols[0], pa.int64()), "neighbour_id": pa.array(cols[1], pa.int64()), "distance": pa.array(cols[2], pa.int32())})
-
-    found = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(cell, "code long, neighbour_id long, distance int")
-    found = materialize(found)
+    with scratch(spark):
+        by_code = Window.partitionBy("code").orderBy("id")
+        clean = rows.where("code is not null and id is not null").select("id", "code").distinct()
+        least = clean.withColumn("_r", F.row_number().over(by_code)).where(F.col("_r") <= k + 1)
+        codes = materialize(least.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")))
+        asked = materialize(queries.where("code is not null and id is not null").select("id", "code").distinct(), lasting=True)
+        ask_codes = materialize(asked.select("code").distinct())
+        n = codes.count()
+        shards = max(1, -(-n // CELL_CODES), min(n_partitions(spark), n // LEAST_CODES))
+        blocks = max(1, -(-ask_codes.count() // CELL_QUERIES))
+        shard, block = F.pmod(F.xxhash64("code"), F.lit(shards)), F.pmod(F.xxhash64("code", F.lit(7)), F.lit(blocks))
+        left = codes.withColumns({"shard": shard, "block": F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<long>"))})
+        right = ask_codes.withColumns({"block": block, "shard": F.explode(F.sequence(F.lit(0), F.lit(shards - 1)).cast("array<long>"))})
+
+        def cell(index: pa.Table, ask: pa.Table) -> pa.Table:
+            out = []
+            if index.num_rows and ask.num_rows:
+                code = index.column("code").to_numpy().astype(np.int64).view(np.uint64)
+                ids = index.column("ids").to_pylist()
+                mi = MultiIndex(code, np.array([len(i) for i in ids]))
+                for q in ask.column("code").to_pylist():
+                    u = q & (1 << 64) - 1
+                    found = sorted((int(np.bitwise_count(code[p] ^ np.uint64(u))), i) for p in mi.search(u, k + 1).tolist() for i in ids[p])[: k + 1]
+                    out += [(q, i, d) for d, i in found]
+            cols = list(zip(*out)) or [(), (), ()]
+            return pa.table({"code": pa.array(cols[0], pa.int64()), "neighbour_id": pa.array(cols[1], pa.int64()), "distance": pa.array(cols[2], pa.int32())})
+
+        found = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(cell, "code long, neighbour_id long, distance int")
+        found = materialize(found, lasting=True)
     best = Window.partitionBy("query_id").orderBy("distance", "neighbour_id")
     pairs = asked.withColumnRenamed("id", "query_id").join(found, "code").where("query_id <> neighbour_id")
     return pairs.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "neighbour_id", "distance")

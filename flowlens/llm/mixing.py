@@ -12,7 +12,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import join_lookup, materialize, table
+from .common import join_lookup, materialize, scratch, table
 
 WEIGHTS = (3, 1, 2)
 SHARE = 1.5
@@ -37,7 +37,8 @@ def targets(totals: DataFrame, weights: Sequence[int] = WEIGHTS, share: float =
     """(source, source_size, target) from one row per source. Sources are dealt the weights in code-point order, null last.
 
     Water-filling in closed form: in order of cap/weight, sources before the first one that stays below its cap keep their caps
-    and the rest divide what is left by weight. One row per source, so the global windows run over source names, never documents.
+    and the rest divide what is left by weight. Code-point order and the level are properties of all sources together, so the global
+    windows run in one task, over one row of some 50 bytes a source: a million sources, far beyond any mix, are 50 MB there.
     """
     order = Window.orderBy(F.col("source").isNull(), F.col("source").cast("binary"))
     every = Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
@@ -63,36 +64,37 @@ def source_plan(d: DataFrame, weights: Sequence[int] = WEIGHTS, share: float = S
     A document of the source is taken _full times and once more if its key is below _threshold, which is all that a row's decision
     needs. Joined by source, so repeated ids, or ids that several sources hold, are decided row by row.
     """
-    goal = materialize(targets(d.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, max_epochs))
-    full = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0))
-    full = F.least(full, F.lit(max_epochs))
-    # open: the key prefix in which the budget ends and the words still to be taken in it
-    bound = goal.select(_key().alias("_s"), F.lit(0).cast("long").alias("_prefix"), (F.col("target") - full * F.col("source_size")).alias("_left"))
-    rows = d.select(_key().alias("_s"), "_h", "size")
-    for shift in range(KEY_BITS - DIGIT_BITS, -1, -DIGIT_BITS):
-        inside = join_lookup(rows, bound, "_s", "inner").where(F.shiftright("_h", shift + DIGIT_BITS) == F.col("_prefix"))
-        digit = F.shiftright("_h", shift).bitwiseAND((1 << DIGIT_BITS) - 1)
-        hist = inside.groupBy("_s", digit.alias("_d")).agg(F.sum("size").alias("_n"))
-        before = Window.partitionBy("_s").orderBy("_d").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-        ends = materialize(hist.withColumn("_cum", F.sum("_n").over(before)))
-        # the first bucket that does not fit whole; past the last one when all fit
-        cut = join_lookup(ends, bound, "_s", "inner").groupBy("_s", "_prefix", "_left").agg(
-            F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_d"))).alias("_cut"),
-            F.coalesce(F.max(F.when(F.col("_cum") <= F.col("_left"), F.col("_cum"))), F.lit(0)).alias("_fits"),
-            F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_cum"))).alias("_over"))
-        bound = materialize(cut.select(
-            "_s", (F.shiftleft("_prefix", DIGIT_BITS) + F.coalesce("_cut", F.lit(1 << DIGIT_BITS))).alias("_prefix"),
-            (F.col("_left") - F.col("_fits")).alias("_left"),
-            (F.col("_over") - F.col("_fits")).alias("_last")))
-        open_ = bound.where("_last is not null")
-        closed = bound.where("_last is null").select("_s", F.shiftleft("_prefix", shift).alias("_threshold"))
-        done = closed if shift == KEY_BITS - DIGIT_BITS else done.unionByName(closed)
-        if shift == 0:  # the last bucket is one key: taken if that ends nearer to the budget
-            nearer = F.col("_last") - F.col("_left") < F.col("_left")
-            done = done.unionByName(open_.select("_s", (F.col("_prefix") + nearer.cast("long")).alias("_threshold")))
-        bound = open_.select("_s", "_prefix", "_left")
-    per = goal.withColumns({"_s": _key(), "_full": full.cast("long")}).drop("source").join(done, "_s", "left")
-    return materialize(per.withColumn("_threshold", F.coalesce("_threshold", F.lit(0).cast("long"))))
+    with scratch(d.sparkSession):
+        goal = materialize(targets(d.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, max_epochs))
+        full = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0))
+        full = F.least(full, F.lit(max_epochs))
+        # open: the key prefix in which the budget ends and the words still to be taken in it
+        bound = goal.select(_key().alias("_s"), F.lit(0).cast("long").alias("_prefix"), (F.col("target") - full * F.col("source_size")).alias("_left"))
+        rows = d.select(_key().alias("_s"), "_h", "size")
+        for shift in range(KEY_BITS - DIGIT_BITS, -1, -DIGIT_BITS):
+            inside = join_lookup(rows, bound, "_s", "inner").where(F.shiftright("_h", shift + DIGIT_BITS) == F.col("_prefix"))
+            digit = F.shiftright("_h", shift).bitwiseAND((1 << DIGIT_BITS) - 1)
+            hist = inside.groupBy("_s", digit.alias("_d")).agg(F.sum("size").alias("_n"))
+            before = Window.partitionBy("_s").orderBy("_d").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+            ends = materialize(hist.withColumn("_cum", F.sum("_n").over(before)))
+            # the first bucket that does not fit whole; past the last one when all fit
+            cut = join_lookup(ends, bound, "_s", "inner").groupBy("_s", "_prefix", "_left").agg(
+                F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_d"))).alias("_cut"),
+                F.coalesce(F.max(F.when(F.col("_cum") <= F.col("_left"), F.col("_cum"))), F.lit(0)).alias("_fits"),
+                F.min(F.when(F.col("_cum") > F.col("_left"), F.col("_cum"))).alias("_over"))
+            bound = materialize(cut.select(
+                "_s", (F.shiftleft("_prefix", DIGIT_BITS) + F.coalesce("_cut", F.lit(1 << DIGIT_BITS))).alias("_prefix"),
+                (F.col("_left") - F.col("_fits")).alias("_left"),
+                (F.col("_over") - F.col("_fits")).alias("_last")))
+            open_ = bound.where("_last is not null")
+            closed = bound.where("_last is null").select("_s", F.shiftleft("_prefix", shift).alias("_threshold"))
+            done = closed if shift == KEY_BITS - DIGIT_BITS else done.unionByName(closed)
+            if shift == 0:  # the last bucket is one key: taken if that ends nearer to the budget
+                nearer = F.col("_last") - F.col("_left") < F.col("_left")
+                done = done.unionByName(open_.select("_s", (F.col("_prefix") + nearer.cast("long")).alias("_threshold")))
+            bound = open_.select("_s", "_prefix", "_left")
+        per = goal.withColumns({"_s": _key(), "_full": full.cast("long")}).drop("source").join(done, "_s", "left")
+        return materialize(per.withColumn("_threshold", F.coalesce("_threshold", F.lit(0).cast("long"))), lasting=True)
 
 
 def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
@@ -127,7 +129,9 @@ def mixed_documents(docs: DataFrame, weights: Sequence[int] = WEIGHTS, share: fl
 
     Every row decides for itself from its key and its source's plan, so texts are neither shuffled nor joined by document.
     """
-    plan = source_plan(sized(docs, id_col, text_col, source_col), weights, share, max_epochs).select("_s", F.struct("_full", "_threshold").alias(PLAN)).withColumnRenamed("_s", TIMES)
+    with scratch(docs.sparkSession):
+        per = source_plan(sized(docs, id_col, text_col, source_col), weights, share, max_epochs)
+        plan = materialize(per.select(F.col("_s").alias(TIMES), F.struct("_full", "_threshold").alias(PLAN)), lasting=True)
     keyed = docs.withColumn(TIMES, F.struct(F.col(source_col).isNull().alias("n"), F.coalesce(F.col(source_col).cast("string"), F.lit("")).alias("s")))
     times = epochs_of(mix_key(F.col(id_col)), F.col(f"{PLAN}._full"), F.col(f"{PLAN}._threshold"), max_epochs)
     times = F.when(F.coalesce(F.col(text_col), F.lit("")).rlike(WORD), F.coalesce(times, F.lit(0))).otherwise(F.lit(1)).cast("int")

@@ -13,10 +13,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, n_partitions, slices, table
+from .common import materialize, n_partitions, scratch, slices, table
 from .components import connected_components
 from .shingles import Powers, coefficients, minhash, shingle_set
 
@@ -25,8 +25,8 @@ NUM, DEN = 75, 100
 BANDS, ROWS, BATCH = 32, 4, 16
 #: Probability at most that verification drops a pair at the threshold.
 MISS = 1e-7
-#: Side of the cells in which members of one bucket are compared.
-CELL = 1024
+#: Side of the cells in which members of one bucket are compared, and pairs from which a bucket is regrouped by rare shingles.
+CELL, HOT_PAIRS = 1024, 1 << 26
 
 
 @dataclass(frozen=True)
@@ -139,7 +139,7 @@ def intersection(u: np.ndarray, v: np.ndarray) -> int:
 
 def compare_cell(asks, band, rep, n, comp, ask, sig, p: Params, bounds: list[int]):
     """For every asking member of a cell, (its row, rows that survive the sequential comparison, closest first). Only pairs of different
-    components meet; two minors meet once; a pair that shares several buckets meets in that of its first band."""
+    components meet; two minors meet once; a pair that shares several buckets meets in that of its first band (-1: wherever it is)."""
     at = np.flatnonzero(~asks)
     for i in np.flatnonzero(asks):
         alive = at[(comp[at] != comp[i]) & (~ask[at] | (rep[at] < rep[i])) & (p.den * np.minimum(n[at], n[i]) >= p.num * np.maximum(n[at], n[i]))]
@@ -151,7 +151,7 @@ def compare_cell(asks, band, rep, n, comp, ask, sig, p: Params, bounds: list[int
             agree += (sig[alive, part] == sig[i, part]).sum(1).astype(np.int32)
             ok = agree >= bound
             alive, agree = alive[ok], agree[ok]
-        if len(alive):
+        if len(alive) and band[i] >= 0:
             shared = (sig[alive] == sig[i]).reshape(len(alive), p.bands, p.rows).all(axis=2)
             first = shared.argmax(axis=1) == band[i]
             alive, agree = alive[first], agree[first]
@@ -187,14 +187,55 @@ def cross_links(members: DataFrame, node: DataFrame, docs: DataFrame, p: Params,
     """(a, b) links between members of one bucket whose components differ: enough to join all components that any such pair joins.
     members: (k, i, rep, c) with the bucket, its band, the document and its component.
 
-    In a bucket only the members outside its largest component ask (minors); all members answer. Cells of about CELL minors by CELL
-    members are compared in blocks of signatures, and the members that survive somewhere are compared again with their full sets at
-    hand, so a pair never becomes a row; a minor that has found a component asks no more of its members.
+    In a bucket only the members outside its largest component ask (minors); all members answer. Buckets of up to HOT_PAIRS such pairs
+    are compared as they are. The work in larger ones, unlinked texts that share a band, would grow with their square: their
+    members are regrouped exactly by rare shingles first, and every pair at the threshold meets in one of those groups.
     """
-    parts = n_partitions(members.sparkSession)
+    buckets = open_buckets(members)
+    hot = materialize(members.join(buckets.where(F.col("size") * F.col("minors") > HOT_PAIRS), "k").select("rep", "c").distinct())
+    links = cell_links(members, buckets.where(F.col("size") * F.col("minors") <= HOT_PAIRS), node, docs, p, id_col, text_col)
+    if hot.isEmpty():
+        return links
+    groups = materialize(rare_groups(hot, docs, p, id_col, text_col))
+    return links.unionByName(cell_links(groups, open_buckets(groups), node, docs, p, id_col, text_col))
+
+
+def open_buckets(members: DataFrame) -> DataFrame:
+    """(k, size, major, minors) of the buckets that hold several components."""
     per = members.groupBy("k", "c").agg(F.count("*").alias("m"))
     buckets = per.groupBy("k").agg(F.sum("m").alias("size"), F.max(F.struct("m", "c")).alias("x"), F.count("*").alias("comps")).where("comps > 1")
-    buckets = materialize(buckets.select("k", "size", F.col("x.c").alias("major"), (F.col("size") - F.col("x.m")).alias("minors")))
+    return materialize(buckets.select("k", "size", F.col("x.c").alias("major"), (F.col("size") - F.col("x.m")).alias("minors")))
+
+
+def rare_groups(members: DataFrame, docs: DataFrame, p: Params, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(k, i, rep, c): the members (rep, c) by each of their rarest shingles.
+
+    Shingles are ordered by how many members hold them. Two sets at the threshold share at least num/den of either one's shingles, so
+    they share one of its first n - ceil(n * num / den) + 1. What many members have in common comes last and groups nobody.
+    """
+    held = shingle_sets(docs, members.select(F.col("rep").alias("_id")), id_col, text_col)
+
+    def spread(batches):
+        for b in slices(batches, 64):
+            sets = [np.frombuffer(s, np.int64) for s in b.column(1).to_pylist()]
+            for rep, s in zip(b.column(0).to_pylist(), sets):
+                for k in range(0, len(s), 1 << 16):
+                    part = s[k : k + (1 << 16)]
+                    yield pa.record_batch([pa.array(np.full(len(part), rep, np.int64)), pa.array(part), pa.array(np.full(len(part), len(s), np.int64))], ["rep", "s", "n"])
+
+    rows = materialize(held.mapInArrow(spread, "rep long, s long, n long"))
+    often = materialize(rows.groupBy("s").agg(F.count("*").alias("df")).where("df > 1"))
+    # a shingle of one member groups nobody but takes a place in the order
+    ranked = rows.join(often, "s", "left").withColumn("_r", F.row_number().over(Window.partitionBy("rep").orderBy(F.coalesce("df", F.lit(1)), "s")))
+    first = ranked.where((F.col("_r") <= F.col("n") - F.ceil(F.col("n") * p.num / p.den) + 1) & F.col("df").isNotNull())
+    return first.select("rep", F.col("s").alias("k"), F.lit(-1).alias("i")).join(members, "rep").select("k", "i", "rep", "c")
+
+
+def cell_links(members: DataFrame, buckets: DataFrame, node: DataFrame, docs: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame:
+    """The links of cross_links() inside the given buckets. Cells of about CELL minors by CELL members are compared in blocks of
+    signatures, and the members that survive somewhere are compared again with their full sets at hand, so a pair never becomes a
+    row; a minor that has found a component asks no more of its members."""
+    parts = n_partitions(members.sparkSession)
     gt, gq = (F.ceil(F.col(c) / CELL).cast("long") for c in ("size", "minors"))
     open_ = members.join(buckets, "k").withColumns({"gt": gt, "gq": gq, "ask": F.col("c") != F.col("major"), "h": F.xxhash64("rep")})
     spread = lambda g: F.explode(F.sequence(F.lit(0).cast("long"), g - 1))
@@ -251,35 +292,37 @@ def near_duplicates(docs: DataFrame, p: Params = Params(), id_col: str = "doc_id
 
     Links hold where 100 * |intersection| >= 75 * |union| of distinct 5-word shingles. Null, empty and blank texts have no shingles
     and stay alone; texts under five words are one shingle. Rows that repeat an id are one document with the links of all its
-    texts. Rows without an id keep a null component and are kept. A pair at the threshold is missed with probability below
-    (1 - 0.75^4)^32 + 1e-7, about 5e-6.
+    texts. Rows without an id keep a null component and are kept. An empty table gives an empty result. A pair at the threshold is
+    missed with probability below (1 - 0.75^4)^32 + 1e-7, about 5e-6. Sets are sets of 64-bit hashes of shingles, and 128 bits of
+    sums over them say which texts have one set, so two different sets of n shingles are taken for one with odds of 2^-128, and a
+    pair's overlap is off by one with odds of about n^2 / 2^64.
     """
-    sigs = materialize(signatures(docs, p, id_col, text_col))
-    reps = materialize(sigs.where("n_shingles > 0 and doc_id is not null").groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"), F.max("sig").alias("sig")))
-    node = reps.select("rep", "n", "sig")
-    keys = node.select("rep", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * p.rows * i + 1}, {4 * p.rows})")).alias("k")) for i in range(p.bands)])).alias("_b")).select("rep", F.col("_b.i").alias("i"), F.col("_b.k").alias("k"))
-    crowded = materialize(keys.groupBy("k").agg(F.count("*").alias("size"), F.min("rep").alias("leader")).where("size > 1"))
-    member = materialize(keys.join(crowded, "k").select("k", "i", "rep", "leader").distinct())
-
-
-    # every member of a bucket against its leader: one partner for every node first, then pairs still apart
-    star = member.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
-    a = node.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("siga"))
-    b = node.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sigb"))
-    alive = materialize(bayes_filter(star.join(a, "a").join(b, "b"), p))
-    best = alive.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("_x")).select((-F.col("_x.m")).alias("a"), "b")
-    links = materialize(exact_links(best, docs, p, id_col, text_col).select("a", "b"))
-    comps = materialize(connected_components(links, "a", "b"))
-    left = alive.select("a", "b").join(links, ["a", "b"], "left_anti")
-    left = left.join(comps.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(comps.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
-    more = exact_links(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")), docs, p, id_col, text_col).select("a", "b")
-    links = materialize(links.unionByName(more))
-    comps = materialize(connected_components(links, "a", "b"))
-    # then members of one bucket in different components
-    labelled = member.select("k", "i", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("k", "i", "rep", F.coalesce("component", "rep").alias("c"))
-    cross = cross_links(materialize(labelled), node, docs, p, id_col, text_col)
-    comps = materialize(connected_components(links.unionByName(cross), "a", "b"))
-    rep_comp = materialize(reps.select("h1", "h2", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("h1", "h2", F.coalesce("component", "rep").alias("_c")))
+    with scratch(docs.sparkSession):
+        sigs = materialize(signatures(docs, p, id_col, text_col), lasting=True)
+        reps = materialize(sigs.where("n_shingles > 0 and doc_id is not null").groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"), F.max("sig").alias("sig")))
+        node = reps.select("rep", "n", "sig")
+        keys = node.select("rep", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * p.rows * i + 1}, {4 * p.rows})")).alias("k")) for i in range(p.bands)])).alias("_b")).select("rep", F.col("_b.i").alias("i"), F.col("_b.k").alias("k"))
+        crowded = materialize(keys.groupBy("k").agg(F.count("*").alias("size"), F.min("rep").alias("leader")).where("size > 1"))
+        member = materialize(keys.join(crowded, "k").select("k", "i", "rep", "leader").distinct())
+
+        # every member of a bucket against its leader: one partner for every node first, then pairs still apart
+        star = member.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
+        a = node.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("siga"))
+        b = node.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sigb"))
+        alive = materialize(bayes_filter(star.join(a, "a").join(b, "b"), p))
+        best = alive.groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("m"))).alias("_x")).select((-F.col("_x.m")).alias("a"), "b")
+        links = materialize(exact_links(best, docs, p, id_col, text_col).select("a", "b"))
+        comps = materialize(connected_components(links, "a", "b"))
+        left = alive.select("a", "b").join(links, ["a", "b"], "left_anti")
+        left = left.join(comps.select(F.col("node").alias("a"), F.col("component").alias("ca")), "a", "left").join(comps.select(F.col("node").alias("b"), F.col("component").alias("cb")), "b", "left")
+        more = exact_links(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")), docs, p, id_col, text_col).select("a", "b")
+        links = materialize(links.unionByName(more))
+        comps = materialize(connected_components(links, "a", "b"))
+        # then members of one bucket in different components
+        labelled = member.select("k", "i", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("k", "i", "rep", F.coalesce("component", "rep").alias("c"))
+        cross = cross_links(materialize(labelled), node, docs, p, id_col, text_col)
+        comps = materialize(connected_components(links.unionByName(cross), "a", "b"))
+        rep_comp = materialize(reps.select("h1", "h2", "rep").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").select("h1", "h2", F.coalesce("component", "rep").alias("_c")), lasting=True)
     out = sigs.select("doc_id", "n_shingles", "h1", "h2").join(rep_comp, ["h1", "h2"], "left")
     comp = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("_c")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", comp.alias("component_id"), F.coalesce(comp == F.col("doc_id"), F.lit(True)).alias("kept"))

@@ -18,11 +18,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import join_lookup, materialize, n_partitions, slices, table
+from .common import join_lookup, materialize, n_partitions, scratch, slices, table
 from .tokens import default_vocabulary, encoder, split_points
 
 CAP = 2048
 SEPARATOR = 0
+#: Ranks of a length are looked up in blocks of this many bits.
+RANK_BITS = 12
 
 PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -98,7 +100,7 @@ def pack(pieces: DataFrame, cap: int = CAP) -> DataFrame:
     spark = pieces.sparkSession
     # the sort key ends in the piece's own identity, so a length shared by a third of all rows still spreads over partitions
     ranged = pieces.repartitionByRange(n_partitions(spark), F.col("length").desc(), "doc_id", "piece").sortWithinPartitions(F.col("length").desc(), "doc_id", "piece")
-    ranged = materialize(ranged.withColumn("_at", F.monotonically_increasing_id()))
+    ranged = materialize(ranged.withColumn("_at", F.monotonically_increasing_id()), lasting=True)
     part = F.shiftright("_at", 33)
     # at most cap + partitions rows: a length spans neighbouring partitions only
     runs = ranged.groupBy(F.col("length").alias("length"), part.alias("_p")).agg(F.min("_at").alias("_first"), F.count("*").alias("_n")).collect()
@@ -109,11 +111,16 @@ def pack(pieces: DataFrame, cap: int = CAP) -> DataFrame:
         before[r["length"]] += r["_n"]
     base = spark.createDataFrame(bases, "length long, _p long, _shift long")
     plan = spark.createDataFrame(supersteps(dict(before), cap), "length long, _lo long, _hi long, _seq long, _each long, _off long")
+    # a document meets the matched runs of its block of ranks only, by an equi-join
+    blocks = F.sequence(F.shiftright("_lo", RANK_BITS), F.shiftright(F.col("_hi") - 1, RANK_BITS))
+    plan = plan.withColumn("_block", F.explode(blocks))
     ranked = join_lookup(ranged.withColumn("_p", part), base, ["length", "_p"], "inner").withColumn("_rank", F.col("_at") + F.col("_shift"))
-    placed = join_lookup(ranked, plan, "length", "inner").where("_rank >= _lo and _rank < _hi")
+    ranked = ranked.withColumn("_block", F.shiftright("_rank", RANK_BITS))
+    placed = join_lookup(ranked, plan, ["length", "_block"], "inner").where("_rank >= _lo and _rank < _hi")
     i = F.col("_rank") - F.col("_lo")
     return placed.select(*[c for c in pieces.columns], (F.col("_seq") + F.floor(i / F.col("_each"))).alias("sequence_id"), (F.col("_off") + i % F.col("_each") * F.col("length")).alias("offset"))
 
 
 def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(materialize(token_pieces(table(spark, sf_dir, "documents"))))
+    with scratch(spark):
+        return pack(materialize(token_pieces(table(spark, sf_dir, "documents"))))

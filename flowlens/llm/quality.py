@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 from .common import table
 
 DIM = 1 << 17
-#: Training sample: rated documents at most for each grade, and the longest text used for training (scoring uses whole texts).
-SAMPLE_PER_GRADE, SAMPLE_CHARS = 1500, 20_000
+#: Training sample: rated documents at most for each grade. Their whole texts are used, in training and in scoring.
+SAMPLE_PER_GRADE = 1500
 EPOCHS, STEP, L2 = 60, 0.05, 2e-3
 CACHE = 400_000
 
@@ -65,47 +65,62 @@ def fit(texts: list[str], grades: list[int], n_grades: int) -> Cumulative:
     w, raw = np.zeros(DIM), np.concatenate([[-1.0], np.zeros(n_grades - 2)])
     m1, m2 = [np.zeros_like(w), np.zeros_like(raw)], [np.zeros_like(w), np.zeros_like(raw)]
     for step in range(1, EPOCHS + 1):
-        cuts = np.cumsum(np.concatenate([raw[:1], np.exp(raw[1:])]))
         z = np.bincount(row, weights=w[of].sum(1)[col] * value, minlength=len(y))
-        upper = 1 / (1 + np.exp(-np.clip(np.append(cuts, 60.0)[y] - z, -60, 60)))
-        lower = np.where(y > 0, 1 / (1 + np.exp(-np.clip(np.append(-60.0, cuts)[y] - z, -60, 60))), 0.0)
-        upper = np.where(y < n_grades - 1, upper, 1.0)
-        p = np.maximum(upper - lower, 1e-9)
-        du, dl = upper * (1 - upper) / p, lower * (1 - lower) / p
-        gz = weight * (du - dl) / len(y)  # d(-log p)/dz
+        _, gz, gr = loss_and_gradients(z, raw, y, weight)
         per_word = np.bincount(col, weights=gz[row] * value, minlength=len(of))
         gw = L2 * w / len(y)
         for j in range(of.shape[1]):
             gw = gw + np.bincount(of[:, j], weights=per_word, minlength=DIM)
-        gc = np.bincount(np.minimum(y, n_grades - 2), weights=np.where(y < n_grades - 1, -weight * du / len(y), 0), minlength=n_grades - 1)
-        gc = gc + np.bincount(np.maximum(y - 1, 0), weights=np.where(y > 0, weight * dl / len(y), 0), minlength=n_grades - 1)
-        later = np.cumsum(gc[::-1])[::-1]
-        gr = np.concatenate([later[:1], later[1:] * np.exp(raw[1:])])
         for param, g, a, b in ((w, gw, m1[0], m2[0]), (raw, gr, m1[1], m2[1])):
             a += 0.1 * (g - a)
             b += 0.01 * (g * g - b)
             param -= STEP * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.99**step)) + 1e-10)
-    return Cumulative(w.astype(np.float32), np.cumsum(np.concatenate([raw[:1], np.exp(raw[1:])])))
+    return Cumulative(w.astype(np.float32), ordered_cuts(raw))
+
+
+def ordered_cuts(raw: np.ndarray) -> np.ndarray:
+    """A first cut and the logarithms of the steps to the next ones, as increasing cuts."""
+    return np.cumsum(np.concatenate([raw[:1], np.exp(raw[1:])]))
+
+
+def loss_and_gradients(z: np.ndarray, raw: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """Weighted mean of -log P(grade y | z), its gradient by z and by raw (see ordered_cuts)."""
+    top, n, cuts = len(raw), len(y), ordered_cuts(raw)
+    upper = 1 / (1 + np.exp(-np.clip(np.append(cuts, 60.0)[y] - z, -60, 60)))
+    lower = np.where(y > 0, 1 / (1 + np.exp(-np.clip(np.append(-60.0, cuts)[y] - z, -60, 60))), 0.0)
+    upper = np.where(y < top, upper, 1.0)
+    p = np.maximum(upper - lower, 1e-9)
+    du, dl = upper * (1 - upper) / p, lower * (1 - lower) / p
+    by_cut = np.bincount(np.minimum(y, top - 1), weights=np.where(y < top, -weight * du / n, 0), minlength=top)
+    by_cut = by_cut + np.bincount(np.maximum(y - 1, 0), weights=np.where(y > 0, weight * dl / n, 0), minlength=top)
+    later = np.cumsum(by_cut[::-1])[::-1]
+    return float(-(weight * np.log(p)).sum() / n), weight * (du - dl) / n, np.concatenate([later[:1], later[1:] * np.exp(raw[1:])])
 
 
 def grade() -> Column:
-    """0 poor, 1 good but toxic, 2 good: the three graded ratings that the two binary ones give."""
+    """0 poor, 1 good but toxic, 2 good.
+
+    The table rates by two binary columns; what training wants orders their combinations: poor text is of no use whatever its tone,
+    good text that is toxic is of use after its spans are cut, good text as it is. Any other column of whole grades from 0 does as well.
+    """
     return F.when(F.col("quality") == 0, 0).when(F.col("toxic") == 1, 1).otherwise(2)
 
 
 def sample(docs: DataFrame, rated: DataFrame, n_grades: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[list[str], list[int]]:
-    """Texts and grades of at most SAMPLE_PER_GRADE documents a grade, those of least hash. rated: (id, grade)."""
+    """Texts and grades of at most SAMPLE_PER_GRADE documents a grade, those of least hash. rated: (id, grade). Only the
+    number of rows is bounded; null texts and rows without an id teach nothing."""
     parts = [rated.where(F.col("grade") == g).select(F.col(id_col).alias("_id"), "grade").distinct().orderBy(F.xxhash64("_id"), "_id").limit(SAMPLE_PER_GRADE) for g in range(n_grades)]
     ids = parts[0]
     for p in parts[1:]:
         ids = ids.unionByName(p)
-    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_id").where(F.length("_t") <= SAMPLE_CHARS).collect()
+    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_id").where("_t is not null").collect()
     rows = sorted((r["_id"], r["_t"], r["grade"]) for r in rows)
     return [t for _, t, _ in rows], [g for _, _, g in rows]
 
 
 def quality_scores(docs: DataFrame, model: Cumulative, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, expected_grade, tails (P(grade > k) for every k). Whole texts, row by row; null texts count as empty."""
+    """doc_id, expected_grade, tails (P(grade > k) for every k). Whole texts, row by row; null texts count as empty, repeated rows
+    repeat their result, null ids stay null, an empty table gives an empty result."""
     shared = docs.sparkSession.sparkContext.broadcast((model.weights, model.cuts))
 
     def run(batches):

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import join_lookup, materialize, n_partitions, slices, table
+from .common import join_lookup, materialize, n_partitions, scratch, slices, table
 from .shingles import BASE, Powers, mixed
 from .suffix_array import common_prefixes, suffix_array
 
@@ -28,7 +28,7 @@ GROUP_CAP, ARRAY_BYTES = 4096, 1 << 19
 SAMPLE_OF = 64
 BLOCK = 1 << 22
 #: Columns added to documents for a while; no table has such names.
-SPANS, SPANS_ID = "__flowlens_spans", "__flowlens_id"
+SPANS, SPANS_ID, NUM, DIGEST, PLACE = "__flowlens_spans", "__flowlens_id", "__flowlens_num", "__flowlens_md5", "__flowlens_place"
 
 
 def range_hash(total: np.ndarray, up: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -257,7 +257,8 @@ def first_only(rows: DataFrame, by: list[str]) -> tuple[DataFrame, DataFrame]:
 
 
 def removed_ranges(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, group_cap: int = GROUP_CAP, array_bytes: int = ARRAY_BYTES) -> DataFrame:
-    """(doc_id, start, end) byte ranges that earlier equal strings cover; ranges of one document may overlap. docs: (doc_id, text)."""
+    """(doc_id, start, end) byte ranges that earlier equal strings cover; ranges of one document may overlap. docs: (doc_id, text), one
+    row an id."""
     docs = docs.where("doc_id is not null and text is not null")
     parts = n_partitions(docs.sparkSession)
     seen = segments(docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE_OF)) == 0), length, gram).groupBy("ah").agg(F.count("*").alias("_n"))
@@ -341,19 +342,41 @@ def keep_mask(n: int, spans: list[dict] | None) -> tuple[np.ndarray, int]:
     return ~gone, int(np.count_nonzero(np.diff(np.concatenate([[False], gone]).astype(np.int8)) == 1))
 
 
+def documents_of(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(rows with the column NUM, (doc_id, text) with NUM as doc_id and one row a document). NUM orders documents.
+
+    A document is an id with a text: rows that repeat both are one, and further texts of an id are documents after it, in order of
+    the text's MD5 (null as empty). While no id repeats, NUM is the id; else it is the place of (id, MD5) in a range sort. Rows
+    without an id have no NUM.
+    """
+    ids = docs.withColumn(NUM, F.col("doc_id").cast("long"))
+    if ids.where(f"{NUM} is not null").groupBy(NUM).count().where("count > 1").isEmpty():
+        return ids, ids.select(F.col(NUM).alias("doc_id"), "text")
+    keyed = ids.withColumn(DIGEST, F.md5(F.coalesce("text", F.lit("")).cast("binary")))
+    names = keyed.where(f"{NUM} is not null").select(F.col(NUM).alias(SPANS_ID), F.col(DIGEST).alias(SPANS)).distinct()
+    names = names.repartitionByRange(n_partitions(docs.sparkSession), SPANS_ID, SPANS).sortWithinPartitions(SPANS_ID, SPANS)
+    names = materialize(names.withColumn(PLACE, F.monotonically_increasing_id()))
+    placed = keyed.join(names, (keyed[NUM] == names[SPANS_ID]) & (keyed[DIGEST] == names[SPANS]), "left").drop(NUM, DIGEST, SPANS_ID, SPANS)
+    placed = materialize(placed.withColumnRenamed(PLACE, NUM), lasting=True)
+    once = placed.where(f"{NUM} is not null").groupBy(F.col(NUM).alias("doc_id")).agg(F.first("text").alias("text"))
+    return placed, materialize(once)
+
+
 def with_ranges(docs: DataFrame, length: int, gram: int, group_cap: int = GROUP_CAP) -> DataFrame:
-    """Rows with the column SPANS: their documents' removed ranges, joined in by doc_id."""
-    bare = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    ranges = removed_ranges(bare, length, gram, group_cap)
-    spans = materialize(ranges.groupBy(F.col("doc_id").alias(SPANS_ID)).agg(F.collect_set(F.struct("start", "end")).alias(SPANS)))
-    return docs.join(spans, docs["doc_id"] == spans[SPANS_ID], "left").drop(SPANS_ID)
+    """Rows with the column SPANS: their documents' removed ranges."""
+    with scratch(docs.sparkSession):
+        rows, once = documents_of(docs)
+        ranges = removed_ranges(once, length, gram, group_cap)
+        spans = materialize(ranges.groupBy(F.col("doc_id").alias(SPANS_ID)).agg(F.collect_set(F.struct("start", "end")).alias(SPANS)), lasting=True)
+    return rows.join(spans, rows[NUM] == spans[SPANS_ID], "left").drop(SPANS_ID, NUM)
 
 
 def dedup_digest(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, group_cap: int = GROUP_CAP) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document row.
 
-    Strings are judged on the input; matches never cross documents; null texts are empty; rows that repeat an id must repeat its
-    text, count as one document and get one result each; rows without an id are left whole.
+    Strings are judged on the input; matches never cross documents; null texts are empty. Rows that repeat an id and its text are one
+    document and get one result each; several texts of one id are documents that follow one another in order of their MD5. Rows
+    without an id are left whole; an empty table gives an empty result.
     """
 
     def run(batches):

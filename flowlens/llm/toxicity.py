@@ -18,21 +18,27 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import slices, table
 
 WORD = re.compile(r"\w+")
-#: Training sample: rated documents at most for each rating, and the longest text used for training (scoring uses whole texts).
-SAMPLE_TOXIC, SAMPLE_CLEAN, SAMPLE_CHARS = 1500, 3000, 20_000
+#: Training sample: rated documents at most for each rating. Their whole texts are used, in training and in scoring.
+SAMPLE_TOXIC, SAMPLE_CLEAN = 1500, 3000
 DIM = 1 << 17
 #: Likelihood-ratio bound and share of toxic documents from which a feature tags tokens.
 MIN_G, MIN_PURITY = 30.0, 0.97
-EPOCHS, STEP, L2 = 60, 0.1, 1.0
-#: Long texts are scored in windows of CORE tokens with HALO tokens of context on either side, over which a chain forgets its start.
-CORE, HALO = 256, 48
+#: Passes over the sample, windows a step, and the optimiser's step and penalty.
+EPOCHS, LOT, STEP, L2 = 10, 128, 0.1, 1.0
+#: Tokens of a training window and of a block of the scan over long texts.
+CORE = 256
 THRESHOLD = 0.7
 CACHE = 400_000
 
 
+def lowered(text: str | None) -> str:
+    """Lower case, character by character, so that offsets stay those of the text (U+0130 alone would become two)."""
+    return (text or "").replace("\u0130", "I").lower()
+
+
 def features(word: str) -> list[str]:
     return ["w" + word, "3" + word[:3], "4" + word[:4], "5" + word[:5], "e" + word[-3:]]
 
@@ -80,43 +86,95 @@ def forward_backward(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: f
     return np.where(mask, post[:, :, 1].T, 0.0), moves, logz
 
 
-def windows(lengths: list[int]) -> list[tuple[int, int, int, int]]:
-    """(document, first core token, window start, window end) of all windows."""
-    return [(d, c, max(0, c - HALO), min(n, c + CORE + HALO)) for d, n in enumerate(lengths) for c in range(0, n, CORE)]
+def block_products(e: np.ndarray, mask: np.ndarray, pair: np.ndarray) -> np.ndarray:
+    """For every row of emission factors, the 2 x 2 product over its tokens of (transition into the token, its emission), up to a factor."""
+    a = np.exp(pair)
+    n, length = e.shape
+    p = np.tile(np.eye(2), (n, 1, 1))
+    for t in range(length):
+        nxt = p @ a
+        nxt[:, :, 1] *= e[:, t, None]
+        nxt /= nxt.max(axis=(1, 2), keepdims=True)
+        live = mask[:, t]
+        p = nxt if live.all() else np.where(live[:, None, None], nxt, p)
+    return p
 
 
 def marginals(scores: list[np.ndarray], pair: np.ndarray, start: float) -> list[np.ndarray]:
-    """Toxic-tag marginals of every token. Windows of similar length go together, so memory is bounded by the window size."""
+    """Toxic-tag marginals of every token, each text as one chain whatever its length.
+
+    Texts are cut into blocks of CORE tokens, and lots of blocks go through vector operations together. The chain crosses block
+    borders exactly: a scan over the blocks' transition products gives the odds of the tag before every block and what all later
+    blocks say about its last tag.
+    """
     out = [np.zeros(len(s)) for s in scores]
-    todo = sorted(windows([len(s) for s in scores]), key=lambda w: w[3] - w[2])
-    for k in range(0, len(todo), 1024):
-        part = todo[k : k + 1024]
-        width = max(b - a for _, _, a, b in part)
-        s, mask = np.zeros((len(part), width)), np.zeros((len(part), width), bool)
-        for i, (d, _, a, b) in enumerate(part):
-            s[i, : b - a], mask[i, : b - a] = scores[d][a:b], True
-        m = quick_marginals(s, mask, pair, start)
-        for i, (d, c, a, b) in enumerate(part):
-            end = min(c + CORE, len(scores[d]))
-            out[d][c:end] = m[i, c - a : end - a]
+    blocks = [(d, c, min(c + CORE, len(s))) for d, s in enumerate(scores) for c in range(0, len(s), CORE)]
+    at = {(d, c): k for k, (d, c, _) in enumerate(blocks)}
+    # the odds of a toxic tag before the block (None: the text starts here) and the tag's likelihood ratio after it
+    before, after = np.full(len(blocks), np.nan), np.ones(len(blocks))
+
+    def lots(which):
+        which = sorted(which, key=lambda k: blocks[k][2] - blocks[k][1])
+        for i in range(0, len(which), 1024):
+            part = which[i : i + 1024]
+            width = max(blocks[k][2] - blocks[k][1] for k in part)
+            s, mask = np.zeros((len(part), width)), np.zeros((len(part), width), bool)
+            for r, k in enumerate(part):
+                d, lo, hi = blocks[k]
+                s[r, : hi - lo], mask[r, : hi - lo] = scores[d][lo:hi], True
+            yield part, s, mask
+
+    long = [d for d, s in enumerate(scores) if len(s) > CORE]
+    if long:
+        product = np.empty((len(blocks), 2, 2))
+        rest = [at[d, c] for d in long for c in range(CORE, len(scores[d]), CORE)]
+        for part, s, mask in lots(rest):
+            product[part] = block_products(np.exp(np.clip(s, -30, 30)), mask, pair)
+        first = [at[d, 0] for d in long]
+        for part, s, mask in lots(first):
+            before[[k + 1 for k in part]] = odds_forward(np.ascontiguousarray(np.exp(np.clip(s, -30, 30)).T), pair, np.full(len(part), math.exp(start)), True)[-1]
+        for d in long:
+            ks = [at[d, c] for c in range(0, len(scores[d]), CORE)]
+            for k in ks[1:-1]:  # row vector (1, odds) times the block's product
+                p, o = product[k], before[k]
+                before[k + 1] = (p[0, 1] + o * p[1, 1]) / (p[0, 0] + o * p[1, 0])
+            for k in reversed(ks[1:]):  # the block's product times column vector (1, ratio)
+                p, r = product[k], after[k]
+                after[k - 1] = (p[1, 0] + p[1, 1] * r) / (p[0, 0] + p[0, 1] * r)
+    for part, s, mask in lots(range(len(blocks))):
+        m = quick_marginals(s, mask, pair, start, before[part], after[part])
+        for r, k in enumerate(part):
+            d, lo, hi = blocks[k]
+            out[d][lo:hi] = m[r, : hi - lo]
     return out
 
 
-def quick_marginals(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: float) -> np.ndarray:
-    """The marginals of forward_backward() alone, in odds form, which needs a few vector operations a token."""
+def odds_forward(e: np.ndarray, pair: np.ndarray, cur: np.ndarray, at_start: bool | np.ndarray) -> np.ndarray:
+    """Odds of the toxic tag given the tokens so far, (tokens, rows); cur: odds before a row's first token, or its prior at a start."""
     (oo, ot), (to, tt) = np.exp(pair)
-    n, length = s.shape
-    e = np.ascontiguousarray(np.exp(np.clip(s, -30, 30)).T)
-    f = np.empty((length, n))
-    cur = np.full(n, math.exp(start)) * e[0]
+    f = np.empty_like(e)
+    cur = np.where(at_start, cur, (ot + cur * tt) / (oo + cur * to)) * e[0]
     f[0] = cur
-    for t in range(1, length):
+    for t in range(1, len(e)):
         cur = (ot + cur * tt) / (oo + cur * to) * e[t]
         f[t] = cur
-    back, live = np.ones(n), mask.T
+    return f
+
+
+def quick_marginals(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: float, before: np.ndarray | None = None, after: np.ndarray | None = None) -> np.ndarray:
+    """The marginals of forward_backward() alone, in odds form, which needs a few vector operations a token. before: odds of the tag
+    before each row (nan where a text starts); after: what later tokens say about a row's last tag, as a likelihood ratio."""
+    (oo, ot), (to, tt) = np.exp(pair)
+    n, length = s.shape
+    e = np.ascontiguousarray(np.exp(np.clip(s, -30, 30)).T)
+    starts = np.ones(n, bool) if before is None else np.isnan(before)
+    f = odds_forward(e, pair, np.full(n, math.exp(start)) if before is None else np.where(starts, math.exp(start), before), starts)
+    end = np.ones(n) if after is None else after
+    back, live = end, mask.T
+    f[length - 1] *= back
     for t in range(length - 2, -1, -1):
         x = back * e[t + 1]
-        back = np.where(live[t + 1], (to + tt * x) / (oo + ot * x), 1.0)
+        back = np.where(live[t + 1], (to + tt * x) / (oo + ot * x), end)
         f[t] *= back
     return (f / (1 + f)).T
 
@@ -164,7 +222,7 @@ def weak_tags(words: list[list[str]], toxic: list[int]) -> set[str]:
 def fit(texts: list[str], toxic: list[int]) -> Field:
     """Maximum-likelihood weights with an L2 penalty by Adam on whole sequences, in a fixed order: equal inputs give equal fields."""
     one: dict[str, str] = {}  # one string a word
-    words = [[one.setdefault(w, w) for w in WORD.findall((t or "").lower())] for t in texts]
+    words = [[one.setdefault(w, w) for w in WORD.findall(lowered(t))] for t in texts]
     none = Field(np.zeros(DIM, np.float32), np.zeros((2, 2)), 0.0, (-6.0, 0.0, 0.0))
     if not sum(toxic) or sum(toxic) == len(toxic):
         return none
@@ -185,16 +243,17 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
     m1, m2 = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
     order = sorted(range(len(seq)), key=lambda i: (len(seq[i]), i))
     batches = []
-    for k in range(0, len(order), 512):
-        ids = order[k : k + 512]
+    for k in range(0, len(order), LOT):
+        ids = order[k : k + LOT]
         width = max(len(seq[i]) for i in ids)
         x, mask, g = np.zeros((len(ids), width), np.int64), np.zeros((len(ids), width), bool), np.zeros((len(ids), width))
         for r, i in enumerate(ids):
             x[r, : len(seq[i])], mask[r, : len(seq[i])], g[r, : len(seq[i])] = seq[i], True, gold[i]
         batches.append((x, mask, g))
     step = 0
-    for _ in range(max(1, EPOCHS // max(1, len(batches)))):
-        for x, mask, g in batches:
+    turns = np.random.default_rng(1)
+    for _ in range(EPOCHS):
+        for x, mask, g in (batches[k] for k in turns.permutation(len(batches))):
             step += 1
             word_score = params[0][of].sum(1)
             s = np.where(mask, word_score[x], 0.0)
@@ -256,11 +315,12 @@ def held_out(doc_id: Column) -> Column:
 
 
 def sample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[list[str], list[int]]:
-    """Texts and ratings to learn from: by rating the ids of least hash, at most SAMPLE_TOXIC and SAMPLE_CLEAN, never held-out ones."""
+    """Whole texts and ratings to learn from: by rating the ids of least hash, at most SAMPLE_TOXIC and SAMPLE_CLEAN, never held-out
+    ones. Only the number of rows is bounded, so what the driver holds grows with the sampled texts' length alone."""
     rated = labels.where(F.col("toxic").isNotNull() & F.col(id_col).isNotNull() & ~held_out(F.col(id_col))).select(F.col(id_col).alias("_id"), F.col("toxic").cast("int").alias("_y")).distinct()
     part = lambda y, n: rated.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(n)
     ids = part(1, SAMPLE_TOXIC).unionByName(part(0, SAMPLE_CLEAN))
-    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_id").where(F.length("_t") <= SAMPLE_CHARS).collect()
+    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_id").where("_t is not null").collect()
     rows = sorted((r["_id"], r["_t"], r["_y"]) for r in rows)
     return [t for _, t, _ in rows], [y for _, _, y in rows]
 
@@ -268,44 +328,71 @@ def sample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 SCORE_SCHEMA = "doc_id long, score double, expected_toxic_tokens double, spans array<struct<start:int,end:int,marginal:double>>"
 
 
+def scorer(shared):
+    """texts -> (score, marginals) of each, lower-cased texts beside them; for use in a task."""
+    field, cache = Field(*shared.value), {}
+    b0, b1, b2 = field.link
+
+    def score(texts: list[str | None]) -> tuple[list[float], list[np.ndarray], list[str]]:
+        low = [lowered(t) for t in texts]
+        m = marginals([score_words(field, WORD.findall(t), cache) for t in low], field.pair, field.start)
+        odds = [summary(p) for p in m]
+        return [1 / (1 + math.exp(-max(-30.0, min(30.0, b0 + b1 * top + b2 * mass)))) for top, mass in odds], m, low
+
+    return score
+
+
+def share(docs: DataFrame, field: Field):
+    """The field on every executor: DIM floats, whatever the data."""
+    return docs.sparkSession.sparkContext.broadcast((field.weights, field.pair, field.start, field.link))
+
+
+def spans_of(text: str, p: np.ndarray) -> list[dict]:
+    """Runs of tokens with marginal >= 0.5 as character offsets."""
+    runs, last = [], -2
+    if len(p) and p.max() >= 0.5:
+        for i, w in enumerate(WORD.finditer(text)):
+            if p[i] >= 0.5:
+                if last == i - 1:
+                    runs[-1] = {"start": runs[-1]["start"], "end": w.end(), "marginal": max(runs[-1]["marginal"], float(p[i]))}
+                else:
+                    runs.append({"start": w.start(), "end": w.end(), "marginal": float(p[i])})
+                last = i
+    return runs
+
+
 def toxicity_scores(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, score in 0..1, expected toxic tokens, and spans (character offsets of runs of tokens with marginal >= 0.5).
 
-    Whole texts, row by row; null and empty texts have no tokens and get the field's base score. Repeated rows repeat their result.
+    Whole texts, row by row, offsets in the text as given; null and empty texts have no tokens and get the field's base score.
+    Repeated rows repeat their result, null ids stay null, an empty table gives an empty result.
     """
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast((field.weights, field.pair, field.start, field.link))  # DIM floats, whatever the data
+    shared = share(docs, field)
     span_type = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("marginal", pa.float64())]))
 
     def run(batches):
-        field, cache = Field(*shared.value), {}
-        b0, b1, b2 = field.link
-        for batch in batches:
-            for k in range(0, batch.num_rows, 500):
-                part = batch.slice(k, 500)
-                texts = [(t or "").lower() for t in part.column(1).to_pylist()]
-                m = marginals([score_words(field, WORD.findall(t), cache) for t in texts], field.pair, field.start)
-                scores, sums, spans = [], [], []
-                for t, p in zip(texts, m):
-                    odds, mass = summary(p)
-                    scores.append(1 / (1 + math.exp(-max(-30.0, min(30.0, b0 + b1 * odds + b2 * mass)))))
-                    sums.append(float(p.sum()))
-                    runs = []
-                    if len(p) and p.max() >= 0.5:
-                        last = -2
-                        for i, w in enumerate(WORD.finditer(t)):
-                            if p[i] >= 0.5:
-                                if last == i - 1:
-                                    runs[-1] = {"start": runs[-1]["start"], "end": w.end(), "marginal": max(runs[-1]["marginal"], float(p[i]))}
-                                else:
-                                    runs.append({"start": w.start(), "end": w.end(), "marginal": float(p[i])})
-                                last = i
-                    spans.append(runs)
-                yield pa.record_batch([part.column(0), pa.array(scores, pa.float64()), pa.array(sums, pa.float64()), pa.array(spans, span_type)], ["doc_id", "score", "expected_toxic_tokens", "spans"])
+        score = scorer(shared)
+        for part in slices(batches, 500):
+            scores, m, texts = score(part.column(1).to_pylist())
+            spans = [spans_of(t, p) for t, p in zip(texts, m)]
+            yield pa.record_batch([part.column(0), pa.array(scores, pa.float64()), pa.array([float(p.sum()) for p in m], pa.float64()), pa.array(spans, span_type)], ["doc_id", "score", "expected_toxic_tokens", "spans"])
 
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, SCORE_SCHEMA)
 
 
+def without_toxic(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
+    """The rows, with all their columns, whose text scores under the threshold. Each row decides for itself, so nothing is joined or shuffled."""
+    shared = share(docs, field)
+
+    def run(batches):
+        score = scorer(shared)
+        for part in slices(batches, 500):
+            scores, _, _ = score(part.column(part.schema.get_field_index(text_col)).to_pylist())
+            yield part.filter(pa.array([s < threshold for s in scores], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def trained(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> Field:
     return fit(*sample(docs, labels))
 
@@ -313,4 +400,4 @@ def trained(spark: SparkSession, docs: DataFrame, labels: DataFrame) -> Field:
 def op10_toxic_span_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     out = toxicity_scores(docs, trained(spark, docs, table(spark, sf_dir, "labels")))
-    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"), F.size("spans").alias("n_spans"))
+    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"), F.size("spans").alias("n_spans"), "spans")

@@ -11,7 +11,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, scratch, table
 from .components import connected_components
 
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
@@ -89,11 +89,12 @@ def url_verdicts(pages: DataFrame, edges: DataFrame, rules: Sequence[tuple[str,
     judged = seen.withColumns({"host": host, "path": path})
     rule, verdict = rule_columns(F.col("host"), F.col("path"), rules)
     judged = judged.withColumns({"rule": rule, "_own": verdict})
-    classes = materialize(connected_components(edges))
-    r, v = rule_columns(host_of(F.col("node")), path_of(F.col("node")), rules)
-    bad = materialize(classes.withColumn("_v", v).where("_v = 'block'").select("component").distinct().withColumn("_blocked", F.lit(True)))
-    alias = classes.join(bad, "component", "left").select(F.col("node").alias("_url"), F.col("component").alias("alias_class"), F.coalesce("_blocked", F.lit(False)).alias("_blocked"))
-    alias = materialize(alias)
+    with scratch(pages.sparkSession):
+        classes = materialize(connected_components(edges))
+        r, v = rule_columns(host_of(F.col("node")), path_of(F.col("node")), rules)
+        bad = materialize(classes.withColumn("_v", v).where("_v = 'block'").select("component").distinct().withColumn("_blocked", F.lit(True)))
+        alias = classes.join(bad, "component", "left").select(F.col("node").alias("_url"), F.col("component").alias("alias_class"), F.coalesce("_blocked", F.lit(False)).alias("_blocked"))
+        alias = materialize(alias, lasting=True)
     out = judged.join(alias, "_url", "left")
     final = F.coalesce("_own", F.when(F.col("_blocked"), F.lit("block")), F.lit(default))
     return out.select(id_col, "host", "path", "rule", final.alias("verdict"), "alias_class")

@@ -1,6 +1,7 @@
 """The ten operators against brute force, exact round trips and held-out accuracy, with the awkward cases of each."""
 
 import hashlib
+import math
 import random
 import re
 import struct
@@ -12,6 +13,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from flowlens.llm import binary_output, components, hamming, matroska, mixing, near_dup, packing, quality, shingles, substring_dedup, suffix_array, tokens, toxicity, url_filter
+from flowlens.llm.common import table
 from flowlens.llm.registry import ORACLES, QUERIES
 
 from ..conftest import SF, rows_of
@@ -86,6 +88,48 @@ def test_both_libraries_give_the_same_ids():
         assert fast(t).tolist() == slow(t).tolist()
 
 
+def test_long_runs_of_blanks_have_the_ids_of_the_json_file():
+    fast, slow = tokens.encoder(tokens.default_vocabulary()), tokens.encoder(tokens.default_vocabulary("byte_bpe_50k.json"))
+    n = tokens.LONG_RUN
+    for blank in (" ", "\n", "\t", " \n\t", "\u3000 ", "\x85"):
+        run = blank * (n // len(blank) + 7)
+        for t in (run, "a" + run, run + "b", "a" + run + "b c", run + "<|endoftext|>" + run + " x", "x  " + "y" * 10 + run + "9" + run + "\x1c" + run):
+            assert fast(t).tolist() == slow(t).tolist()
+    for blank in (" ", "\n", "\t"):
+        assert len(fast("a" + blank * 2_000_000 + "b")) == len(slow("a" + blank * 2_000_000 + "b"))
+
+
+def test_very_long_texts_are_packed(spark):
+    texts = [" " * 2_000_000, "a" + "\n" * 1_500_000 + "b", "\t" * 1_100_000 + "x", "hello wörld 12 " * 333_000]
+    df = docs_frame(spark, texts)
+    slow = tokens.encoder(tokens.default_vocabulary("byte_bpe_50k.json"))
+    whole = [slow(t) for t in texts]
+    parts = defaultdict(dict)
+    for r in binary_output.pack_documents(df).collect():
+        ids = np.frombuffer(r["ids"], "<u2")
+        for d, s, a, b in zip(r["doc_ids"], r["starts"], r["cu_seqlens"], r["cu_seqlens"][1:]):
+            parts[d][s] = ids[a:b]
+    for i, w in enumerate(whole):
+        assert np.array_equal(np.concatenate([parts[i][s] for s in sorted(parts[i])])[:-1], w)
+    pieces = packing.pack(packing.token_pieces(df)).collect()
+    for i, w in enumerate(whole):
+        ids = np.append(w, np.uint32(0)).astype("<u4")
+        mine = sorted((r for r in pieces if r["doc_id"] == i), key=lambda r: r["piece"])
+        assert sum(r["length"] for r in mine) == len(ids)
+        assert all(zlib.crc32(ids[r["start"] : r["start"] + r["length"]].tobytes()) == r["ids_crc32"] for r in mine)
+
+
+def test_id_width_follows_the_vocabulary(spark, tmp_path):
+    import base64
+
+    path = tmp_path / "byte_bpe_wide.tiktoken"
+    lines = [base64.b64encode(bytes([k])) + b" %d" % (k if k != 97 else 70_000) for k in range(256)]
+    path.write_bytes(b"\n".join(lines))
+    assert tokens.largest_id(str(path)) == 70_000
+    row = binary_output.pack_documents(spark.createDataFrame([(1, "ab")], "doc_id long, text string"), vocabulary=str(path)).first()
+    assert np.frombuffer(row["ids"], "<u4").tolist() == [70_000, 98, 50256]
+
+
 # 2
 
 
@@ -122,9 +166,10 @@ def near_texts(rng, groups=6, size=14):
     return out
 
 
-@pytest.mark.parametrize("cell", [1024, 4])
-def test_near_duplicates_equal_all_pairs(spark, monkeypatch, cell):
+@pytest.mark.parametrize("cell, hot", [(1024, 1 << 26), (4, 1 << 26), (1024, 0)])
+def test_near_duplicates_equal_all_pairs(spark, monkeypatch, cell, hot):
     monkeypatch.setattr(near_dup, "CELL", cell)
+    monkeypatch.setattr(near_dup, "HOT_PAIRS", hot)
     rng = random.Random(4)
     texts = near_texts(rng) + AWKWARD + ["One  Two\tthree", "one two three", "a b c d e"] * 2 + [prose(rng, 80) for _ in range(20)]
     rng.shuffle(texts)
@@ -133,6 +178,19 @@ def test_near_duplicates_equal_all_pairs(spark, monkeypatch, cell):
         assert (got[i]["n_shingles"], got[i]["component_id"], got[i]["kept"]) == (n, c, c == i), i
 
 
+def test_a_hot_bucket_of_unlinked_texts_meets_by_rare_shingles(spark, monkeypatch):
+    monkeypatch.setattr(near_dup, "HOT_PAIRS", 100)
+    rng = random.Random(20)
+    common = prose(rng, 120)
+    texts = [common + " " + prose(rng, 90, 10**6) for _ in range(150)]
+    texts += [t + " and two words" for t in texts[:5]]
+    got = {r["doc_id"]: r["component_id"] for r in near_dup.near_duplicates(docs_frame(spark, texts)).collect()}
+    assert [got[i] for i in range(len(texts))] == [c for _, c in brute_components(texts)] == [*range(150), *range(5)]
+    members = spark.createDataFrame([(i, i) for i in range(150)], "rep long, c long")
+    groups = near_dup.rare_groups(members, docs_frame(spark, texts), near_dup.Params())
+    assert groups.groupBy("k").count().agg(F.max("count")).first()[0] in (None, 2)
+
+
 def test_near_duplicates_of_repeated_missing_and_no_rows(spark):
     df = spark.createDataFrame([(1, "a b c d e f"), (1, "a b c d e f"), (None, "a b c d e f"), (5, None), (3, "a b c d e f")], "doc_id long, text string")
     got = sorted((r["doc_id"] or -1, r["component_id"], r["kept"]) for r in near_dup.near_duplicates(df).collect())
@@ -216,6 +274,71 @@ def test_quality_separates_held_out_grades(spark):
     assert quality.quality_scores(df.limit(0), quality.fit([], [], 3)).count() == 0
 
 
+def test_ordinal_loss_and_gradients_by_hand():
+    rng = np.random.default_rng(21)
+    z, raw, y, weight = rng.normal(size=40), np.array([-0.7, 0.2, -0.4]), rng.integers(0, 4, 40), rng.uniform(0.5, 2, 40)
+    cuts = [-0.7, -0.7 + np.exp(0.2), -0.7 + np.exp(0.2) + np.exp(-0.4)]
+    assert np.allclose(quality.ordered_cuts(raw), cuts)
+
+    def loss(z, raw):
+        c, total = quality.ordered_cuts(raw), 0.0
+        for zi, yi, wi in zip(z, y, weight):
+            below = [0.0] + [1 / (1 + math.exp(-(k - zi))) for k in c] + [1.0]
+            total -= wi * math.log(below[yi + 1] - below[yi])
+        return total / len(y)
+
+    got, gz, gr = quality.loss_and_gradients(z, raw, y, weight)
+    assert math.isclose(got, loss(z, raw), rel_tol=1e-9)
+    for i in range(len(z)):
+        up, down = z.copy(), z.copy()
+        up[i] += 1e-5
+        down[i] -= 1e-5
+        assert abs((loss(up, raw) - loss(down, raw)) / 2e-5 - gz[i]) < 1e-8
+    for i in range(3):
+        up, down = raw.copy(), raw.copy()
+        up[i] += 1e-5
+        down[i] -= 1e-5
+        assert abs((loss(z, up) - loss(z, down)) / 2e-5 - gr[i]) < 1e-8
+
+
+def slow_quality(model, text):
+    """Tail probabilities from every word's three hashed parts, one by one."""
+    words = (text or "").lower().split()
+    seen, n = sorted(set(words)), max(1, len(words))
+    bare = sum(1 for w in seen if not any(c.isalpha() for c in w))
+    ceil8 = lambda v: math.ceil(8 * v)
+    again = sum(1 for a, b in zip(words, words[1:]) if a == b)
+    extra = [f"\0rep{ceil8(len(seen) / n)}", f"\0again{ceil8(again / n)}", f"\0bare{ceil8(bare / max(1, len(seen)))}", f"\0len{len(words).bit_length()}"]
+    weigh = lambda w: sum(float(model.weights[zlib.crc32(f.encode()) % quality.DIM]) for f in ("w" + w, "p" + w[:4], "e" + w[-3:]))
+    z = sum(map(weigh, seen)) / math.sqrt(max(1, len(seen))) + sum(map(weigh, extra))
+    return [1 / (1 + math.exp(c - z)) for c in model.cuts]
+
+
+def test_quality_query_equals_a_slow_version(spark):
+    docs, labels = table(spark, SF, "documents"), table(spark, SF, "labels")
+    model = quality.trained(docs, labels)
+    got = {r["doc_id"]: r for r in QUERIES["op4_ordinal_quality"](spark, SF).collect()}
+    rows = docs.select("doc_id", "text").collect()
+    assert len(rows) == len(got)
+    for r in rows:
+        a, b = slow_quality(model, r["text"])
+        g = got[r["doc_id"]]
+        assert np.allclose([g["p_grade_1"], g["p_grade_2"], g["expected_grade"]], [a, b, a + b], atol=1e-5) and g["kept"] == (g["p_grade_1"] >= 0.5)
+
+
+def test_grades_and_the_sample_they_give(spark, monkeypatch):
+    labels = spark.createDataFrame([(i, q, t) for i, (q, t) in enumerate([(0, 0), (0, 1), (1, 1), (1, 0)] * 20)] + [(900, 1, 0), (None, 1, 0)], "doc_id long, quality int, toxic int")
+    graded = labels.withColumn("grade", quality.grade())
+    assert {r["doc_id"]: r["grade"] for r in graded.where("doc_id < 4").collect()} == {0: 0, 1: 0, 2: 1, 3: 2}
+    docs = docs_frame(spark, [f"text {i} " + "long " * 30_000 * (i == 3) for i in range(80)]).union(docs_frame(spark, [None]).withColumn("doc_id", F.lit(900).cast("long")))
+    texts, grades = quality.sample(docs, graded, 3)
+    assert sorted(grades) == [0] * 40 + [1] * 20 + [2] * 20 and any(len(t) > 100_000 for t in texts)
+    monkeypatch.setattr(quality, "SAMPLE_PER_GRADE", 7)
+    once, again = quality.sample(docs, graded, 3), quality.sample(docs.repartition(5), graded, 3)
+    assert once == again and max(Counter(once[1]).values()) <= 7
+    assert quality.sample(docs.limit(0), graded, 3) == ([], [])
+
+
 # 5
 
 
@@ -257,6 +380,29 @@ def test_substring_dedup_of_repeated_missing_and_no_rows(spark):
     assert substring_dedup.dedup_digest(df.limit(0)).count() == 0
 
 
+def test_repeated_rows_remove_nothing_of_their_own(spark):
+    rng = random.Random(22)
+    t, u = (bytes(rng.choices(range(97, 123), k=400)).decode() for _ in range(2))
+    df = spark.createDataFrame([(1, t), (1, t), (2, u), (3, "x" + t)], "doc_id long, text string")
+    got = sorted((r["doc_id"], r["n_removed"]) for r in substring_dedup.dedup_digest(df).collect())
+    assert got == [(1, 0), (1, 0), (2, 0), (3, 400)]
+
+
+def test_texts_that_share_an_id_follow_one_another(spark):
+    rng = random.Random(23)
+    texts = repeated_texts(rng)
+    rows = [(i // 3, t) for i, t in enumerate(texts)] + [(2, texts[7]), (2, texts[7]), (None, texts[-1])]
+    docs = sorted({(i, t) for i, t in rows if i is not None}, key=lambda r: (r[0], hashlib.md5((r[1] or "").encode()).hexdigest()))
+    want = dict(zip(docs, brute_removed([t for _, t in docs])))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = Counter(tuple(r) for r in substring_dedup.dedup_digest(df).collect())
+    expected = Counter((i, *want[i, t]) if i is not None else (None, len(t), 0, 0, hashlib.sha256(t.encode()).hexdigest()) for i, t in rows)
+    # null and empty texts of one id have one digest and are one document
+    assert got == expected
+    cut = substring_dedup.dedup_texts(df)
+    assert cut.count() == len(rows) and Counter(r["doc_id"] for r in cut.collect()) == Counter(i for i, _ in rows)
+
+
 def test_dedup_texts_keeps_all_columns(spark):
     texts = repeated_texts(random.Random(10))
     out = substring_dedup.dedup_texts(docs_frame(spark, texts))
@@ -352,6 +498,22 @@ def test_repeated_rows_take_no_place_of_other_ids_of_a_hot_code(spark):
     assert got == {0: [(0, i) for i in range(1, 11)], 20: [(0, i) for i in range(10)], 100: [(1, i) for i in range(10)]}
 
 
+def test_thirty_repeated_rows_hide_no_neighbour(spark):
+    rows = spark.createDataFrame([(1, 0)] * 30 + [(2, 0), (3, 0), (4, 0), (5, 1), (6, 7)], "id long, code long")
+    got = [tuple(r)[2:] for r in hamming.top_k(rows, rows.where("id = 5"), 10).orderBy("rank").collect()]
+    assert got == [(1, 1), (2, 1), (3, 1), (4, 1), (6, 2)]
+
+
+@pytest.mark.parametrize("codes, queries", [(50, 10**6), (50, 7)])
+def test_shards_and_query_blocks_give_one_answer(spark, monkeypatch, codes, queries):
+    rng = np.random.default_rng(24)
+    rows = spark.createDataFrame([(i, int(c)) for i, c in enumerate(rng.integers(-(2**63), 2**63 - 1, 600, dtype=np.int64))], "id long, code long")
+    whole = hamming.top_k(rows, rows.where("id % 20 = 0"), 5).orderBy("query_id", "rank").collect()
+    monkeypatch.setattr(hamming, "CELL_CODES", codes)
+    monkeypatch.setattr(hamming, "CELL_QUERIES", queries)
+    assert hamming.top_k(rows, rows.where("id % 20 = 0"), 5).orderBy("query_id", "rank").collect() == whole
+
+
 def test_search_stops_before_it_has_seen_everything():
     rng = np.random.default_rng(15)
     codes = np.unique(rng.integers(0, 2**63, 20_000, dtype=np.int64)).view(np.uint64)
@@ -386,6 +548,46 @@ def test_url_rules_aliases_and_malformed_urls(spark):
     assert url_filter.url_verdicts(pages.limit(0), edges.limit(0)).count() == 0
 
 
+def test_aliases_of_many_pages_equal_a_sequential_union(spark):
+    """50,000 pages with a hot target, long redirect chains and canonical links, through the HTML."""
+    rng, n = random.Random(25), 50_000
+    hosts = ["a.net", "b.org", "example.com", "c.io", "www.example.net", "d.de"]
+    urls = [f"http://{rng.choice(hosts)}/{rng.choice(['en', 'de', 'fr'])}/{i}" for i in range(n)]
+    links = {}
+    for i in range(n):
+        kind = rng.random()
+        if kind < 0.3:
+            links[i] = (urls[7], "canonical")  # a third of all pages name one page
+        elif kind < 0.5 and i + 1 < n:
+            links[i] = (urls[i + 1], "refresh")
+        elif kind < 0.55:
+            links[i] = (f"/en/moved/{i % 50}", "canonical")
+    tag = {"canonical": '<link rel="canonical" href="%s">', "refresh": '<meta http-equiv="refresh" content="0; url=%s">'}
+    pages = spark.createDataFrame([(i, u, "<html>" + (tag[links[i][1]] % links[i][0] if i in links else "")) for i, u in enumerate(urls)], "page_id long, url string, html string")
+    up = {}
+
+    def find(x):
+        while up.setdefault(x, x) != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    for i, (target, _) in links.items():
+        target = target if "://" in target else "/".join(urls[i].split("/")[:3]) + target
+        up[find(urls[i])] = find(target)
+
+    def rule(url):
+        host, path = url.split("/")[2], "/" + "/".join(url.split("/")[3:])
+        fits = [(len(h + p), k) for k, h, p in url_filter.RULES if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        return max(fits)[1] if fits else None
+
+    blocked = {find(u) for u in list(up) if rule(u) == "block"}
+    edges = url_filter.declared_edges(pages)
+    assert edges.count() == len(links)
+    got = {r["page_id"]: r["verdict"] for r in url_filter.url_verdicts(pages, edges).select("page_id", "verdict").collect()}
+    assert got == {i: rule(u) or ("block" if u in up and find(u) in blocked else "allow") for i, u in enumerate(urls)}
+
+
 def test_links_are_read_from_html(spark):
     html = ['<LINK href="http://a/1" rel="canonical">', "<link rel=canonical href='http://a/2'>", '<meta http-equiv="refresh" content="0; url=http://a/3">', "<p>none</p>", None, '<link rel="canonical" href="/relative">']
     df = spark.createDataFrame([(f"http://p/{i}", h) for i, h in enumerate(html)], "url string, html string")
@@ -457,11 +659,29 @@ def test_forward_backward_equals_enumeration():
     assert np.allclose(moves, want_moves)
 
 
-def test_windows_of_long_texts_agree_with_one_chain():
-    rng = np.random.default_rng(18)
-    s, pair = rng.normal(-3, 2, 3000), np.array([[1.0, -1.0], [0.0, 0.5]])
-    whole = toxicity.quick_marginals(s[None, :], np.ones((1, 3000), bool), pair, 0.0)[0]
-    assert np.abs(toxicity.marginals([s], pair, 0.0)[0] - whole).max() < 1e-6
+@pytest.mark.parametrize("pair", [[[1.0, -1.0], [0.0, 0.5]], [[4.0, -6.0], [-5.0, 6.0]], [[0.0, 9.0], [9.0, 0.0]]])
+def test_long_texts_are_one_chain(pair):
+    rng, pair = np.random.default_rng(18), np.array(pair)
+    lengths = [3000, 256, 257, 1, 0, 512, 700, 40]
+    scores = [rng.normal(-1, 3, n) for n in lengths]
+    got = toxicity.marginals(scores, pair, -0.5)
+    for s, m in zip(scores, got):
+        if len(s):
+            whole, _, _ = toxicity.forward_backward(s[None, :], np.ones((1, len(s)), bool), pair, -0.5)
+            assert np.abs(whole[0] - m).max() < 1e-9
+        else:
+            assert len(m) == 0
+
+
+def test_offsets_are_those_of_the_text(spark):
+    bad = [("fine words and a vilething here", 1), ("fine words and nothing else here", 0)]
+    rng = random.Random(26)
+    texts = [(" ".join([prose(rng, 20), w, prose(rng, 20)]), y) for w, y in bad * 60]
+    field = toxicity.fit([t for t, _ in texts], [y for _, y in texts])
+    odd = ["\u0130" * 10 + " " + prose(rng, 10) + " VileThing " + "\u0130 x", "vilething", "\U0001f600 \u1e9e vilething"]
+    rows = {r["doc_id"]: r for r in toxicity.toxicity_scores(docs_frame(spark, odd), field).collect()}
+    for i, t in enumerate(odd):
+        assert [t[s["start"] : s["end"]].lower() for s in rows[i]["spans"]] == ["vilething"]
 
 
 def test_toxicity_is_fitted_on_every_window(monkeypatch):

@@ -1,5 +1,8 @@
 """The corpus pipeline stage by stage."""
 
+import random
+from collections import Counter
+
 import corpus_pipeline
 import pytest
 from flowlens.llm.common import materialize, table
@@ -7,7 +10,7 @@ from flowlens.llm.near_dup import near_duplicates
 from flowlens.llm.toxicity import toxicity_scores, trained
 
 from ..conftest import SF
-from .test_operators import brute_components, brute_removed
+from .test_operators import brute_components, brute_removed, brute_targets
 
 
 @pytest.fixture(scope="module")
@@ -89,3 +92,36 @@ def test_what_stages_keep_of_awkward_rows(spark):
     assert ids(corpus_pipeline.cut_repeats) == [None, 1, 2, 3, 4, 4, 5, 6, 7, 8]
     assert set(ids(corpus_pipeline.mix_sources)) >= {1, 2, 3}
     assert len({r["doc_id"] for r in corpus_pipeline.pack_sequences(spark, df, SF).collect()}) == 9
+
+
+def test_mix_with_ids_in_several_sources(spark):
+    rng = random.Random(1)
+    words = lambda: " ".join("w" for _ in range(rng.randrange(1, 200)))
+    rows = [(i, "abc"[i % 3], words()) for i in range(300)] + [(i, "abc"[(i + 1) % 3], words()) for i in range(100)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    size = Counter()
+    for _, s, t in rows:
+        size[s] += len(t.split())
+    taken = Counter()
+    for r in corpus_pipeline.mix_sources(spark, df, SF).collect():
+        taken[r["source"]] += len(r["text"].split())
+    for s, goal in brute_targets(size).items():
+        assert abs(taken[s] - goal) <= 200
+    again = sorted(map(str, corpus_pipeline.mix_sources(spark, df.repartition(9), SF).collect()))
+    assert again == sorted(map(str, corpus_pipeline.mix_sources(spark, df, SF).collect()))
+
+
+def test_mix_shuffles_no_texts(spark):
+    plan = corpus_pipeline.mix_sources(spark, table(spark, SF, "documents"), SF)._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "SortMergeJoin" not in plan and "hashpartitioning" not in plan
+
+
+def test_ids_that_hold_several_texts_pass_all_stages(spark):
+    rng = random.Random(2)
+    words = lambda n: " ".join(f"w{rng.randrange(5000)}" for _ in range(n))
+    passage = words(60)
+    rows = [(i % 20, f"{words(30)} {passage} {words(20)}", "en", "ab"[i % 2], 1) for i in range(60)] + [(3, None, "en", "a", 0), (3, None, "en", "a", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in corpus_pipeline.STAGES:
+        docs = materialize(stage(spark, docs, SF))
+    assert {r["doc_id"] for r in docs.collect()} <= set(range(20)) and docs.count() > 0
