@@ -26,8 +26,8 @@ SAMPLE_TOXIC, SAMPLE_CLEAN = 1500, 3000
 DIM = 1 << 17
 #: Likelihood-ratio bound and share of toxic documents from which a feature tags tokens.
 MIN_G, MIN_PURITY = 30.0, 0.97
-#: Passes over the sample, windows a step, and the optimiser's step and penalty.
-EPOCHS, LOT, STEP, L2 = 10, 128, 0.1, 1.0
+#: Passes over the sample at most, the share of the loss that a pass must still gain, windows a step, the optimiser's step and penalty.
+PASSES, GAIN, LOT, STEP, L2 = 20, 0.1, 128, 0.1, 1.0
 #: Tokens of a training window and of a block of the scan over long texts.
 CORE = 256
 THRESHOLD = 0.7
@@ -179,6 +179,26 @@ def quick_marginals(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: fl
     return (f / (1 + f)).T
 
 
+def expectations(s: np.ndarray, mask: np.ndarray, pair: np.ndarray, start: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """What forward_backward() gives, from odds: only the two recursions run token by token, all else over whole arrays."""
+    (oo, ot), (to, tt) = np.exp(pair)
+    n, length = s.shape
+    e, live = np.ascontiguousarray(np.exp(np.clip(s, -30, 30)).T), np.ascontiguousarray(mask.T)
+    f = odds_forward(e, pair, np.full(n, math.exp(start)), True)
+    back = np.ones_like(e)
+    for t in range(length - 2, -1, -1):
+        x = back[t + 1] * e[t + 1]
+        back[t] = np.where(live[t + 1], (to + tt * x) / (oo + ot * x), 1.0)
+    both = f * back
+    g, x = f[:-1], e[1:] * back[1:]
+    a, b, c = ot * x, to * g, tt * g * x
+    share = live[1:] / (oo + a + b + c)
+    moves = np.array([[oo * share.sum(), (a * share).sum()], [(b * share).sum(), (c * share).sum()]])
+    steps = np.log((oo + g * to) + (ot + g * tt) * e[1:]) - np.log1p(g)
+    logz = np.where(live[0], np.log1p(math.exp(start) * e[0]), 0.0) + np.where(live[1:], steps, 0.0).sum(0)
+    return np.where(mask, (both / (1 + both)).T, 0.0), moves, logz
+
+
 def mixed(h: np.ndarray) -> np.ndarray:
     """Another order of 32-bit hashes, by multiplications and shifts that lose nothing."""
     h = (h ^ (h >> 16)) * np.uint32(0x85EBCA6B)
@@ -220,7 +240,8 @@ def weak_tags(words: list[list[str]], toxic: list[int]) -> set[str]:
 
 
 def fit(texts: list[str], toxic: list[int]) -> Field:
-    """Maximum-likelihood weights with an L2 penalty by Adam on whole sequences, in a fixed order: equal inputs give equal fields."""
+    """Maximum-likelihood weights with an L2 penalty by Adam over all windows of the texts, pass after pass until one gains little, in a
+    fixed order: equal inputs give equal fields."""
     one: dict[str, str] = {}  # one string a word
     words = [[one.setdefault(w, w) for w in WORD.findall(lowered(t))] for t in texts]
     none = Field(np.zeros(DIM, np.float32), np.zeros((2, 2)), 0.0, (-6.0, 0.0, 0.0))
@@ -249,31 +270,30 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
         x, mask, g = np.zeros((len(ids), width), np.int64), np.zeros((len(ids), width), bool), np.zeros((len(ids), width))
         for r, i in enumerate(ids):
             x[r, : len(seq[i])], mask[r, : len(seq[i])], g[r, : len(seq[i])] = seq[i], True, gold[i]
-        batches.append((x, mask, g))
-    step = 0
-    turns = np.random.default_rng(1)
-    for _ in range(EPOCHS):
-        for x, mask, g in (batches[k] for k in turns.permutation(len(batches))):
+        both, now = mask[:, 1:], g[:, 1:]
+        real = np.array([[((g[:, :-1] == a) & (now == b) & both).sum() for b in (0, 1)] for a in (0, 1)], float)
+        batches.append((x, mask, g, real))
+    step, turns, before = 0, np.random.default_rng(1), math.inf
+    for _ in range(PASSES):
+        loss = 0.0
+        for x, mask, g, real in (batches[k] for k in turns.permutation(len(batches))):
             step += 1
             word_score = params[0][of].sum(1)
             s = np.where(mask, word_score[x], 0.0)
-            post, moves, _ = forward_backward(s, mask, params[1], float(params[2][0]))
+            post, moves, logz = expectations(s, mask, params[1], float(params[2][0]))
+            loss += float(logz.sum() - (g * s).sum() - (real * params[1]).sum() - params[2][0] * g[:, 0].sum())
             scale = 1.0 / mask.sum()
             diff = np.where(mask, post - g, 0.0)
             per_word = np.bincount(x[mask], weights=diff[mask], minlength=len(of)) * scale
-            gw = np.zeros(DIM)
-            for j in range(of.shape[1]):
-                gw += np.bincount(of[:, j], weights=per_word, minlength=DIM)
-            both = mask[:, 1:]
-            real = np.zeros((2, 2))
-            for a in (0, 1):
-                for b in (0, 1):
-                    real[a, b] = ((g[:, :-1] == a) & (g[:, 1:] == b) & both).sum()
+            gw = np.bincount(of.ravel(), weights=np.repeat(per_word, of.shape[1]), minlength=DIM)
             grads = [gw + L2 * params[0] * scale, (moves - real) * scale, np.array([(post[:, 0] - g[:, 0]).sum() * scale])]
             for p, gr, a1, a2 in zip(params, grads, m1, m2):
                 a1 += 0.1 * (gr - a1)
                 a2 += 0.01 * (gr * gr - a2)
                 p -= STEP * (a1 / (1 - 0.9**step)) / (np.sqrt(a2 / (1 - 0.99**step)) + 1e-8)
+        if loss > (1 - GAIN) * before:
+            break
+        before = loss
     field = Field(params[0].astype(np.float32), params[1], float(params[2][0]), none.link)
     stats = np.array([summary(m) for m in marginals([score_words(field, ws, {}) for ws in words], field.pair, field.start)]) if words else np.zeros((0, 2))
     field.link = logistic(stats, np.array(toxic, float))
