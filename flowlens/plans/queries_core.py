@@ -209,9 +209,11 @@ for _key, _how in (("significant_nodes", "tiles"), ("significant_nodes_tiles", "
 
 
 def work_sample(spark, d) -> DataFrame:
-    """x, y, n: cell centres of the nodes of every level that a fifth of the movements give, and what they count."""
+    """x, y, n, key: cell centres of the nodes of every level that a fifth of the movements give, what they count, and their place in
+    order of level and Morton key."""
     part = aggregate.pyramid_nodes(partitioning.sample(movements(spark, d), 0.2), CFG)
-    return part.select(grid.centre(F.col("cx"), F.col("level")).alias("x"), grid.centre(F.col("cy"), F.col("level")).alias("y"), "n")
+    key = F.shiftleft(F.col("level").cast("long"), 28).bitwiseOR(grid.morton(F.col("cx"), F.col("cy")))
+    return part.select(grid.centre(F.col("cx"), F.col("level")).alias("x"), grid.centre(F.col("cy"), F.col("level")).alias("y"), "n", key.alias("key"))
 
 
 def work_tree(spark, d, k: int = 16, axis: str = "best", weight: str | None = None) -> partitioning.PartitionTree:

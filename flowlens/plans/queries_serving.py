@@ -17,7 +17,7 @@ from ..sources.tables import table
 from . import metrics
 from .oracle_sql import bisection, hash_placed, with_
 from .pipeline import build
-from .queries_core import edges, held_nodes, kept, movements, nodes, work_tree
+from .queries_core import edges, held_nodes, kept, movements, nodes, work_sample, work_tree
 
 QUERIES, ORACLES = {}, {}
 CFG = PyramidConfig()
@@ -129,27 +129,26 @@ def loads_sql(cases: list[tuple[str, int]]) -> str:
     return with_("wide", f", partial AS MATERIALIZED ({PARTIAL}){need} " + " UNION ALL ".join(load_sql(m, k) for m, k in cases))
 
 
-def placed(spark, d, records: DataFrame, method: str, k: int) -> DataFrame:
-    """The records with p, their partition of k."""
+def placed(records: DataFrame, work: DataFrame, method: str, k: int) -> DataFrame:
+    """The records with p, their partition of k. work: the sample (x, y, n, key) that trees and ranges are learned from."""
     if method == "stripes":
         return records.withColumn("p", F.floor(F.col("x") / -(-CFG.grid.region.width // k)))
     if method == "hash":
         return records.withColumn("p", partitioning.hash_slot(k, "level", "cx", "cy"))
     if method == "range":
-        some = aggregate.pyramid_nodes(partitioning.sample(movements(spark, d), 0.2), CFG)
         key = F.shiftleft(F.col("level").cast("long"), 28).bitwiseOR(grid.morton(F.col("cx"), F.col("cy")))
-        return records.withColumn("p", partitioning.by_bounds(key, partitioning.range_bounds(some.select(key.alias("key")), k)))
+        return records.withColumn("p", partitioning.by_bounds(key, partitioning.range_bounds(work.select("key"), k)))
     axis, weight = TREES[method]
-    return partitioning.lookup(records, work_tree(spark, d, k, axis, weight)).withColumn("p", F.col("leaf"))
+    return partitioning.lookup(records, partitioning.learn(work, k, axis=axis, weight=weight)).withColumn("p", F.col("leaf"))
 
 
-def load_row(spark, d, records: DataFrame, method: str, k: int) -> DataFrame:
-    got = metrics.load(placed(spark, d, records, method, k), "p").withColumns({c: F.round(c, 6) for c in LOAD_COLUMNS})
+def load_row(records: DataFrame, work: DataFrame, method: str, k: int) -> DataFrame:
+    got = metrics.load(placed(records, work, method, k), "p").withColumns({c: F.round(c, 6) for c in LOAD_COLUMNS})
     return got.select(F.lit(method).alias("method"), F.lit(k).alias("reducers"), "*")
 
 
 def _load(method: str, k: int):
-    return lambda spark, d: load_row(spark, d, partial_records(spark, d), method, k).drop("method", "reducers")
+    return lambda spark, d: load_row(partial_records(spark, d), work_sample(spark, d), method, k).drop("method", "reducers")
 
 
 for _k in REDUCERS:
@@ -162,8 +161,8 @@ METHODS = ("best", "weighted", "alternate", "stripes", "hash", "range")
 @query_(loads_sql([(m, k) for m in METHODS for k in REDUCERS]))
 def load_stats_methods(spark, d):
     """Reducer load of every placement method and partition count: records, mean, deviation, least, most, and both over the mean."""
-    records = materialize(partial_records(spark, d))
-    return reduce(DataFrame.unionByName, [load_row(spark, d, records, m, k) for m in METHODS for k in REDUCERS])
+    records, work = materialize(partial_records(spark, d)), materialize(work_sample(spark, d))
+    return reduce(DataFrame.unionByName, [load_row(records, work, m, k) for m in METHODS for k in REDUCERS])
 
 
 def per_partition(df: DataFrame) -> DataFrame:

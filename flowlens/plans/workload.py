@@ -186,7 +186,7 @@ def stress(spark: SparkSession, sf_dir: str, durations=DURATIONS, sets=SETS, mos
         stored = {s: service_times(server.viewport, q) for s, q in queries.items()}
         held = {s: service_times(arrays.viewport, q) for s, q in queries.items()} if arrays else {}
         jobs = [service_times(lambda box, level, period: query.viewport_edges(edges, query.viewport_nodes(nodes, box, level), level).toArrow(), queries[sets[0]][:by_spark])] if by_spark else []
-        mean = lambda runs: {k: round(float(np.mean([r[k] for r in runs])), 2) for k in ("average", "median", "p90", "queries")}
+        mean = lambda runs: {"queries": sum(r["queries"] for r in runs)} | {k: round(float(np.mean([r[k] for r in runs])), 2) for k in ("average", "median", "p90")}
         for seconds in durations:
             row = {"pattern": pattern, "seconds": seconds, "sets": len(sets), "stored": mean([summary(response_times(v, seconds)) for v in stored.values()])}
             if held:
