@@ -205,7 +205,8 @@ DIGEST_SCHEMA = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 s
 
 
 def media_column(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_bytes, media: every whole text as a Matroska file. Null and empty texts hold one packet of padding; row by row."""
+    """doc_id, n_bytes, media: every whole text as a Matroska file. Null and empty texts hold one packet of padding. Row by row:
+    repeated rows repeat their result, null ids stay null, other columns are ignored, an empty table gives an empty result."""
 
     def run(batches):
         for b in slices(batches):
@@ -236,11 +237,14 @@ def packet_table(media: DataFrame, id_col: str = "doc_id", media_col: str = "med
 
 
 def media_digest(media: DataFrame) -> DataFrame:
-    """Digest of each stored file: what its packets hold when read back, and features of the packet table."""
+    """Digest of each stored file: what its packets hold when read back, and features of the packet table. A damaged file gives its
+    error in place of what it cannot say, a null file nothing but its id and size; an empty table gives an empty result."""
     names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "error"]
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string()]
 
     def one(i, n, data):
+        if data is None:
+            return (i, n, *[None] * 7)
         try:
             got = demux(data)
             packets = got["packets"]

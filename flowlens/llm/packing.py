@@ -30,7 +30,8 @@ PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
 def token_pieces(docs: DataFrame, cap: int = CAP, vocabulary: str | None = None, separator: int = SEPARATOR, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32 of every piece: a document's tokens and the separator, cut only beyond cap tokens."""
+    """doc_id, piece, start, length, ids_crc32 of every piece: a document's tokens and the separator, cut only beyond cap tokens. Null and
+    empty texts are the separator alone; null ids stay null; repeated rows give their pieces again; an empty table gives none."""
     vocabulary = vocabulary or default_vocabulary()
     names, kinds = ["doc_id", "piece", "start", "length", "ids_crc32"], [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
 

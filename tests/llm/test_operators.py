@@ -628,6 +628,8 @@ def test_unknown_sizes_cues_and_damage(spark):
     whole = matroska.mux(b"z" * 576 * 70)
     got = matroska.demux(whole)
     assert len(got["cues"]) == 3 and all(int.from_bytes(whole[at : at + 4], "big") == matroska.CLUSTER for _, _, at in got["cues"])
+    null = spark.createDataFrame([(7, 3, None)], "doc_id long, n_bytes long, media binary")
+    assert tuple(matroska.media_digest(null).first()) == (7, 3, *[None] * 7) and matroska.packet_table(null).count() == 0
     df = spark.createDataFrame([(1, 3, bytearray(whole[:-9])), (2, 3, bytearray(b"\x00"))], "doc_id long, n_bytes long, media binary")
     assert all(r["error"] for r in matroska.media_digest(df).collect()) and matroska.packet_table(df).where("error is not null").count() == 2
 
