@@ -18,7 +18,7 @@ WEIGHTS = (3, 1, 2)
 SHARE = 1.5
 MAX_EPOCHS = 2
 #: Key bits that each histogram splits by, and all key bits.
-DIGIT_BITS, KEY_BITS = 8, 56
+DIGIT_BITS, KEY_BITS = 14, 56
 
 WORD = r"[^\x20\x09-\x0D]+"
 
