@@ -251,27 +251,23 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
     vocab = {w: i for i, w in enumerate(sorted({w for ws in words for w in ws}))}
     of = np.array([slots(w) for w in vocab] or [[0] * 5])
     tag = np.array([float(any(f in marks for f in features(w)[:4])) for w in vocab] or [0.0])
-    seq, gold = [], []
-    for ws, y in zip(words, toxic):
-        ids = np.array([vocab[w] for w in ws], dtype=np.int64)
-        for c in range(0, len(ids), CORE):
-            part = ids[c : c + CORE]
-            t = tag[part] * y
-            seq.append(part)
-            gold.append(t)
+    ids = [np.array([vocab[w] for w in ws], dtype=np.int32) for ws in words]
+    del words  # the words' places in the vocabulary are enough from here on
+    seq = [(d, c) for d, part in enumerate(ids) for c in range(0, len(part), CORE)]
     w, pair, start = np.zeros(DIM), np.array([[1.0, -1.0], [0.0, 0.0]]), -2.0
     params = [w, pair, np.array([start])]
     m1, m2 = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
-    order = sorted(range(len(seq)), key=lambda i: (len(seq[i]), i))
+    seq.sort(key=lambda w: (min(CORE, len(ids[w[0]]) - w[1]), w))
     batches = []
-    for k in range(0, len(order), LOT):
-        ids = order[k : k + LOT]
-        width = max(len(seq[i]) for i in ids)
-        x, mask, g = np.zeros((len(ids), width), np.int64), np.zeros((len(ids), width), bool), np.zeros((len(ids), width))
-        for r, i in enumerate(ids):
-            x[r, : len(seq[i])], mask[r, : len(seq[i])], g[r, : len(seq[i])] = seq[i], True, gold[i]
-        both, now = mask[:, 1:], g[:, 1:]
-        real = np.array([[((g[:, :-1] == a) & (now == b) & both).sum() for b in (0, 1)] for a in (0, 1)], float)
+    for k in range(0, len(seq), LOT):
+        lot = [(ids[d][c : c + CORE], toxic[d]) for d, c in seq[k : k + LOT]]
+        size = np.array([len(part) for part, _ in lot])
+        x = np.zeros((len(lot), size.max()), np.int32)
+        for r, (part, _) in enumerate(lot):
+            x[r, : len(part)] = part
+        mask = np.arange(x.shape[1]) < size[:, None]
+        g = mask & (tag[x] > 0) & (np.array([y for _, y in lot])[:, None] > 0)
+        real = np.array([[((g[:, :-1] == a) & (g[:, 1:] == b) & mask[:, 1:]).sum() for b in (False, True)] for a in (False, True)], float)
         batches.append((x, mask, g, real))
     step, turns, before = 0, np.random.default_rng(1), math.inf
     for _ in range(PASSES):
@@ -295,7 +291,9 @@ def fit(texts: list[str], toxic: list[int]) -> Field:
             break
         before = loss
     field = Field(params[0].astype(np.float32), params[1], float(params[2][0]), none.link)
-    stats = np.array([summary(m) for m in marginals([score_words(field, ws, {}) for ws in words], field.pair, field.start)]) if words else np.zeros((0, 2))
+    word_score = field.weights[of].sum(1)
+    lots = [ids[k : k + 256] for k in range(0, len(ids), 256)]
+    stats = np.array([summary(m) for lot in lots for m in marginals([word_score[part].astype(float) for part in lot], field.pair, field.start)]).reshape(-1, 2)
     field.link = logistic(stats, np.array(toxic, float))
     return field
 
