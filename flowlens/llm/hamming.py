@@ -19,7 +19,7 @@ from .common import materialize, n_partitions, scratch, table
 
 BITS = 64
 #: Codes of a shard at most and at least (smaller tables have fewer shards than tasks), and query codes that meet a shard at a time.
-CELL_CODES, LEAST_CODES, CELL_QUERIES = 1_000_000, 2_000, 100_000
+CELL_CODES, LEAST_CODES, CELL_QUERIES = 1_000_000, 8_000, 100_000
 
 
 def sign_code(vector: Column, bits: int = BITS) -> Column:
@@ -120,6 +120,9 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
             cols = list(zip(*out)) or [(), (), ()]
             return pa.table({"code": pa.array(cols[0], pa.int64()), "neighbour_id": pa.array(cols[1], pa.int64()), "distance": pa.array(cols[2], pa.int32())})
 
+        # a fixed number of partitions: the work is in the searches, which the size of the rows that are dealt does not show
+        tasks = min(shards * blocks, max(shards, n_partitions(spark)))
+        left, right = (df.repartition(tasks, "shard", "block") for df in (left, right))
         found = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(cell, "code long, neighbour_id long, distance int")
         found = materialize(found, lasting=True)
     best = Window.partitionBy("query_id").orderBy("distance", "neighbour_id")
