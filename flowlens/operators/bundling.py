@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -15,49 +16,247 @@ from ..sources.shared import materialize
 GOLDEN = (math.sqrt(5) - 1) / 2
 
 
-def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
-    """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id), among points that agree in the columns by.
-
-    buckets: points lie in 4-D cells of a width, and a point asks its own cell and the 80 around it. One that has found k within the
-    width is done; the others ask again in wider cells, until a cell holds the data. Crowded places are settled while cells
-    are small, and every point is stored in one cell, only the asking ones are copied. all_pairs: the baseline.
+#: Points that a block holds about, most blocks that drawings are cut into in all, and sampled points that place the cuts of a block.
+BLOCK_POINTS, MAX_BLOCKS, SAMPLED = 8192, 1024, 64
+#: Points of a leaf of the tree inside a block, and rows and columns of the distances that are held at once.
+LEAF_POINTS, ROWS, COLUMNS = 64, 256, 4096
+
+
+def ranked(row: np.ndarray, d2: np.ndarray, other: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, rank, other, d2) of the k least of each row by (d2, other)."""
+    order = np.lexsort((other, d2, row))
+    row, d2, other = row[order], d2[order], other[order]
+    first = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]])) if len(row) else np.zeros(0, np.int64)
+    rank = np.arange(len(row)) - np.repeat(first, np.diff(np.append(first, len(row)))) + 1
+    use = rank <= k
+    return row[use], rank[use], other[use], d2[use]
+
+
+def distances(q: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """Squared distances of all q to all c, added up in the order of the four coordinates."""
+    out = np.zeros((len(q), len(c)))
+    for i in range(4):
+        d = q[:, None, i] - c[None, :, i]
+        out += d * d
+    return out
+
+
+def least(d2: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, d2, other) of the k least of each row by (d2, other); infinite distances are none. ids: ascending."""
+    at = d2 <= np.partition(d2, k - 1, axis=1)[:, k - 1 : k] if d2.shape[1] > k else np.ones(d2.shape, bool)
+    row, col = np.nonzero(at & np.isfinite(d2))
+    row, _, col, far = ranked(row, d2[row, col], col, k)
+    return row, far, ids[col]
+
+
+def leaves_of(p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(order, starts): points halved along their widest side until a leaf holds LEAF_POINTS at most, leaf after leaf."""
+    parts, stack = [], [np.arange(len(p))]
+    while stack:
+        at = stack.pop()
+        if len(at) <= LEAF_POINTS:
+            parts.append(at)
+            continue
+        axis = int(np.argmax(p[at].max(0) - p[at].min(0)))
+        half = len(at) // 2
+        at = at[np.argpartition(p[at, axis], half)]
+        stack += [at[half:], at[:half]]
+    return np.concatenate(parts), np.cumsum([0, *map(len, parts)])[:-1]
+
+
+def gaps(lo: np.ndarray, hi: np.ndarray, los: np.ndarray, his: np.ndarray) -> np.ndarray:
+    """Squared distance of a box to boxes, at most that of any two points of theirs as distances() adds it up."""
+    out = np.zeros(np.broadcast_shapes(lo.shape, los.shape)[:-1])
+    for i in range(4):
+        d = np.maximum(np.maximum(los[..., i] - hi[..., i], lo[..., i] - his[..., i]), 0.0)
+        out += d * d
+    return out
+
+
+def tree_nearest(q: np.ndarray, c: np.ndarray, ids: np.ndarray, k: int, bound: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, rank, other, d2) of the k points c nearest to each q by (d2, id), no farther than its squared bound.
+
+    Both are halved into leaves. A leaf of asking points meets the leaves of c from the nearest on, until the next lies beyond all k-th
+    neighbours. Of copies of a place only the k of least id can be an answer, and copies that ask are answered once.
     """
-    p = points.select("id", "p", *by)
-    d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda a, b: a + b)
+    if not len(q) or not len(c):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), ids[:0], np.zeros(0)
+    order = np.lexsort((ids, *c.T))
+    c, ids = c[order], ids[order]
+    first = np.flatnonzero(np.concatenate([[True], (c[1:] != c[:-1]).any(1)]))
+    copy = np.arange(len(c)) - np.repeat(first, np.diff(np.append(first, len(c))))
+    c, ids = c[copy < k], ids[copy < k]
+    places, place = np.unique(q, axis=0, return_inverse=True)
+    place = place.ravel()
+    far = np.full(len(places), -np.inf)
+    np.maximum.at(far, place, np.inf if bound is None else bound)
+    order, starts = leaves_of(c)
+    c, ids = c[order], ids[order]
+    lo, hi = np.minimum.reduceat(c, starts), np.maximum.reduceat(c, starts)
+    ends = np.append(starts[1:], len(c))
+    asking, begins = leaves_of(places)
+    found = []
+    for a, b in zip(begins, np.append(begins[1:], len(asking))):
+        at = asking[a:b]
+        x, most = places[at], far[at].copy()
+        away = gaps(x.min(0), x.max(0), lo, hi)
+        near = np.argsort(away, kind="stable")
+        row, d2, other = np.zeros(0, np.int64), np.zeros(0), ids[:0]
+        done, lot = 0, 4
+        while done < len(near) and away[near[done]] <= most.max():
+            take = near[done : done + lot]
+            take = take[away[take] <= most.max()]
+            cols = np.concatenate([np.arange(starts[v], ends[v]) for v in take])
+            cols = cols[np.argsort(ids[cols], kind="stable")]
+            r, e, o = least(distances(x, c[cols]), ids[cols], k)
+            row, rank, other, d2 = ranked(np.concatenate([row, r]), np.concatenate([d2, e]), np.concatenate([other, o]), k)
+            full = rank == k
+            most[row[full]] = np.minimum(most[row[full]], d2[full])
+            done, lot = done + lot, min(lot * 2, COLUMNS // LEAF_POINTS)
+        found.append((at[row], other, d2))
+    row, other, d2 = (np.concatenate(v) for v in zip(*found))
+    # from answers of places to those of all that asked
+    order = np.lexsort((other, d2, row))
+    row, other, d2 = row[order], other[order], d2[order]
+    many = np.bincount(row, minlength=len(places))
+    begin = np.cumsum(many) - many
+    of = np.repeat(np.arange(len(q)), many[place])
+    step = np.arange(len(of)) - np.repeat(np.cumsum(many[place]) - many[place], many[place])
+    at = begin[place[of]] + step
+    return of, step + 1, other[at], d2[at]
+
+
+def grow_blocks(sample: np.ndarray) -> tuple[list, list]:
+    """(nodes, boxes) of a tree of cuts in the middle of the widest side of sampled points. A node is (axis, cut, below, from there on),
+    or the number of a block; the blocks' boxes are half-open and cover all of space."""
+    nodes, boxes = [], []
+
+    def grow(at: np.ndarray, lo: list, hi: list) -> int:
+        me = len(nodes)
+        nodes.append(None)
+        p = sample[at]
+        side = p.max(0) - p.min(0) if len(p) else np.zeros(4)
+        axis = int(np.argmax(side))
+        if len(at) <= SAMPLED or side[axis] <= 0:
+            nodes[me] = len(boxes)
+            boxes.append((lo, hi))
+            return me
+        cut = float(np.sort(p[:, axis])[len(p) // 2])
+        if cut <= p[:, axis].min():
+            cut = float(p[:, axis][p[:, axis] > cut].min())
+        below = p[:, axis] < cut
+        left = grow(at[below], lo, [*hi[:axis], cut, *hi[axis + 1 :]])
+        nodes[me] = (axis, cut, left, grow(at[~below], [*lo[:axis], cut, *lo[axis + 1 :]], hi))
+        return me
+
+    grow(np.arange(len(sample)), [-np.inf] * 4, [np.inf] * 4)
+    return nodes, boxes
+
+
+def blocks_of(p: np.ndarray, nodes: list) -> np.ndarray:
+    out, stack = np.zeros(len(p), np.int64), [(0, np.arange(len(p)))]
+    while stack:
+        node, at = stack.pop()
+        if not isinstance(nodes[node], tuple):
+            out[at] = nodes[node]
+        elif len(at):
+            axis, cut, left, right = nodes[node]
+            below = p[at, axis] < cut
+            stack += [(left, at[below]), (right, at[~below])]
+    return out
+
+
+def coordinates(column: pd.Series) -> np.ndarray:
+    return np.array(column.tolist(), float).reshape(len(column), 4)
+
+
+def _tree_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
+    """proximity_graph() by blocks, in a fixed number of jobs. Only drawings of more than a block are cut, by a sample of bounded size, and
+    only their points ask other blocks: those that a ball up to their k-th neighbour meets."""
+    p = materialize(p)
+    sizes = p.groupBy(*keys).agg(F.count("*").alias("_n"))
+    block = max(BLOCK_POINTS, -(-(sizes.agg(F.sum("_n")).first()[0] or 0) // MAX_BLOCKS))
+    big = sizes.where(F.col("_n") > block).drop("_n").collect()
+    graph = "id {id}, rank int, other {id}, d2 double".format(id=p.schema["id"].dataType.simpleString())
+    tasks = int(p.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def own(pdf: pd.DataFrame) -> pd.DataFrame:
+        ids, x = pdf["id"].to_numpy(), coordinates(pdf["p"])
+        row, _, other, d2 = tree_nearest(x, x, ids, k + 1)
+        use = ids[row] != other
+        row, rank, other, d2 = ranked(row[use], d2[use], other[use], k)
+        return pd.DataFrame({"id": ids[row], "rank": rank, "other": other, "d2": d2})
+
+    if not big:
+        return p.repartition(tasks, *keys).groupBy(*keys).applyInPandas(own, graph)
+    numbered = p.sparkSession.createDataFrame([(*r, i) for i, r in enumerate(big)], T.StructType([*[T.StructField(c, p.schema[c].dataType) for c in keys], T.StructField("_g", T.IntegerType())]))
+    p = p.join(F.broadcast(numbered), keys, "left").withColumn("_g", F.coalesce("_g", F.lit(-1)))
+    drawn = p.where((F.col("_g") >= 0) & (F.pmod(F.xxhash64("id"), F.lit(block)) < SAMPLED)).select("_g", "p").toPandas()
+    trees = [grow_blocks(coordinates(drawn["p"][drawn["_g"] == g])) for g in range(len(big))]
+    boxes = [(np.array([lo for lo, _ in b]), np.array([hi for _, hi in b])) for _, b in trees]
+
+    def deal(batches):
+        for pdf in batches:
+            out = np.zeros(len(pdf), np.int64)
+            for g in pdf["_g"].unique():
+                if g < 0:
+                    continue
+                at = np.flatnonzero(pdf["_g"].to_numpy() == g)
+                out[at] = blocks_of(coordinates(pdf["p"].iloc[at]), trees[int(g)][0])
+            yield pdf.assign(_b=out)
+
+    def ask(batches):
+        """The points with every other block that may hold a nearer one."""
+        for pdf in batches:
+            parts = []
+            for g in pdf["_g"].unique():
+                at = np.flatnonzero(pdf["_g"].to_numpy() == g)
+                for a in range(0, len(at), ROWS * 4):
+                    part = pdf.iloc[at[a : a + ROWS * 4]]
+                    x = coordinates(part["p"])[:, None, :]
+                    away = gaps(x, x, *(v[None] for v in boxes[int(g)]))
+                    away[np.arange(len(part)), part["_b"].to_numpy()] = np.inf
+                    row, to = np.nonzero((away <= part["far"].to_numpy()[:, None]) & (away < np.inf))
+                    parts.append(part.iloc[row].assign(_b=to))
+            yield pd.concat(parts) if parts else pdf
+
+    def answer(pdf: pd.DataFrame) -> pd.DataFrame:
+        asks = pdf["far"].notna().to_numpy()
+        x, ids = coordinates(pdf["p"]), pdf["id"].to_numpy()
+        row, rank, other, d2 = tree_nearest(x[asks], x[~asks], ids[~asks], k, pdf["far"].to_numpy(float)[asks])
+        return pd.DataFrame({"id": ids[asks][row], "rank": rank, "other": other, "d2": d2})
+
+    dealt = materialize(p.mapInPandas(deal, T.StructType([*p.schema.fields, T.StructField("_b", T.LongType())])))
+    local = materialize(dealt.repartition(tasks, *keys, "_b").groupBy(*keys, "_b").applyInPandas(own, graph))
+    cut = dealt.where("_g >= 0")
+    reach = local.where(F.col("rank") == k).select("id", F.col("d2").alias("far"))
+    cut_points = cut.select("id", "p", "_g", "_b", F.lit(None).cast("double").alias("far"))
+    asking = cut.select("id", "p", "_g", "_b").join(reach, "id", "left").withColumn("far", F.coalesce("far", F.lit(float("inf"))))
+    met = cut_points.unionByName(asking.mapInPandas(ask, cut_points.schema)).repartition(tasks, "_g", "_b").groupBy("_g", "_b").applyInPandas(answer, graph)
     best = Window.partitionBy("id").orderBy("d2", "other")
+    return local.unionByName(met).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
 
-    def nearest(pairs: DataFrame) -> DataFrame:
-        scored = pairs.where("id <> other").select("id", "other", d2.alias("d2"))
-        return scored.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
 
-    q = p.select(F.col("id").alias("other"), F.col("p").alias("q"), *by)
-    if method == "all_pairs":
-        return nearest(p.join(q, list(by)) if by else p.crossJoin(q))
-    p = materialize(p)
-    q = p.select(F.col("id").alias("other"), F.col("p").alias("q"), *by)
-    spans = p.agg(*[(F.max(F.get("p", F.lit(i))) - F.min(F.get("p", F.lit(i)))).alias(f"s{i}") for i in range(4)]).first()
-    span = max((v or 0.0) for v in spans)
-    out, rest, open_ = None, p, p.count()
-    while True:
-        cell = lambda c, i: F.floor(F.get(F.col(c), F.lit(i)) / width)  # noqa: B023, E731
-        cells = [f"_b{i}" for i in range(4)]
-        stored = q.withColumns({c: cell("q", i) for i, c in enumerate(cells)})
-        asking = rest
-        for i, c in enumerate(cells):
-            asking = asking.withColumn(c, F.explode(F.array(*[cell("p", i) + j for j in (-1, 0, 1)])))
-        local = materialize(nearest(asking.join(stored, [*cells, *by])))
-        if width >= span:
-            return local if out is None else out.unionByName(local)
-        sure = materialize(local.groupBy("id").agg(F.count("*").alias("c"), F.max("d2").alias("far")).where((F.col("c") == k) & (F.col("far") <= width * width)).select("id"))
-        done = local.join(sure, "id", "left_semi")
-        out = done if out is None else out.unionByName(done)
-        settled = sure.count()
-        if settled == open_:
-            return out
-        # where few are settled, the points left are far apart, and a bolder step saves rounds
-        width *= 2 if settled * 8 >= open_ else 4
-        open_ -= settled
-        rest = materialize(rest.join(sure, "id", "left_anti"))
+def _all_pairs_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
+    """proximity_graph() by all pairs of a drawing's points."""
+    d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda a, b: a + b)
+    pairs = p.join(p.select(F.col("id").alias("other"), F.col("p").alias("q"), *keys), keys).where("id <> other").select("id", "other", d2.alias("d2"))
+    best = Window.partitionBy("id").orderBy("d2", "other")
+    return pairs.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
+
+
+def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
+    """(id, rank, other, d2) of the k nearest of each 4-D point p by (squared distance, id), among points that agree in the columns by.
+
+    buckets: blocks of a tree of cuts in 4-D, searched by a tree of their own each; a point asks other blocks only where its k-th
+    neighbour leaves room for nearer ones, so two rounds settle all, wherever they lie. all_pairs: the baseline, every point of a drawing
+    with every other. width: without effect, as blocks follow the points; it stays for callers that name it. Points without four
+    finite coordinates or without a drawing have no neighbours.
+    """
+    keys = list(by) or ["_all"]
+    p = (points if by else points.withColumn("_all", F.lit(0))).select("id", F.transform("p", lambda v: v.cast("double")).alias("p"), *keys)
+    p = p.where(reduce(lambda a, c: a & c, [F.col(c).isNotNull() for c in keys], F.forall("p", lambda v: F.abs(v) < float("inf")) & (F.size("p") == 4)))
+    return (_all_pairs_graph if method == "all_pairs" else _tree_graph)(p, k, keys)
 
 
 def bundle_ink(edges: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
@@ -185,7 +384,7 @@ def bundle(edges: DataFrame, knn: int = 10, max_angle: float = 60.0, by: tuple[s
     lines = materialize(edges.where(length > 0))
     spread = lines.groupBy(*by).agg(*[F.avg(c).alias(f"_m{c}") for c in ends], *[F.greatest(F.stddev_pop(c), F.lit(1e-3)).alias(f"_s{c}") for c in ends])
     scaled = lines.join(spread, list(by)).select("id", *by, F.array(*[(F.col(c) - F.col(f"_m{c}")) / F.col(f"_s{c}") for c in ends]).alias("p"))
-    near = proximity_graph(scaled, knn, width=1 / 16, by=by).groupBy("id").agg(F.transform(F.sort_array(F.collect_list(F.struct("rank", "other"))), lambda n: n["other"]).alias("_near"))
+    near = proximity_graph(scaled, knn, by=by).groupBy("id").agg(F.transform(F.sort_array(F.collect_list(F.struct("rank", "other"))), lambda n: n["other"]).alias("_near"))
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("id").reset_index(drop=True)

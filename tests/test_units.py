@@ -292,6 +292,29 @@ def test_proximity_of_crowded_and_lonely_points(spark):
     assert key(bundling.proximity_graph(frame, 5, width=1 / 16)) == key(bundling.proximity_graph(frame, 5, "all_pairs"))
 
 
+def test_proximity_of_many_blocks_in_a_fixed_number_of_jobs(spark, monkeypatch):
+    rng = np.random.default_rng(7)
+    monkeypatch.setattr(bundling, "BLOCK_POINTS", 100)
+    monkeypatch.setattr(bundling, "SAMPLED", 16)
+    monkeypatch.setattr(bundling, "COLUMNS", 256)
+    pts = np.concatenate([rng.integers(0, 6, (900, 4)), np.full((300, 4), 3), rng.integers(-4000, 4000, (60, 4)), rng.integers(0, 9, (40, 4))]).astype(float)
+    group = np.repeat([1, 2], [1260, 40])
+    rows = [(i * 7, int(g), [float(v) for v in p]) for i, (g, p) in enumerate(zip(group, pts))] + [(1, 1, None), (2, 1, [0.0, 0.0, None, 0.0]), (3, None, [0.0] * 4), (4, 3, [0.0] * 4)]
+    frame = spark.createDataFrame(rows, "id long, level int, p array<double>")
+    want = []
+    for g in (1, 2):
+        p, ids = pts[group == g], np.flatnonzero(group == g) * 7
+        d2 = ((p[:, None] - p[None]) ** 2).sum(2)
+        np.fill_diagonal(d2, np.inf)
+        want += [(int(ids[i]), r + 1, int(ids[j])) for i, row in enumerate(d2) for r, j in enumerate(np.argsort(row, kind="stable")[:5])]
+    tracker, before = spark.sparkContext._jsc.sc().statusStore(), 0
+    for method in ("all_pairs", "buckets"):
+        before = tracker.jobsList(None).size()
+        assert sorted((r["id"], r["rank"], r["other"]) for r in bundling.proximity_graph(frame, 5, method, by=("level",)).collect()) == sorted(want)
+    # the far points would have taken a dozen rounds of wider and wider cells, each of many jobs
+    assert tracker.jobsList(None).size() - before < 40
+
+
 def slow_cut(values, weights, share):
     """Every cut between distinct values, tried one by one: (miss over total, position), or None."""
     total, best = float(sum(weights)), None
