@@ -388,10 +388,9 @@ def bundle(edges: DataFrame, knn: int = 10, max_angle: float = 60.0, by: tuple[s
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("id").reset_index(drop=True)
-        at = {v: i for i, v in enumerate(pdf["id"])}
-        e = pdf[ends].to_numpy(float)
-        label, ink = coalesce(e, [[at[o] for o in ([] if n is None else n)] for n in pdf["_near"]], max_angle)
-        return pdf.drop(columns="_near").assign(bundle=pdf["id"].to_numpy()[label], bundle_ink=ink, straight_ink=np.hypot(e[:, 2] - e[:, 0], e[:, 3] - e[:, 1]))
+        ids, e = pdf["id"].to_numpy(), pdf[ends].to_numpy(float)
+        label, ink = coalesce(e, [np.searchsorted(ids, [] if n is None else n) for n in pdf["_near"]], max_angle)
+        return pdf.drop(columns="_near").assign(bundle=ids[label], bundle_ink=ink, straight_ink=np.hypot(e[:, 2] - e[:, 0], e[:, 3] - e[:, 1]))
 
     added = [T.StructField("bundle", T.LongType()), T.StructField("bundle_ink", T.DoubleType()), T.StructField("straight_ink", T.DoubleType())]
     out = lines.join(near, "id", "left").select(*edges.columns, "_near").groupBy(*by).applyInPandas(run, T.StructType([*edges.schema.fields, *added]))

@@ -284,6 +284,17 @@ def test_distributed_bundling_equals_the_one_of_arrays(spark):
     assert bundling.bundle(frame.limit(0)).count() == 0
 
 
+def test_bundling_of_a_level_in_one_drawing_with_ids_of_all_sizes(spark):
+    rng = np.random.default_rng(8)
+    es, ids = drawing(rng, 60), sorted(int(v) for v in rng.choice(2**62, 60, replace=False))
+    frame = spark.createDataFrame([(i, 1, *map(float, e)) for i, e in zip(ids, es)], "id long, level int, x1 double, y1 double, x2 double, y2 double")
+    jobs = spark.sparkContext._jsc.sc().dagScheduler().numTotalJobs
+    before = jobs()
+    got = {r["id"]: r["bundle"] for r in bundling.bundle(frame).collect()}
+    assert [got[i] for i in ids] == [ids[g] for g in bundling.coalesce(es, nearest(es))[0]]
+    assert 0 < jobs() - before < 25
+
+
 def test_proximity_of_crowded_and_lonely_points(spark):
     rng = np.random.default_rng(6)
     pts = np.concatenate([rng.normal(0, 0.01, (150, 4)), rng.uniform(-50, 50, (40, 4)), np.full((20, 4), 7.0)])
@@ -307,12 +318,12 @@ def test_proximity_of_many_blocks_in_a_fixed_number_of_jobs(spark, monkeypatch):
         d2 = ((p[:, None] - p[None]) ** 2).sum(2)
         np.fill_diagonal(d2, np.inf)
         want += [(int(ids[i]), r + 1, int(ids[j])) for i, row in enumerate(d2) for r, j in enumerate(np.argsort(row, kind="stable")[:5])]
-    tracker, before = spark.sparkContext._jsc.sc().statusStore(), 0
+    jobs = spark.sparkContext._jsc.sc().dagScheduler().numTotalJobs
     for method in ("all_pairs", "buckets"):
-        before = tracker.jobsList(None).size()
+        before = jobs()
         assert sorted((r["id"], r["rank"], r["other"]) for r in bundling.proximity_graph(frame, 5, method, by=("level",)).collect()) == sorted(want)
     # the far points would have taken a dozen rounds of wider and wider cells, each of many jobs
-    assert tracker.jobsList(None).size() - before < 40
+    assert 0 < jobs() - before < 40
 
 
 def slow_cut(values, weights, share):
