@@ -238,11 +238,30 @@ def _tree_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
 
 
 def _all_pairs_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
-    """proximity_graph() by all pairs of a drawing's points."""
-    d2 = F.aggregate(F.zip_with("p", "q", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda a, b: a + b)
-    pairs = p.join(p.select(F.col("id").alias("other"), F.col("p").alias("q"), *keys), keys).where("id <> other").select("id", "other", d2.alias("d2"))
+    """proximity_graph() by all pairs: every chunk of a drawing's points meets every other one as arrays, which keeps k of a chunk."""
+    p = materialize(p)
+    sizes = p.groupBy(*keys).agg(F.ceil(F.count("*") / COLUMNS).alias("_chunks"))
+    p = p.join(sizes, keys).withColumn("_c", F.pmod(F.xxhash64("id"), F.col("_chunks")))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.col("_chunks") - 1))
+    sides = p.select("id", "p", *keys, F.lit(True).alias("_asks"), F.col("_c").alias("_x"), every.alias("_y")).unionByName(p.select("id", "p", *keys, F.lit(False).alias("_asks"), every.alias("_x"), F.col("_c").alias("_y")))
+
+    def meet(pdf: pd.DataFrame) -> pd.DataFrame:
+        asks = pdf["_asks"].to_numpy()
+        held = pdf[~asks].sort_values("id")
+        ids, x = pdf["id"].to_numpy()[asks], coordinates(pdf["p"][asks])
+        c_ids, c = held["id"].to_numpy(), coordinates(held["p"])
+        parts = []
+        for a in range(0, len(ids) if len(c) else 0, ROWS):
+            d2 = distances(x[a : a + ROWS], c)
+            d2[ids[a : a + ROWS, None] == c_ids] = np.inf
+            row, far, other = least(d2, c_ids, k)
+            parts.append(pd.DataFrame({"id": ids[a + row], "other": other, "d2": far}))
+        return pd.concat(parts) if parts else pd.DataFrame({"id": ids[:0], "other": ids[:0], "d2": np.zeros(0)})
+
+    tasks = int(p.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    met = sides.repartition(tasks, *keys, "_x", "_y").groupBy(*keys, "_x", "_y").applyInPandas(meet, "id {id}, other {id}, d2 double".format(id=p.schema["id"].dataType.simpleString()))
     best = Window.partitionBy("id").orderBy("d2", "other")
-    return pairs.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
+    return met.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
 
 
 def proximity_graph(points: DataFrame, k: int = 10, method: str = "buckets", width: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
