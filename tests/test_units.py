@@ -211,6 +211,21 @@ def test_batch_answers_all_sets_of_both_patterns(spark):
     assert QUERIES["viewport_batch_all"](spark, SF).count() == sum(want.values())
 
 
+@pytest.mark.parametrize("name", ["auto_level"])
+def test_grid_queries_read_their_table(spark, name):
+    assert any("events.parquet" in f for f in QUERIES[name](spark, SF).inputFiles())
+
+
+def test_level_of_a_box_in_every_row_equals_that_of_one_box(spark):
+    rng = random.Random(5)
+    boxes = [(30_000_000, 40_000_000, 58_000_000, 62_000_000), (0, 0, 399_360_000, 276_480_000), (60_000, 60_000, 60_000, 60_001), (59_999, 0, 60_001, 30_000)]
+    boxes += [(x, y, x + rng.randrange(1, 10**rng.randint(1, 8)), y + rng.randrange(1, 10**rng.randint(1, 8))) for x, y in ((rng.randrange(299_000_000), rng.randrange(176_000_000)) for _ in range(60))]
+    rows = [(*b, m) for b in boxes for m in (1, 100, 1000, 10_000)]
+    frame = spark.createDataFrame(rows, "x0 long, y0 long, x1 long, y1 long, m int")
+    for r in frame.withColumn("level", query.level_of(*map(F.col, ("x0", "y0", "x1", "y1", "m")))).collect():
+        assert r["level"] == query.level_for(tuple(r)[:4], r["m"])
+
+
 def nearest(es, k=10):
     p = (es - es.mean(0)) / np.maximum(es.std(0), 1e-3)
     d2 = ((p[:, None, :] - p[None, :, :]) ** 2).sum(2)
