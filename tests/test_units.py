@@ -211,7 +211,7 @@ def test_batch_answers_all_sets_of_both_patterns(spark):
     assert QUERIES["viewport_batch_all"](spark, SF).count() == sum(want.values())
 
 
-@pytest.mark.parametrize("name", ["auto_level", "edge_bound"])
+@pytest.mark.parametrize("name", ["auto_level", "edge_bound", "grid_levels"])
 def test_grid_queries_read_their_table(spark, name):
     assert any("events.parquet" in f for f in QUERIES[name](spark, SF).inputFiles())
 
