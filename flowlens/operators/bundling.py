@@ -172,12 +172,15 @@ def coordinates(column: pd.Series) -> np.ndarray:
 
 def _tree_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
     """proximity_graph() by blocks, in a fixed number of jobs. Only drawings of more than a block are cut, by a sample of bounded size, and
-    only their points ask other blocks: those that a ball up to their k-th neighbour meets."""
+    only their points ask other blocks: those that a ball up to their k-th neighbour meets. The driver plans four queries: the points, the
+    large drawings, their sample, and the blocks' own answers, which carry each cut point once (rank 0) with what it asks others by."""
     p = materialize(p)
     sizes = p.groupBy(*keys).agg(F.count("*").alias("_n"))
-    block = max(BLOCK_POINTS, -(-(sizes.agg(F.sum("_n")).first()[0] or 0) // MAX_BLOCKS))
-    big = sizes.where(F.col("_n") > block).drop("_n").collect()
-    graph = "id {id}, rank int, other {id}, d2 double".format(id=p.schema["id"].dataType.simpleString())
+    block = F.greatest(F.lit(BLOCK_POINTS).cast("long"), F.ceil(F.col("_all_n") / MAX_BLOCKS))
+    above = sizes.agg(F.coalesce(F.sum("_n"), F.lit(0)).alias("_all_n"), F.collect_list(F.when(F.col("_n") > BLOCK_POINTS, F.struct("_n", *keys))).alias("_big"))
+    block, big = above.select(block.alias("_block"), "_big").select("_block", F.filter("_big", lambda v: v["_n"] > F.col("_block"))).first()
+    id_type = p.schema["id"].dataType.simpleString()
+    graph = f"id {id_type}, rank int, other {id_type}, d2 double"
     tasks = int(p.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def own(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -185,11 +188,17 @@ def _tree_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
         row, _, other, d2 = tree_nearest(x, x, ids, k + 1)
         use = ids[row] != other
         row, rank, other, d2 = ranked(row[use], d2[use], other[use], k)
-        return pd.DataFrame({"id": ids[row], "rank": rank, "other": other, "d2": d2})
+        found = pd.DataFrame({"id": ids[row], "rank": rank, "other": other, "d2": d2})
+        if "_g" not in pdf or pdf["_g"].iloc[0] < 0:
+            return found if "_g" not in pdf else found.assign(p=None, _g=-1, _b=0, far=np.inf)
+        far = np.full(len(ids), np.inf)
+        far[row[rank == k]] = d2[rank == k]
+        asks = pdf[["id", "p", "_g", "_b"]].assign(rank=0, other=ids, d2=0.0, far=far)
+        return pd.concat([asks, found.assign(p=None, _g=pdf["_g"].iloc[0], _b=pdf["_b"].iloc[0], far=np.inf)])[["id", "rank", "other", "d2", "p", "_g", "_b", "far"]]
 
     if not big:
         return p.repartition(tasks, *keys).groupBy(*keys).applyInPandas(own, graph)
-    numbered = p.sparkSession.createDataFrame([(*r, i) for i, r in enumerate(big)], T.StructType([*[T.StructField(c, p.schema[c].dataType) for c in keys], T.StructField("_g", T.IntegerType())]))
+    numbered = p.sparkSession.createDataFrame([(*r[1:], i) for i, r in enumerate(big)], T.StructType([*[T.StructField(c, p.schema[c].dataType) for c in keys], T.StructField("_g", T.IntegerType())]))
     p = p.join(F.broadcast(numbered), keys, "left").withColumn("_g", F.coalesce("_g", F.lit(-1)))
     drawn = p.where((F.col("_g") >= 0) & (F.pmod(F.xxhash64("id"), F.lit(block)) < SAMPLED)).select("_g", "p").toPandas()
     trees = [grow_blocks(coordinates(drawn["p"][drawn["_g"] == g])) for g in range(len(big))]
@@ -226,15 +235,14 @@ def _tree_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:
         row, rank, other, d2 = tree_nearest(x[asks], x[~asks], ids[~asks], k, pdf["far"].to_numpy(float)[asks])
         return pd.DataFrame({"id": ids[asks][row], "rank": rank, "other": other, "d2": d2})
 
-    dealt = materialize(p.mapInPandas(deal, T.StructType([*p.schema.fields, T.StructField("_b", T.LongType())])))
-    local = materialize(dealt.repartition(tasks, *keys, "_b").groupBy(*keys, "_b").applyInPandas(own, graph))
-    cut = dealt.where("_g >= 0")
-    reach = local.where(F.col("rank") == k).select("id", F.col("d2").alias("far"))
-    cut_points = cut.select("id", "p", "_g", "_b", F.lit(None).cast("double").alias("far"))
-    asking = cut.select("id", "p", "_g", "_b").join(reach, "id", "left").withColumn("far", F.coalesce("far", F.lit(float("inf"))))
+    dealt = p.mapInPandas(deal, T.StructType([*p.schema.fields, T.StructField("_b", T.LongType())]))
+    local = materialize(dealt.repartition(tasks, *keys, "_b").groupBy(*keys, "_b").applyInPandas(own, f"{graph}, p array<double>, _g int, _b long, far double"))
+    asking = local.where("rank = 0").select("id", "p", "_g", "_b", "far")
+    cut_points = asking.withColumn("far", F.lit(None).cast("double"))
     met = cut_points.unionByName(asking.mapInPandas(ask, cut_points.schema)).repartition(tasks, "_g", "_b").groupBy("_g", "_b").applyInPandas(answer, graph)
     best = Window.partitionBy("id").orderBy("d2", "other")
-    return local.unionByName(met).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
+    found = local.where("rank > 0").select("id", "rank", "other", "d2").unionByName(met)
+    return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("id", "rank", "other", "d2")
 
 
 def _all_pairs_graph(p: DataFrame, k: int, keys: list[str]) -> DataFrame:

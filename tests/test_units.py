@@ -341,6 +341,26 @@ def test_proximity_of_many_blocks_in_a_fixed_number_of_jobs(spark, monkeypatch):
     assert 0 < jobs() - before < 40
 
 
+def test_proximity_of_blocks_plans_four_queries_on_the_driver(spark, monkeypatch):
+    monkeypatch.setattr(bundling, "BLOCK_POINTS", 50)
+    monkeypatch.setattr(bundling, "SAMPLED", 16)
+    pts = np.concatenate([np.random.default_rng(8).integers(0, 9, (300, 4)), np.full((2, 4), 90), np.random.default_rng(9).integers(0, 9, (30, 4))]).astype(float)
+    frame = spark.createDataFrame([(f"k{i:03}", str(int(i >= 302)), [float(v) for v in p]) for i, p in enumerate(pts)], "id string, drawing string, p array<double>")
+
+    def executions():
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+        return spark._jsparkSession.sharedState().statusStore().executionsCount()
+
+    before = executions()
+    found = bundling.proximity_graph(frame, 3, by=("drawing",))
+    # points, large drawings, their sample, answers of blocks; it was two more, and the last plan joined the points with their reach
+    assert executions() - before == 4
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    key = lambda df: sorted((r["id"], r["rank"], r["other"], r["d2"]) for r in df.collect())
+    got = key(found)
+    assert got == key(bundling.proximity_graph(frame, 3, "all_pairs", by=("drawing",))) and len(got) == 332 * 3
+
+
 def slow_cut(values, weights, share):
     """Every cut between distinct values, tried one by one: (miss over total, position), or None."""
     total, best = float(sum(weights)), None
